@@ -41,7 +41,8 @@ def materialise(df: DataFrame, path: str | None = None) -> DataFrame:
 
 
 def small_batches(spark: SparkSession, rows: int) -> None:
-    """Bound the rows of an Arrow batch, for operators whose rows are whole texts."""
+    """Prepare for Python workers: ship this package, and bound the rows of an Arrow batch, as rows may be whole texts."""
+    ship(spark)
     key = "spark.sql.execution.arrow.maxRecordsPerBatch"
     if int(spark.conf.get(key, "10000")) > rows:
         spark.conf.set(key, str(rows))
