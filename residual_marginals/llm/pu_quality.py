@@ -11,10 +11,9 @@ enter the risk. Labels of the held-out fold, lang, source and ids are never inpu
 from __future__ import annotations
 
 import math
-import re
 import zlib
 from collections import Counter
-from collections.abc import Iterator
+from operator import eq
 
 import numpy as np
 import pandas as pd
@@ -30,8 +29,8 @@ HASHED = 256
 STATISTICS = 16
 WIDTH = HASHED + STATISTICS
 CACHE_LIMIT = 300_000
-
-_DIGIT, _UPPER, _LOWER = re.compile(r"[0-9]"), re.compile(r"[^\W\d_]", re.UNICODE), re.compile(r"x+")
+#: Least spread by which a column is divided, so that rare shapes do not decide alone.
+FLOOR = 0.03
 
 
 def shape(word: str) -> tuple[int, int, int, int]:
@@ -82,14 +81,28 @@ def features(text: str, shapes: Shapes) -> np.ndarray:
         repeated = sum(v for v in kinds.values() if v > 1) / full
         common = max(counts.values()) / n
         spread = len(counts) / n
-        stats = (1, caps / n, symbols / max(1, len(text)), letters / max(1, len(text)), repeated, common if n > 30 else 0.05, spread if n > 30 else 0.7, spread * math.log1p(n) / 5, math.log1p(n) / 10, letters / n / 10, max(kinds.values(), default=0) / full, len(lines) / n, min(1, n / 20), sum(v for k, v in counts.items() if len(k) > 25) / n, text.count("\t") / max(1, len(text)) * 10, sum(ord(c) < 32 and c not in "\n\t\r" for c in text[:1]) )
+        adjacent = sum(map(eq, words, words[1:])) / n
+        size = max(1, len(text))
+        stats = (
+            1, caps / n, symbols / size, letters / size, repeated, common if n > 30 else 0.05, spread if n > 30 else 0.7, spread * math.log1p(n) / 5,
+            math.log1p(n) / 10, letters / n / 10, max(kinds.values(), default=0) / full, len(lines) / n, min(1, n / 20), sum(v for k, v in counts.items() if len(k) > 25) / n,
+            math.sqrt(adjacent), 2 * min(0.5, 5 * adjacent),
+        )
         out[HASHED:] = stats
     return out
 
 
-def fit(positive: np.ndarray, unlabelled: np.ndarray, prior: float, rounds: int = 400, rate: float = 0.05, decay: float = 1e-4) -> np.ndarray:
-    """Weights that minimise the non-negative unbiased logistic risk."""
-    w = np.zeros(positive.shape[1])
+def fit(positive: np.ndarray, unlabelled: np.ndarray, prior: float, rounds: int = 300, rate: float = 0.05, decay: float = 1e-4) -> np.ndarray:
+    """Weights that minimise the non-negative unbiased logistic risk; the first statistic is the constant one.
+
+    Columns are centred and scaled by the unlabelled text for the descent, and the scaling is folded back.
+    """
+    centre, scale = unlabelled.mean(axis=0), unlabelled.std(axis=0)
+    used = scale > 1e-6
+    centre, scale = np.where(used, centre, 0.0), np.where(used, np.maximum(scale, FLOOR), 1.0)
+    centred = lambda x: np.where(used | (np.arange(x.shape[1]) == HASHED), (x - centre) / scale, 0.0).astype(np.float32)
+    positive, unlabelled = centred(positive), centred(unlabelled)
+    w = np.zeros(positive.shape[1], np.float32)
     m, v = np.zeros_like(w), np.zeros_like(w)
     sigma = lambda z: 1 / (1 + np.exp(-np.clip(z, -30, 30)))
     loss = lambda z: np.logaddexp(0, -z)
@@ -104,7 +117,9 @@ def fit(positive: np.ndarray, unlabelled: np.ndarray, prior: float, rounds: int
         m = 0.9 * m + 0.1 * g
         v = 0.999 * v + 0.001 * g * g
         w -= rate * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.999**step)) + 1e-8)
-    return w
+    folded = w.astype(np.float64) / scale
+    folded[HASHED] -= (folded * centre).sum()
+    return folded
 
 
 def held_out(doc_id: Column, folds: int = 3, fold: int = 1) -> Column:

@@ -58,8 +58,8 @@ def fingerprint(text: str | None, width: int) -> int:
     return int(bits.view(np.uint64)[0])
 
 
-def fingerprints(docs: DataFrame, width: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, fp): the fingerprint of every row as a signed long. Null and wordless texts get zero."""
+def fingerprints(docs: DataFrame, width: int = 3, carry: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, fp) and the columns ``carry``: the fingerprint of every row as a signed long. Null and wordless texts get zero."""
     small_batches(docs.sparkSession, 1000)
 
     @pandas_udf("long")
@@ -67,7 +67,7 @@ def fingerprints(docs: DataFrame, width: int = 3, id_col: str = "doc_id", text_c
         values = np.fromiter((fingerprint(t, width) for t in texts), np.uint64, len(texts))
         return pd.Series(values.view(np.int64))
 
-    return docs.select(F.col(id_col).alias("doc_id"), fp(F.col(text_col)).alias("fp"))
+    return docs.select("doc_id", *carry, fp(F.col("text").cast("string")).alias("fp"))
 
 
 def gray_rank(codes: np.ndarray) -> np.ndarray:
@@ -236,14 +236,14 @@ def _same(a: pd.DataFrame, b: pd.DataFrame) -> bool:
     return x["choice"] == y["choice"] and x["key"] == y["key"]
 
 
-def near_groups(docs: DataFrame, width: int = 3, radius: int = 2, blocks: int | None = None, group_limit: int = GROUP_LIMIT) -> DataFrame:
-    """One row per input row: doc_id, fingerprint (hex), component_id (smallest doc_id reachable).
+def near_groups(docs: DataFrame, width: int = 3, radius: int = 2, blocks: int | None = None, group_limit: int = GROUP_LIMIT, carry: tuple[str, ...] = ()) -> DataFrame:
+    """One row per input row: doc_id, fingerprint (hex), component_id (smallest doc_id reachable), and the columns ``carry``.
 
     Null or wordless texts have fingerprint zero and link like any other; rows that repeat stay as
     rows; a null doc_id stays null and never becomes a component id unless it is alone in its group
     (then the id is null). Extra columns are ignored. An empty table gives an empty result.
     """
-    marked = materialise(fingerprints(docs, width))
+    marked = materialise(fingerprints(docs, width, carry))
     codes = materialise(marked.groupBy("fp").agg(F.min("doc_id").alias("low")))
     found = materialise(links(codes.select("fp"), radius, blocks or radius + 2, group_limit))
     roots = materialise(connected_components(found))
@@ -251,7 +251,7 @@ def near_groups(docs: DataFrame, width: int = 3, radius: int = 2, blocks: int |
     lows = materialise(rooted.groupBy("root").agg(F.min("low").alias("component_id")))
     named = materialise(rooted.select("fp", "root").join(lows, "root").select("fp", "component_id"))
     hexed = F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint")
-    return marked.join(named, "fp").select("doc_id", hexed, "component_id")
+    return marked.join(named, "fp").select("doc_id", *carry, hexed, "component_id")
 
 
 def op4_simhash_groups(spark, sf_dir: str) -> DataFrame:
