@@ -10,6 +10,7 @@ import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import DoubleType, LongType
 
 from residual_marginals.lattice import closure, subsets
 from residual_marginals.operators import blocks
@@ -51,13 +52,13 @@ class Reconstruct:
         yield (blocks.reconstruct(wide, tuple(keep), tuple(shape)).ravel().tolist(),)
 
 
-@pandas_udf("bigint")
+@pandas_udf(LongType())
 def marginal_cell(codes: pd.Series, sizes: pd.Series) -> pd.Series:
     """Row-major cell of arrays of codes."""
     return pd.Series([int(np.ravel_multi_index([int(c) for c in code], [int(n) for n in size])) for code, size in zip(codes, sizes)])
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def block_l1(a: pd.Series, b: pd.Series) -> float:
     """Summed absolute difference of columns, as a grouped aggregate."""
     return float((a - b).abs().sum())

@@ -39,7 +39,9 @@ def session_marginals(coded: DataFrame, attribute: str, gap: str = "30 minutes",
 
 
 def deduplicated(events: DataFrame, watermark: str = "1 hour") -> DataFrame:
-    """Events once per id, as far as the watermark remembers."""
+    """Events once per id; on a stream as far as the watermark remembers."""
+    if not events.isStreaming:
+        return events.dropDuplicates(["event_id"])
     return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", watermark).dropDuplicatesWithinWatermark(["event_id"])
 
 
@@ -81,6 +83,8 @@ def release_windows(counts: DataFrame, release: Callable[[DataFrame, int], float
 
     def write(batch: DataFrame, batch_id: int) -> None:
         if batch_id in ledgers:
+            # a batch that comes again is read, so that its state is committed, but never released twice
+            batch.write.format("noop").mode("overwrite").save()
             return
         ledger = Ledger(budget / overlap)
         ledger.spend("window", release(batch, batch_id), str(batch_id))
