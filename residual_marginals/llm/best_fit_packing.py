@@ -158,16 +158,23 @@ def rounds(counts: dict[int, int], capacity: int) -> list[tuple[int, int, int, i
                 first, many = open_runs[gap].pop()
                 if not open_runs[gap]:
                     del open_runs[gap], gaps[at]
-                taken = min(left, many)
-                if many > taken:
-                    add(gap, (first + taken, many - taken))
             else:
-                gap, first = capacity, fresh
-                taken = -(-left // (capacity // length))
-                fresh += taken
-            rows.append((length, rank, taken, first, capacity - gap))
-            rank, left = rank + taken, left - taken
-            add(gap - length, (first, taken))
+                gap, first, many = capacity, fresh, -(-left // (capacity // length))
+                fresh += many
+            # a sequence stays the best fit until it is too full, so each takes as many pieces as it holds
+            each = gap // length
+            whole = min(many, left // each)
+            parts = [(first, whole, each)] if whole else []
+            if whole < many and (some := min(each, left - whole * each)):
+                parts.append((first + whole, 1, some))
+            for start, run, pieces_each in parts:
+                for k in range(pieces_each):
+                    rows.append((length, rank, run, start, capacity - gap + k * length))
+                    rank, left = rank + run, left - run
+                add(gap - pieces_each * length, (start, run))
+            untouched = many - sum(run for _, run, _ in parts)
+            if untouched:
+                add(gap, (first + many - untouched, untouched))
     return rows
 
 
