@@ -18,8 +18,8 @@ from residual_marginals.llm import best_fit_packing, pii_semicrf, pu_quality, si
 from residual_marginals.llm.common import materialise, scratch_dir, small_batches, table
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
-#: Near-duplicates: shingles of five words, fingerprints at most this many bits apart.
-SHINGLE_WORDS, RADIUS, BLOCKS = 5, 3, 6
+#: Near-duplicates: shingles of five words, this similarity or more.
+SHINGLE_WORDS, SIMILARITY = 5, 0.8
 #: Keys (16 bytes each) up to which a set of rows to drop is broadcast.
 BROADCAST_KEYS = 1_000_000
 
@@ -40,7 +40,7 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each near-duplicate group: that with the smallest doc_id, then the least hash of its text; of rows that repeat both, one."""
     keys = ["_id", "_text"]
     keyed = docs.withColumn("_id", F.coalesce(F.col("doc_id"), F.lit(-(1 << 62)))).withColumn("_text", F.xxhash64("text", "doc_id"))
-    groups = materialise(simhash_gray.near_groups(keyed, SHINGLE_WORDS, RADIUS, BLOCKS, carry=tuple(keys)))
+    groups = materialise(simhash_gray.similar_groups(keyed, SHINGLE_WORDS, SIMILARITY, carry=tuple(keys)))
     # a group is named by its smallest doc_id; groups of null ids alone go by their fingerprint
     name = F.struct("component_id", F.when(F.col("component_id").isNull(), F.col("fingerprint")).alias("only"))
     best = materialise(groups.groupBy(name.alias("group")).agg(F.min(F.struct("_id", "_text")).alias("one")).select("one.*"))
