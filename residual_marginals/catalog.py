@@ -788,6 +788,49 @@ def _(spark, sf_dir):
     return experiments.run_ablation(spark, {"orders": (raw_orders(spark, sf_dir), fx.ORDERS), "lines": (load(spark, sf_dir, "lineitem"), fx.LINES), "bits": (load(spark, sf_dir, "embeddings"), fx.bits_domain(6))}, k=3, trials=2)
 
 
+@query("ablation_sales")
+def _(spark, sf_dir):
+    return experiments.run_ablation(spark, {"sales": (fx.sales(spark, sf_dir), fx.SALES)}, k=3, trials=1)
+
+
+@query("ablation_wide")
+def _(spark, sf_dir):
+    return experiments.run_ablation(spark, {"wide": (fx.sales(spark, sf_dir), fx.WIDE)}, k=3, trials=1)
+
+
+@query("resumed_release")
+def _(spark, sf_dir):
+    from residual_marginals.mechanisms.adaptive import load_progress, save_progress
+    from residual_marginals.sources.io import shared_path
+
+    path = shared_path(spark)
+    save_progress(spark, adaptive_release(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5, max_rounds=2), path)
+    stored = load_progress(spark, path, fx.ORDERS, PAIRS, 0.5)
+    return adaptive_release(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5, progress=stored).marginals(spark)
+
+
+@query("marginal_pivot", f"SELECT ostat, " + ", ".join(f"count(*) FILTER (prio = {k}) AS p{k}" for k in range(5)) + f" FROM ({ORDERS_SQL}) GROUP BY ostat")
+def _(spark, sf_dir):
+    wide = orders(spark, sf_dir).groupBy("ostat").pivot("prio", list(range(5))).count()
+    return wide.select("ostat", *[F.coalesce(F.col(str(k)), F.lit(0)).alias(f"p{k}") for k in range(5)])
+
+
+@query("closure_by_sql", "SELECT CAST(range AS BIGINT) AS gamma FROM range(7)")
+def _(spark, sf_dir):
+    from residual_marginals.functions.sqlfunctions import register
+
+    register(spark)
+    return spark.sql("SELECT * FROM rm_closure(array(3L, 5L, 6L))")
+
+
+@query("workload_set_operations", "SELECT * FROM (VALUES ('both', CAST(3 AS BIGINT)), ('first only', CAST(5 AS BIGINT)), ('first only', CAST(6 AS BIGINT)), ('second only', CAST(7 AS BIGINT))) x(part, gamma)")
+def _(spark, sf_dir):
+    a, b = PAIRS.to_df(spark).select("gamma"), spark.createDataFrame([(3,), (7,)], "gamma long")
+    parts = {"both": a.intersect(b), "first only": a.exceptAll(b), "second only": b.subtract(a)}
+    out = [d.select(F.lit(n).alias("part"), "gamma") for n, d in parts.items()]
+    return out[0].unionByName(out[1]).unionByName(out[2])
+
+
 @query("tradeoff")
 def _(spark, sf_dir):
     return experiments.run_tradeoff(spark, {"orders": (raw_orders(spark, sf_dir), fx.ORDERS), "dialogue": (load(spark, sf_dir, "conversations"), fx.DIALOGUE)}, [0.3, 1.0, 10.0], ["adaptive", "batch", "direct", "graphical"], trials=2)

@@ -43,6 +43,13 @@ def run_transform_bench(spark: SparkSession, shapes: list[tuple[int, int]], repe
             ("kron", "decompose"): lambda: blocks.kron_by_axis(array, there),
             ("kron", "reconstruct"): lambda: blocks.kron_by_axis(residual, back),
         }
+        if array.size <= 20 * relational_cells:
+            def mapped(block=array):
+                for k in keep:
+                    block = blocks.axis_sub_mapped(block, k)
+                return block
+
+            runs["mapped", "decompose"] = mapped
         if array.size <= relational_cells:
             rest, cells = F.col("id"), {}
             for a in reversed(axes):

@@ -27,7 +27,7 @@ from residual_marginals.operators.tabulate import collect_blocks, tabulate
 from residual_marginals.plans import planner
 from residual_marginals.plans.privacy import Ledger, exp_rho, exp_select_local
 from residual_marginals.plans.schedule import Schedule
-from residual_marginals.sources.io import cut
+from residual_marginals.sources.io import cut, resume, save_release
 
 TRACE = "round int, gamma long, sigma2 double, epsilon double, rho_used double, n_measured int, n_skipped int, n_touched long, moved_l1 double, seconds double"
 
@@ -104,6 +104,46 @@ class Release:
         return spark.createDataFrame(self.rounds, TRACE)
 
 
+class ScoreCache:
+    """L1 distances between true and estimated marginals; only those that a changed residual reaches are computed again."""
+
+    def __init__(self, state: State, truth: dict[int, np.ndarray], candidates: list[int]):
+        self.state, self.truth, self.candidates = state, truth, candidates
+        self.l1: dict[int, float] = {}
+        self.changed: set[int] | None = None
+        self.computed = 0
+
+    def note(self, taus) -> None:
+        if self.changed is not None:
+            self.changed |= set(taus)
+
+    def refresh(self) -> dict[int, float]:
+        for g in self.candidates:
+            if self.changed is None or any(t & g == t for t in self.changed):
+                self.l1[g] = float(np.abs(self.truth[g] - self.state.answer(g)).sum())
+                self.computed += 1
+        self.changed = set()
+        return self.l1
+
+
+def save_progress(spark: SparkSession, release: Release, path: str) -> None:
+    """Store what is released so far: estimates, ledger, trace."""
+    save_release({"estimates": release.estimates(spark), "ledger": release.ledger.to_df(spark), "trace": release.trace(spark)}, path)
+
+
+def load_progress(spark: SparkSession, path: str, domain: Domain, workload: Workload, budget: float) -> Release:
+    """A stored release, ready to go on with ``adaptive_release(..., progress=...)``."""
+    state, ledger = State(domain, list(workload.sets)), Ledger(budget)
+    for tau, own in resume(spark, path, "estimates").toPandas().groupby("tau"):
+        own = own.sort_values("cell")
+        state.estimates[int(tau)] = own["value"].to_numpy().reshape([n - 1 for n in domain.shape(int(tau))])
+        state.precision[int(tau)] = float(own["precision"].iloc[0])
+    state.build()
+    for r in resume(spark, path, "ledger").orderBy("step").collect():
+        ledger.spend(r["kind"], r["rho"], r["note"])
+    return Release(domain, state, ledger, [tuple(r) for r in resume(spark, path, "trace").orderBy("round").collect()])
+
+
 def candidate_weights(candidates: list[int], workload: Workload) -> dict[int, float]:
     """How much each candidate overlaps the weighted workload."""
     return {g: sum(c * (s & g).bit_count() for s, c in zip(workload.sets, workload.weights)) for g in candidates}
@@ -141,20 +181,25 @@ def _plan(planner_name: str, gamma: int, state: State, rho: float, min_gain: flo
 
 def adaptive_release(
     df: DataFrame | None, domain: Domain, workload: Workload, rho: float, *, planner_name: str = "conditional", update: str = "lazy", secret: bytes = b"test", key: str = "run",
-    max_rounds: int | None = None, sequence: list[int] | None = None, split: float = 0.5, rounds_per_score: int = 1, min_gain: float = 1e-3, truth: dict[int, np.ndarray] | None = None,
+    max_rounds: int | None = None, sequence: list[int] | None = None, split: float = 0.5, rounds_per_score: int = 1, min_gain: float = 1e-3, truth: dict[int, np.ndarray] | None = None, progress: Release | None = None,
 ) -> Release:
     """Release the workload under rho-zCDP.
 
     ``sequence`` fixes the marginals and their order (then ``split`` of the budget goes to 1-way marginals and the rest evenly
     to the sequence); otherwise each round selects one from the whole closure by the exponential mechanism on the
-    expected improvement. ``rounds_per_score`` selections may share scores. ``truth`` skips tabulation when runs share one.
+    expected improvement. ``rounds_per_score`` selections may share scores. ``truth`` skips tabulation when runs share one; ``progress`` goes on
+    from an earlier release of the same data, whose rounds keep their numbers, so that no noise is drawn twice.
     """
     closed = workload.closure()
     if truth is None:
         truth = collect_blocks(tabulate(encode(df, domain), domain, closed), domain)
-    state, ledger, rounds = State(domain, list(workload.sets)), Ledger(rho), []
+    state, ledger, rounds = (progress.state, progress.ledger, list(progress.rounds)) if progress else (State(domain, list(workload.sets)), Ledger(rho), [])
+    if progress:
+        ledger.budget = rho
     apply = state.update if update == "lazy" else lambda _: state.rebuild()
 
+    cache: ScoreCache | None = None
+
     def step(k: int, gamma: int, spend: float, eps: float) -> float:
         began, before = time.perf_counter(), state.answer(gamma).copy()
         plan = _plan(planner_name, gamma, state, spend, min_gain)
@@ -172,6 +217,8 @@ def adaptive_release(
                 state.update({t: d})
         else:
             apply(changes)
+        if cache is not None:
+            cache.note(changes)
         moved = float(np.abs(state.answer(gamma) - before).sum())
         rounds.append((k, gamma, 1 / (2 * spend), eps, ledger.total, len(changes), len(plan) - len(changes), state.block_updates - already, moved, time.perf_counter() - began))
         return moved
@@ -188,14 +235,16 @@ def adaptive_release(
     weights = candidate_weights(candidates, workload)
     sensitivity = max(weights.values())
     schedule = Schedule.initial(rho, len(closed))
-    init_one_way(state, truth, schedule.sigma**2, ledger, secret, key)
+    if not progress:
+        init_one_way(state, truth, schedule.sigma**2, ledger, secret, key)
+    cache = ScoreCache(state, truth, candidates)
     scores: dict[int, float] = {}
-    k = 0
+    k = rounds[-1][0] + 1 if rounds else 0
     while ledger.left > rho * 1e-9 and (max_rounds is None or k < max_rounds):
         schedule.fit(ledger.left)
-        if k % rounds_per_score == 0:
+        if not scores or k % rounds_per_score == 0:
             noise = math.sqrt(2 / math.pi) * schedule.sigma
-            scores = {g: weights[g] * (float(np.abs(truth[g] - state.answer(g)).sum()) - noise * domain.size(g)) for g in candidates}
+            scores = {g: weights[g] * (l1 - noise * domain.size(g)) for g, l1 in cache.refresh().items()}
         ledger.spend("select", min(exp_rho(schedule.epsilon), ledger.left))
         gamma = exp_select_local(scores, schedule.epsilon, sensitivity, secret, f"{key}:select:{k}")
         moved = step(k, gamma, min(1 / (2 * schedule.sigma**2), ledger.left), schedule.epsilon)

@@ -30,6 +30,11 @@ def axis_smear(a: np.ndarray, axis: int, k: int) -> np.ndarray:
     return np.repeat(a / k, k, axis=axis)
 
 
+def axis_sub_mapped(a: np.ndarray, axis: int) -> np.ndarray:
+    """The difference vector by vector instead of by whole slices; for comparison only."""
+    return np.apply_along_axis(lambda v: v[1:] - v[0], axis, a)
+
+
 def decompose(marginal: np.ndarray, keep: tuple[int, ...]) -> np.ndarray:
     """Residual over the kept axes (summed axes stay with length 1)."""
     for axis in range(marginal.ndim):
