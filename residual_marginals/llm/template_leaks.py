@@ -11,11 +11,12 @@ one window, if it has at least ``least`` words.
 from __future__ import annotations
 
 import re
-import zlib
+import string
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -26,20 +27,20 @@ WIDTH, LEAST = 10, 5
 LITERAL = 5
 #: Benchmark windows up to this many are given to the scan of the texts as a filter (24 bytes each); beyond, every window is joined.
 FILTER_LIMIT = 500_000
-CACHE_LIMIT = 300_000
+CACHE_LIMIT = 800_000
 
-NUMBER = re.compile(r"[+-]?[$€£]?\d[\d.,:/]*(?:st|nd|rd|th|%|[a-z]{1,3})?")
+NUMBER = re.compile(r"\d[\d.,:/]*(?:st|nd|rd|th|%|[a-z]{1,3})?")
 #: Number words and units.
 NUMBER_WORDS = {"zero", "one", "two", "three", "four", "five", "six", "seven", "eight", "nine", "ten", "eleven", "twelve", "twenty", "thirty", "forty", "fifty", "hundred", "thousand", "million", "dozen"}
 UNITS = {"mm", "cm", "m", "km", "mg", "g", "kg", "ml", "l", "s", "ms", "min", "h", "hz", "w", "kw", "v", "a", "mph", "km/h", "inches", "inch", "feet", "foot", "yards", "miles", "mile", "meters", "metres", "meter", "metre", "kilometers", "kilometres", "grams", "kilograms", "pounds", "ounces", "liters", "litres", "seconds", "minutes", "hours", "days", "weeks", "months", "years", "dollars", "cents", "euros", "percent", "degrees"}
+MARKS, ENDS = string.punctuation, frozenset(".!?:")
 PLAIN, NUM, TITLE, UNIT, SKIP = range(5)
 KINDS = ("", "number", "name", "unit")
 _MIXERS = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F))
 
 
 def word_hash(word: str) -> int:
-    data = word.encode("utf-8", "surrogatepass")
-    return (zlib.crc32(data) << 32 | zlib.crc32(data[::-1] + b"~")) & (2**64 - 1)
+    return xxhash.xxh64_intdigest(word.encode("utf-8", "surrogatepass"))
 
 
 _PLACEHOLDERS = np.array([0, *(word_hash(f"<{k}>") for k in KINDS[1:])], np.uint64)
@@ -61,32 +62,42 @@ class Words(dict):
     def __init__(self):
         super().__init__()
         self.rows: list[tuple[int, int, bool]] = []
-        self.tables = None
+        self.filled = 0
+        self.tables = (np.zeros(4096, np.uint64), np.zeros(4096, np.int8), np.zeros(4096, bool))
 
     def __missing__(self, word: str) -> int:
-        bare = core(word)
+        if word.isalpha():
+            bare, ends = word, False
+        else:
+            bare = word.strip(MARKS)
+            if not (bare and bare[0].isalnum() and bare[-1].isalnum()):
+                bare = core(bare)
+            ends = not ENDS.isdisjoint(word[word.rfind(bare) + len(bare) :] if bare else word)
         low = bare.lower()
         if not bare:
             kind = SKIP
-        elif NUMBER.fullmatch(low) or low in NUMBER_WORDS:
+        elif low in NUMBER_WORDS or bare[0].isdigit() and NUMBER.fullmatch(low):
             kind = NUM
         elif low in UNITS:
             kind = UNIT
-        elif len(bare) > 1 and bare[0].isupper() and bare[1:].islower():
+        elif bare[0].isupper() and bare[1:].islower():
             kind = TITLE
         else:
             kind = PLAIN
-        at = word.rfind(bare) + len(bare) if bare else 0
-        self.rows.append((word_hash(low), kind, any(c in ".!?:" for c in word[at:])))
-        self[word] = len(self.rows) - 1
-        return self[word]
+        self.rows.append((word_hash(low), kind, ends))
+        self[word] = found = self.filled + len(self.rows) - 1
+        return found
 
     def arrays(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        if self.tables is None or len(self.tables[0]) < len(self.rows):
-            fresh = self.rows[len(self.tables[0]) if self.tables else 0 :]
-            h, k, e = zip(*fresh)
-            new = (np.array(h, np.uint64), np.array(k, np.int8), np.array(e, bool))
-            self.tables = tuple(np.concatenate(x) for x in zip(self.tables, new)) if self.tables else new
+        if self.rows:
+            fresh = zip(*self.rows)
+            end = self.filled + len(self.rows)
+            if end > len(self.tables[0]):
+                self.tables = tuple(np.concatenate([t, np.zeros(end, t.dtype)]) for t in self.tables)
+            for table, values in zip(self.tables, fresh):
+                table[self.filled : end] = values
+            self.filled = end
+            self.rows = []
         return self.tables
 
 
@@ -105,8 +116,8 @@ class Windows:
 
     def __init__(self, text: str, words: Words):
         self.words = text.split()
-        ids = np.fromiter(map(words.__getitem__, self.words), np.int64, len(self.words))
-        hashes, kinds, ends = words.arrays() if len(words) else (np.zeros(0, np.uint64), np.zeros(0, np.int8), np.zeros(0, bool))
+        ids = np.array([words[w] for w in self.words], np.int64)
+        hashes, kinds, ends = words.arrays()
         kind = kinds[ids] if len(ids) else np.zeros(0, np.int8)
         self.at = np.nonzero(kind != SKIP)[0]
         ids, kind = ids[self.at], kind[self.at]
