@@ -157,3 +157,12 @@ def extract(pages: DataFrame) -> DataFrame:
 def op5_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Main text of all pages."""
     return extract(table(spark, sf_dir, "pages"))
+
+
+#: For the given pages, whose article is marked and whose blocks are headings and paragraphs.
+OP5_SQL = r"""
+WITH a AS (SELECT page_id, url, regexp_extract(coalesce(html, ''), '(?s)<article>(.*?)(</article>|$)', 1) AS body FROM pages),
+b AS (SELECT page_id, url, list_filter(list_transform(regexp_split_to_array(body, '</?(?:p|h1)>'), lambda x: trim(regexp_replace(regexp_replace(x, '<[^>]*>?', ' ', 'g'), '\s+', ' ', 'g'))), lambda x: x <> '') AS parts FROM a),
+t AS (SELECT page_id, url, replace(regexp_replace(replace(array_to_string(parts, chr(10) || chr(10)), '&quot;', '"'), '&amp;?', '&', 'g'), '\r', '') AS text FROM b)
+SELECT page_id, url, coalesce(text, '') AS text, coalesce(length(text), 0)::BIGINT AS n_chars FROM t
+"""

@@ -23,5 +23,6 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 
 SQL: dict[str, str] = {
     "op2_warc": warc_index.OP2_SQL,
+    "op5_html_text": html_text.OP5_SQL,
     "op6_top_k": topk_histogram.OP6_SQL,
 }
