@@ -178,7 +178,7 @@ def rounds(counts: dict[int, int], capacity: int) -> list[tuple[int, int, int, i
     return rows
 
 
-def pack(cut: DataFrame, capacity: int = 2048, spread: int = 32) -> DataFrame:
+def pack(cut: DataFrame, capacity: int = 2048, spread: int | None = None) -> DataFrame:
     """Adds ``sequence_id`` and ``offset`` to a table of pieces (doc_id, piece, length and any other columns).
 
     Ties go by doc_id and piece. Every piece keeps its row; an empty table gives an empty result.

@@ -48,13 +48,14 @@ def small_batches(spark: SparkSession, rows: int) -> None:
         spark.conf.set(key, str(rows))
 
 
-def with_rank(df: DataFrame, keys: list[str], order: list[Column], spread: Column, name: str, buckets: int = 256) -> DataFrame:
+def with_rank(df: DataFrame, keys: list[str], order: list[Column], spread: Column, name: str, buckets: int | None = None) -> DataFrame:
     """Gapless 0-based ``name`` within ``keys`` without one task per key.
 
-    Rows of a key are dealt to ``buckets`` parts by ``spread``; part sizes are counted
+    Rows of a key are dealt to ``buckets`` parts by ``spread`` (by default one for each 50,000 rows of ``df``, at least 16); part sizes are counted
     (at most keys x buckets counts), a running sum over the counts gives each part its start,
     and ``row_number`` streams inside a part.
     """
+    buckets = buckets or max(16, min(1 << 16, df.count() // 50_000))
     part = F.pmod(F.xxhash64(spread, F.lit(17)), F.lit(buckets)).cast("int")
     parted = df.withColumn("_part", part)
     grouped = [*keys, "_part"]
@@ -77,7 +78,7 @@ def connected_components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     ends = (F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))
     live = materialise(edges.where("u is not null and v is not null and u <> v").select(*ends).distinct())
     mark = _mark(live)
-    for _ in range(rounds):
+    for _ in range(rounds if mark[0] else 1):
         if mark[0] == 0:
             break
         both = live.unionByName(live.select(F.col("v").alias("u"), F.col("u").alias("v")))
@@ -90,6 +91,8 @@ def connected_components(edges: DataFrame, rounds: int = 60) -> DataFrame:
         if now == mark:
             break
         mark = now
+    else:
+        raise RuntimeError(f"components did not settle in {rounds} rounds")
     roots = live.groupBy("u").agg(F.min("v").alias("root")).select(F.col("u").alias("node"), "root")
     return roots.unionByName(roots.select(F.col("root").alias("node"), "root").distinct())
 

@@ -44,7 +44,7 @@ def cut_links(placed: DataFrame) -> DataFrame:
     return by.where("n > 1").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("linked"), F.coalesce(F.sum(F.col("n") - F.col("most")), F.lit(0)).alias("cut"))
 
 
-def assign(rows: DataFrame, shards: int = 24, rounds: int = 4, spread: int = 256) -> DataFrame:
+def assign(rows: DataFrame, shards: int = 24, rounds: int = 4, spread: int | None = None) -> DataFrame:
     """Adds ``shard`` (0 to shards - 1, counts at most one apart) to rows (doc_id, grp, ...).
 
     A null ``grp`` links to nothing. Rows that repeat are placed one by one.
