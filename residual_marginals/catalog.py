@@ -848,7 +848,7 @@ def _(spark, sf_dir):
 
 @query("transform_bench")
 def _(spark, sf_dir):
-    return experiments.run_transform_bench(spark, [(2, 16), (3, 16), (4, 16), (3, 32), (3, 64)], repeats=3, relational_cells=300)
+    return experiments.run_transform_bench(spark, [(2, 16), (3, 16), (4, 16), (5, 16), (3, 2), (3, 8), (3, 32), (3, 64), (3, 128)], repeats=3, relational_cells=300)
 
 
 @query("noise_plan_check")

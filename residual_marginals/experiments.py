@@ -92,7 +92,7 @@ def run_ablation(spark: SparkSession, data: dict[str, tuple[DataFrame, Domain]],
                 error = measures.local_l1(truth, out.state.marginals, workload.sets)
                 asked = sum(r[5] + r[6] for r in out.rounds)
                 rows.append((name, strategy, eps, trial, seconds, error, out.ledger.total, out.state.block_updates, sum(r[6] for r in out.rounds) / asked))
-    return spark.createDataFrame(rows, RUNS)
+    return spark.createDataFrame(rows, RUNS).withColumnRenamed("method", "strategy")
 
 
 def run_tradeoff(spark: SparkSession, data: dict[str, tuple[DataFrame, Domain]], eps_grid: list[float], methods: list[str], k: int = 2, delta: float = 1e-9, trials: int = 5, model_mb: float = 50.0) -> DataFrame:

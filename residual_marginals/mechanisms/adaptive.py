@@ -56,7 +56,7 @@ class State:
             total = np.zeros(self.domain.shape(g))
             for tau in subsets(g):
                 if tau in self.estimates:
-                    total += residuals.component_of(self.estimates[tau], self.domain, tau, g)
+                    total += residuals.narrow_component(self.estimates[tau], self.domain, tau, g)
                     self.block_updates += 1
             self.marginals[g] = total
 
@@ -68,9 +68,12 @@ class State:
         """Only marginals that contain a changed residual, each once per round."""
         for g in self.sets:
             own = {t: d for t, d in changes.items() if t & g == t}
-            if own:
+            if len(own) > 2:
                 self.marginals[g] = self.marginals[g] + residuals.assemble(own, self.domain, g)
-                self.block_updates += len(own)
+            else:
+                for t, d in own.items():
+                    self.marginals[g] = self.marginals[g] + residuals.narrow_component(d, self.domain, t, g)
+            self.block_updates += len(own)
 
     def answer(self, mask: int) -> np.ndarray:
         """Marginal of any set: from residuals known for its subsets."""

@@ -11,18 +11,24 @@ def axis_sum(a: np.ndarray, axis: int) -> np.ndarray:
     return a.sum(axis=axis, keepdims=True)
 
 
+def _slice(a: np.ndarray, axis: int, part: slice) -> np.ndarray:
+    return a[(slice(None),) * axis + (part,)]
+
+
 def axis_sub(a: np.ndarray, axis: int) -> np.ndarray:
     """Drop slice 0 after taking it from the others."""
-    first, rest = np.split(a, [1], axis=axis)
-    return rest - first
+    return _slice(a, axis, slice(1, None)) - _slice(a, axis, slice(0, 1))
 
 
 def axis_center(a: np.ndarray, axis: int) -> np.ndarray:
-    """Put a zero slice in front, then take the axis mean from all."""
+    """Put a zero slice in front, then take the axis mean from all; written in one pass."""
     shape = list(a.shape)
-    shape[axis] = 1
-    wide = np.concatenate([np.zeros(shape), a], axis=axis)
-    return wide - wide.mean(axis=axis, keepdims=True)
+    shape[axis] += 1
+    out = np.empty(shape)
+    front = _slice(out, axis, slice(0, 1))
+    np.divide(a.sum(axis=axis, keepdims=True), -shape[axis], out=front)
+    np.add(a, front, out=_slice(out, axis, slice(1, None)))
+    return out
 
 
 def axis_smear(a: np.ndarray, axis: int, k: int) -> np.ndarray:
@@ -58,17 +64,21 @@ def reconstruct(residual: np.ndarray, keep: tuple[int, ...], shape: tuple[int, .
 def to_coords(marginal: np.ndarray) -> np.ndarray:
     """All residuals in place: per axis, slice 0 holds the total and slice k the difference to slice 0."""
     for axis in range(marginal.ndim):
-        first, rest = np.split(marginal, [1], axis=axis)
-        marginal = np.concatenate([marginal.sum(axis=axis, keepdims=True), rest - first], axis=axis)
+        out = np.empty(marginal.shape)
+        marginal.sum(axis=axis, keepdims=True, out=_slice(out, axis, slice(0, 1)))
+        np.subtract(_slice(marginal, axis, slice(1, None)), _slice(marginal, axis, slice(0, 1)), out=_slice(out, axis, slice(1, None)))
+        marginal = out
     return marginal
 
 
 def from_coords(coords: np.ndarray) -> np.ndarray:
     """Inverse of ``to_coords``."""
     for axis, n in enumerate(coords.shape):
-        total, rest = np.split(coords, [1], axis=axis)
-        mean = rest.sum(axis=axis, keepdims=True) / n
-        coords = np.concatenate([total / n - mean, total / n + rest - mean], axis=axis)
+        out = np.empty(coords.shape)
+        rest, front = _slice(coords, axis, slice(1, None)), _slice(out, axis, slice(0, 1))
+        np.divide(_slice(coords, axis, slice(0, 1)) - rest.sum(axis=axis, keepdims=True), n, out=front)
+        np.add(rest, front, out=_slice(out, axis, slice(1, None)))
+        coords = out
     return coords
 
 

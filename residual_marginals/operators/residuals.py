@@ -43,11 +43,20 @@ def component_of(residual: np.ndarray, domain: Domain, tau: int, gamma: int) ->
     return blocks.reconstruct(wide, keep, shape)
 
 
+def narrow_component(residual: np.ndarray, domain: Domain, tau: int, gamma: int) -> np.ndarray:
+    """The component with length 1 on the axes outside tau: smearing is left to broadcasting."""
+    keep, shape = positions(domain, gamma, tau), domain.shape(gamma)
+    wide = residual.reshape([n - 1 if k in keep else 1 for k, n in enumerate(shape)])
+    for axis in keep:
+        wide = blocks.axis_center(wide, axis)
+    return wide / domain.size(gamma & ~tau)
+
+
 def assemble(residuals: dict[int, np.ndarray], domain: Domain, gamma: int) -> np.ndarray:
     """Marginal gamma from all residuals of its subsets (missing ones count as zero), through residual coordinates."""
     coords = np.zeros(domain.shape(gamma))
-    for tau in subsets(gamma):
-        if tau in residuals:
+    for tau in subsets(gamma) if len(residuals) > 1 << gamma.bit_count() else residuals:
+        if tau in residuals and tau & gamma == tau:
             keep = positions(domain, gamma, tau)
             at = blocks.support_slices(coords.shape, keep)
             coords[at] = residuals[tau].reshape(coords[at].shape)
