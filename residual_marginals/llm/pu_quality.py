@@ -127,6 +127,18 @@ def held_out(doc_id: Column, folds: int = 3, fold: int = 1) -> Column:
     return F.coalesce(F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(folds)) == fold, F.lit(False))
 
 
+def _vectors(texts: DataFrame, ids: DataFrame, most: int) -> np.ndarray:
+    """Feature vectors of at most ``most`` picked texts; texts of any length stay on the executors."""
+    small_batches(texts.sparkSession, 1000)
+
+    @pandas_udf("array<float>")
+    def vector(column: pd.Series) -> pd.Series:
+        return pd.Series([features(t, _shapes()) for t in column], dtype=object)
+
+    rows = texts.join(F.broadcast(ids), "doc_id").limit(most).select(vector("text").alias("x")).collect()
+    return np.array([r["x"] for r in rows], np.float64).reshape(len(rows), WIDTH)
+
+
 def train(docs: DataFrame, labels: DataFrame) -> np.ndarray:
     """Fit on bounded samples (least hash first) of trusted positives and of unlabelled text.
 
@@ -140,15 +152,12 @@ def train(docs: DataFrame, labels: DataFrame) -> np.ndarray:
     texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).where("text is not null")
     least = [F.xxhash64("doc_id"), F.col("doc_id")]
     picked = trusted.orderBy(*least).limit(POSITIVES)
-    positive = [r["text"] for r in texts.join(F.broadcast(picked), "doc_id").limit(POSITIVES).collect()]
     ids = texts.select("doc_id").where(~held_out(F.col("doc_id"))).orderBy(F.xxhash64("doc_id", F.lit(3)), "doc_id").limit(UNLABELLED)
-    unlabelled = [r["text"] for r in texts.join(F.broadcast(ids.distinct()), "doc_id").limit(UNLABELLED).collect()]
-    if not positive or not unlabelled:
+    positive, unlabelled = _vectors(texts, picked, POSITIVES), _vectors(texts, ids.distinct(), UNLABELLED)
+    if not len(positive) or not len(unlabelled):
         return np.zeros(WIDTH)
-    shapes = Shapes()
-    stack = lambda xs: np.stack([features(x, shapes) for x in xs]).astype(np.float64)
     prior = min(0.98, max(0.02, share))
-    return fit(stack(positive), stack(unlabelled), prior)
+    return fit(positive, unlabelled, prior)
 
 
 def score(docs: DataFrame, weights: np.ndarray) -> DataFrame:
