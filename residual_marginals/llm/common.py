@@ -18,6 +18,7 @@ from pyspark.sql import types as T
 from residual_marginals.shipping import ship
 
 DEFAULT_CHECKPOINT_DIR = "/tmp/checkpoints"
+_SCRATCH: list[str] = []
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -29,7 +30,18 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def scratch_dir(spark: SparkSession) -> str:
     """A fresh folder below ``spark.checkpoint.dir``; the default only where that is unset."""
     base = spark.conf.get("spark.checkpoint.dir", None) or DEFAULT_CHECKPOINT_DIR
-    return f"{base.rstrip('/')}/llm-{uuid.uuid4().hex}"
+    _SCRATCH.append(f"{base.rstrip('/')}/llm-{uuid.uuid4().hex}")
+    return _SCRATCH[-1]
+
+
+def clear_scratch(spark: SparkSession) -> int:
+    """Delete the scratch folders made so far by this driver, once results that read from them are stored; returns how many were there."""
+    gone = 0
+    for path in _SCRATCH:
+        at = spark._jvm.org.apache.hadoop.fs.Path(path)
+        gone += at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+    _SCRATCH.clear()
+    return gone
 
 
 def materialise(df: DataFrame, path: str | None = None) -> DataFrame:

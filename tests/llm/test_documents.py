@@ -13,7 +13,7 @@ from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 from residual_marginals.llm import best_fit_packing, label_sharding, pii_semicrf, pu_quality, registry, simhash_gray, suffix_dedup, template_leaks
-from residual_marginals.llm.common import connected_components, table, vocabulary, with_rank
+from residual_marginals.llm.common import clear_scratch, connected_components, materialise, table, vocabulary, with_rank
 from tests.llm.helpers import no_docs, odd_docs
 
 
@@ -84,6 +84,35 @@ def test_gray_tree_prunes_exactly():
     assert (np.diff(ranks.astype(np.int64)) > 0).all()
 
 
+def test_similarity_groups(spark):
+    rng = np.random.default_rng(11)
+    rows, want = [], {}
+    for base in range(8):
+        words = [f"w{x}" for x in rng.integers(0, 50_000, 400)]
+        for copy, edits in enumerate((0, 0, 2, 4, 60)):
+            own = list(words)
+            for at in rng.choice(400, edits, replace=False):
+                own[at] = f"n{rng.integers(0, 10**6)}"
+            rows.append((10 * base + copy, " ".join(own)))
+            want[10 * base + copy] = 10 * base if edits < 60 else 10 * base + copy
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r["doc_id"]: r["component_id"] for r in simhash_gray.similar_groups(frame, carry=("text",)).collect()}
+    assert got == want
+    odd = simhash_gray.similar_groups(odd_docs(spark)).collect()
+    assert len(odd) == 12 and {r["component_id"] for r in odd if r["doc_id"] in (3, 4, 6)} == {3}
+    assert simhash_gray.similar_groups(no_docs(spark)).count() == 0
+
+
+def test_bit_counts():
+    h = np.random.default_rng(0).integers(0, 1 << 63, 1000, dtype=np.uint64)
+    assert simhash_gray.bit_counts(h).tolist() == [int((h >> np.uint64(b) & np.uint64(1)).sum()) for b in range(64)]
+
+
+def test_scratch_can_be_cleared(spark):
+    kept = materialise(spark.range(3))
+    assert kept.count() == 3 and clear_scratch(spark) >= 1
+
+
 def test_op4_odd_input(spark):
     got = simhash_gray.near_groups(odd_docs(spark)).collect()
     assert len(got) == 12
