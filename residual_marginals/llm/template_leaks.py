@@ -2,9 +2,9 @@
 
 Words lose outer punctuation and case. In the template view numbers, names (capitalised
 words inside a sentence) and units (after a number) become typed placeholders; the literal view keeps every word. Windows of ``width`` words of either view
-are hash-joined with those of the benchmark. For each document and item the placeholders of matched windows are read as slots: if every
-value in the item always stands for the same value in the document, the item was copied or
-re-parameterised; if not, it only shares a form and is left alone. An item shorter than the window is
+are hash-joined with those of the benchmark. For each document, item and shift between them (one copy) the placeholders of matched windows are
+read as slots: if in one copy every value in the item always stands for the same value in the document, the item was copied or
+re-parameterised; if in none, it only shares a form and is left alone. An item shorter than the window is
 one window, if it has at least ``least`` words.
 """
 
@@ -223,20 +223,24 @@ def find_leaks(docs: DataFrame, items: DataFrame, width: int = WIDTH, least: int
     found = text_windows(docs, list(facts["sizes"]), wanted)
     small = own if wanted is None else F.broadcast(own)
     pairs = materialise(found.join(small, ["h", "size", "typed"]).drop("h"))
-    # of the template windows, those aligned with the same shift belong together
-    slots = pairs.where("typed").select("doc_id", "item_id", F.explode(F.arrays_zip("item_slots", "doc_slots")).alias("s"))
+    # of the template windows, those aligned with the same shift are one copy and are judged together
+    shift = (F.col("doc_at") - F.col("item_at")).alias("shift")
+    slots = pairs.where("typed").select("doc_id", "item_id", shift, F.explode(F.arrays_zip("item_slots", "doc_slots")).alias("s"))
     value = lambda c: F.substring_index(F.col(c), "\t", -1)
     kind = F.split("s.item_slots", "\t")[1].alias("kind")
-    read = slots.select("doc_id", "item_id", kind, value("s.item_slots").alias("was"), value("s.doc_slots").alias("is"))
-    by_value = read.groupBy("doc_id", "item_id", "kind", "was").agg(F.min("is").alias("low"), F.max("is").alias("high"))
-    judged = by_value.groupBy("doc_id", "item_id").agg(
-        F.count(F.lit(1)).alias("n_slots"),
-        F.count(F.when(F.col("low") != F.col("was"), 1)).alias("n_changed"),
-        F.max((F.col("low") != F.col("high")).cast("int")).alias("clash"),
+    read = slots.select("doc_id", "item_id", "shift", kind, value("s.item_slots").alias("was"), value("s.doc_slots").alias("is"))
+    by_value = read.groupBy("doc_id", "item_id", "shift", "kind", "was").agg(F.min("is").alias("low"), F.max("is").alias("high"))
+    by_shift = by_value.groupBy("doc_id", "item_id", "shift").agg(
+        F.count(F.lit(1)).alias("n"),
+        F.count(F.when(F.col("low") != F.col("was"), 1)).alias("changed"),
+        (F.max((F.col("low") != F.col("high")).cast("int")) == 0).alias("clean"),
     )
+    # the slots told are those of the consistent copy with the most of them, then of that with the fewest changed
+    best = F.max(F.struct("clean", F.col("n").alias("n_slots"), (-F.col("changed")).alias("kept"))).alias("best")
+    judged = by_shift.groupBy("doc_id", "item_id").agg(best).select("doc_id", "item_id", "best.clean", "best.n_slots", (-F.col("best.kept")).alias("n_changed"))
     counted = pairs.groupBy("doc_id", "item_id").agg(F.count_distinct("doc_at").alias("n_windows"), F.min(F.col("typed").cast("int")).alias("only_typed"))
     both = counted.join(judged, ["doc_id", "item_id"], "left")
-    kept = both.where((F.col("only_typed") == 0) | (F.coalesce("clash", F.lit(0)) == 0))
+    kept = both.where((F.col("only_typed") == 0) | F.coalesce("clean", F.lit(False)))
     return kept.select(
         "doc_id", "item_id", "n_windows",
         F.coalesce("n_slots", F.lit(0)).alias("n_slots"),

@@ -448,6 +448,15 @@ def test_op10_slots(spark, limit):
     assert got == {k: kind for k, (kind, _) in enumerate(texts) if kind}
 
 
+def test_op10_copies_are_judged_apart(spark):
+    items = spark.createDataFrame([(1, ITEM)], "item_id long, text string")
+    mixed = ITEM.replace("12 apples", "15 apples").replace("sold 12", "sold 19")
+    texts = [ITEM.replace("12", "15") + " . And " + ITEM.replace("12", "19"), ITEM.replace("12", "15") + " . And " + mixed.replace("30", "31"), mixed.replace("30", "31").replace("Anna", "Maria").replace("Peter", "Olaf")]
+    docs = spark.createDataFrame([(k, t.replace("mill", "barn").replace("farmer", "baker")) for k, t in enumerate(texts)], "doc_id long, text string")
+    got = {r["doc_id"]: (r["kind"], r["n_changed"]) for r in template_leaks.find_leaks(docs, items).collect()}
+    assert got == {0: ("reparameterised", 1), 1: ("reparameterised", 1)}
+
+
 def test_op10_odd_input(spark, sf_dir):
     items = table(spark, sf_dir, "benchmark")
     assert template_leaks.find_leaks(odd_docs(spark), items).count() == 0
