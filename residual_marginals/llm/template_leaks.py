@@ -1,8 +1,8 @@
 """Benchmark decontamination by template canonicalisation.
 
 Words lose outer punctuation and case. In the template view numbers, names (capitalised
-words inside a sentence) and units (after a number) become typed placeholders; the literal view keeps every word. Windows of ``width`` words of either view
-are hash-joined with those of the benchmark. For each document, item and shift between them (one copy) the placeholders of matched windows are
+words inside a sentence) and units (after a number) become typed placeholders; in the wide template view capitalised words that begin a sentence are names, too;
+the literal view keeps every word. Windows of ``width`` words of the template views or of the literal view are hash-joined with those of the benchmark. For each document, item and shift between them (one copy) the placeholders of matched windows are
 read as slots: if in one copy every value in the item always stands for the same value in the document, the item was copied or
 re-parameterised; if in none, it only shares a form and is left alone. An item shorter than the window is
 one window, if it has at least ``least`` words.
@@ -17,7 +17,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from residual_marginals.llm.common import materialise, small_batches, table
@@ -102,17 +102,17 @@ class Words(dict):
 
 
 def rolled(tokens: np.ndarray, width: int) -> np.ndarray:
-    """A 64-bit hash of every window of ``width`` tokens."""
-    n = len(tokens) - width + 1
-    out = np.zeros(n, np.uint64)
+    """A 64-bit hash of every window of ``width`` tokens, for each row of tokens."""
+    n = tokens.shape[-1] - width + 1
+    out = np.zeros((*tokens.shape[:-1], n), np.uint64)
     for k in range(width):
-        out = (out ^ tokens[k : k + n]) * _MIXERS[k % 2] + np.uint64(k + 1)
+        out = (out ^ tokens[..., k : k + n]) * _MIXERS[k % 2] + np.uint64(k + 1)
         out ^= out >> np.uint64(31)
     return out
 
 
 class Windows:
-    """Window hashes of one text in both views."""
+    """Window hashes of one text in all views."""
 
     def __init__(self, text: str, words: Words):
         self.words = text.split()
@@ -127,29 +127,34 @@ class Windows:
             first[1:] = ends[ids[:-1]]
         before = np.r_[False, kind[:-1] == NUM] if len(ids) else np.zeros(0, bool)
         slot = np.where(kind == NUM, NUM, np.where((kind == TITLE) & ~first, TITLE, np.where((kind == UNIT) & before, UNIT, PLAIN)))
-        self.slot = slot.astype(np.int64)
+        opens = (kind == TITLE) & first
         self.literal = hashes[ids] if len(ids) else np.zeros(0, np.uint64)
-        self.template = np.where(self.slot > 0, _PLACEHOLDERS[self.slot], self.literal)
+        #: Slots of the template view, and of the wide one if it differs.
+        self.slot = np.stack([slot, np.where(opens, TITLE, slot)] if opens.any() else [slot]).astype(np.int64)
+        self.views = np.stack([self.literal, *np.where(self.slot > 0, _PLACEHOLDERS[self.slot], self.literal)])
 
     def hashes(self, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(hash, start, is template) of the windows: all literal ones, and template ones with a slot and enough literal words."""
+        """(hash, start, view) of the windows: all literal ones (view 0), and template (1) and other wide (2) ones with a slot and enough literal words."""
         n = len(self.literal) - width + 1
         if n <= 0 or width <= 0:
-            return np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, bool)
-        slots = np.cumsum(np.r_[0, self.slot > 0])
-        inside = slots[width:] - slots[:n]
-        typed = np.nonzero((inside > 0) & (width - inside >= min(LITERAL, width)))[0]
-        literal = rolled(self.literal, width)
-        template = rolled(self.template, width)[typed] if len(typed) else np.zeros(0, np.uint64)
-        return np.r_[literal, template], np.r_[np.arange(n), typed], np.r_[np.zeros(n, bool), np.ones(len(typed), bool)]
-
-    def slots(self, start: int, width: int) -> list[tuple[int, str, str]]:
-        """(place, kind, value) of the slots in a window, counted from its start."""
-        return [(k, KINDS[self.slot[start + k]], core(self.words[self.at[start + k]]).lower()) for k in range(width) if self.slot[start + k]]
+            return np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        slots = np.zeros((len(self.slot), len(self.literal) + 1), np.int64)
+        np.cumsum(self.slot > 0, axis=1, out=slots[:, 1:])
+        inside = slots[:, width:] - slots[:, :n]
+        typed = (inside > 0) & (width - inside >= min(LITERAL, width))
+        typed[1:] &= inside[1:] > inside[0]
+        all_hashes = rolled(self.views, width)
+        view, start = np.nonzero(typed)
+        return np.r_[all_hashes[0], all_hashes[1:][typed]], np.r_[np.arange(n), start], np.r_[np.zeros(n, np.int64), view + 1]
+
+    def slots(self, start: int, width: int, view: int) -> list[str]:
+        """Place, kind and value of the slots in a window of a template view, counted from its start; none for a literal window."""
+        own = self.slot[view - 1] if view else ()
+        return [f"{k}\t{KINDS[own[start + k]]}\t{core(self.words[self.at[start + k]]).lower()}" for k in range(width) if own[start + k]] if view else []
 
 
 def benchmark_windows(items: DataFrame, width: int = WIDTH, least: int = LEAST) -> DataFrame:
-    """(h, size, typed, item_id, item_at, item_slots) of all benchmark windows."""
+    """(h, size, typed, item_id, item_at, item_wide, item_slots) of all benchmark windows."""
 
     def cut(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         words = Words()
@@ -160,16 +165,16 @@ def benchmark_windows(items: DataFrame, width: int = WIDTH, least: int = LEAST)
                 size = min(width, len(own.literal))
                 if size < least:
                     continue
-                for h, at, typed in zip(*(x.tolist() for x in (lambda a, b, c: (a.view(np.int64), b, c))(*own.hashes(size)))):
-                    rows.append((h, size, typed, item_id, at, [f"{k}\t{kind}\t{v}" for k, kind, v in own.slots(at, size)]))
-            yield pd.DataFrame(rows, columns=["h", "size", "typed", "item_id", "item_at", "item_slots"])
+                for h, at, view in zip(*(x.tolist() for x in (lambda a, b, c: (a.view(np.int64), b, c))(*own.hashes(size)))):
+                    rows.append((h, size, view > 0, item_id, at, view == 2, own.slots(at, size, view)))
+            yield pd.DataFrame(rows, columns=["h", "size", "typed", "item_id", "item_at", "item_wide", "item_slots"])
 
     source = items.where("item_id is not null").select(F.col("item_id").cast("long"), F.col("text").cast("string"))
-    return source.mapInPandas(cut, "h long, size int, typed boolean, item_id long, item_at int, item_slots array<string>")
+    return source.mapInPandas(cut, "h long, size int, typed boolean, item_id long, item_at int, item_wide boolean, item_slots array<string>")
 
 
 def text_windows(docs: DataFrame, sizes: list[int], wanted: np.ndarray | None) -> DataFrame:
-    """(h, size, typed, doc_id, doc_at, doc_slots): windows of all texts whose hash is in ``wanted`` (None: all)."""
+    """(h, size, typed, doc_id, doc_at, doc_wide, doc_slots): windows of all texts whose hash is in ``wanted`` (None: all)."""
     if wanted is not None:
         wanted = np.unique(wanted.view(np.uint64))
         shift = np.uint64(64 - 22)
@@ -190,19 +195,19 @@ def text_windows(docs: DataFrame, sizes: list[int], wanted: np.ndarray | None) -
             for doc_id, text in zip(batch["doc_id"].tolist(), batch["text"]):
                 own = Windows(text or "", words)
                 for size in sizes:
-                    h, at, typed = own.hashes(size)
+                    h, at, view = own.hashes(size)
                     if context is not None:
                         near = np.nonzero(seen[(h >> np.uint64(42)).astype(np.int64)])[0]
                         place = np.minimum(np.searchsorted(known, h[near]), len(known) - 1)
                         near = near[known[place] == h[near]]
-                        h, at, typed = h[near], at[near], typed[near]
-                    for x, a, t in zip(h.view(np.int64).tolist(), at.tolist(), typed.tolist()):
-                        rows.append((x, size, t, doc_id, a, [f"{k}\t{kind}\t{v}" for k, kind, v in own.slots(a, size)] if t else []))
-            out = pd.DataFrame(rows, columns=["h", "size", "typed", "doc_id", "doc_at", "doc_slots"])
+                        h, at, view = h[near], at[near], view[near]
+                    for x, a, v in zip(h.view(np.int64).tolist(), at.tolist(), view.tolist()):
+                        rows.append((x, size, v > 0, doc_id, a, v == 2, own.slots(a, size, v)))
+            out = pd.DataFrame(rows, columns=["h", "size", "typed", "doc_id", "doc_at", "doc_wide", "doc_slots"])
             yield out
 
     source = docs.where("doc_id is not null").select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    return source.mapInPandas(scan, "h long, size int, typed boolean, doc_id long, doc_at int, doc_slots array<string>")
+    return source.mapInPandas(scan, "h long, size int, typed boolean, doc_id long, doc_at int, doc_wide boolean, doc_slots array<string>")
 
 
 def find_leaks(docs: DataFrame, items: DataFrame, width: int = WIDTH, least: int = LEAST, filter_limit: int = FILTER_LIMIT) -> DataFrame:
@@ -225,18 +230,25 @@ def find_leaks(docs: DataFrame, items: DataFrame, width: int = WIDTH, least: int
     pairs = materialise(found.join(small, ["h", "size", "typed"]).drop("h"))
     # of the template windows, those aligned with the same shift are one copy and are judged together
     shift = (F.col("doc_at") - F.col("item_at")).alias("shift")
-    slots = pairs.where("typed").select("doc_id", "item_id", shift, F.explode(F.arrays_zip("item_slots", "doc_slots")).alias("s"))
+    # each copy with the slots of the template view alone, and with those of the wide view as well
+    wide = (F.col("item_wide") | F.col("doc_wide")).alias("wide")
+    slots = pairs.where("typed").select("doc_id", "item_id", shift, wide, F.explode(F.arrays_zip("item_slots", "doc_slots")).alias("s"))
     value = lambda c: F.substring_index(F.col(c), "\t", -1)
     kind = F.split("s.item_slots", "\t")[1].alias("kind")
-    read = slots.select("doc_id", "item_id", "shift", kind, value("s.item_slots").alias("was"), value("s.doc_slots").alias("is"))
-    by_value = read.groupBy("doc_id", "item_id", "shift", "kind", "was").agg(F.min("is").alias("low"), F.max("is").alias("high"))
-    by_shift = by_value.groupBy("doc_id", "item_id", "shift").agg(
-        F.count(F.lit(1)).alias("n"),
-        F.count(F.when(F.col("low") != F.col("was"), 1)).alias("changed"),
-        (F.max((F.col("low") != F.col("high")).cast("int")) == 0).alias("clean"),
+    read = slots.select("doc_id", "item_id", "shift", "wide", kind, value("s.item_slots").alias("was"), value("s.doc_slots").alias("is"))
+    narrow = F.when(~F.col("wide"), F.col("is"))
+    by_value = read.groupBy("doc_id", "item_id", "shift", "kind", "was").agg(
+        F.min("is").alias("low"), F.max("is").alias("high"), F.min(narrow).alias("narrow_low"), F.max(narrow).alias("narrow_high")
     )
+
+    def facts_of(low: str, high: str) -> Column:
+        """(clean, n_slots, minus the changed ones); a view without slots is not clean."""
+        clean = F.coalesce(F.max((F.col(low) != F.col(high)).cast("int")) == 0, F.lit(False))
+        return F.struct(clean.alias("clean"), F.count(low).alias("n_slots"), (-F.count(F.when(F.col(low) != F.col("was"), 1))).alias("kept"))
+
+    by_shift = by_value.groupBy("doc_id", "item_id", "shift").agg(facts_of("low", "high").alias("wide"), facts_of("narrow_low", "narrow_high").alias("narrow"))
     # the slots told are those of the consistent copy with the most of them, then of that with the fewest changed
-    best = F.max(F.struct("clean", F.col("n").alias("n_slots"), (-F.col("changed")).alias("kept"))).alias("best")
+    best = F.max(F.greatest("wide", "narrow")).alias("best")
     judged = by_shift.groupBy("doc_id", "item_id").agg(best).select("doc_id", "item_id", "best.clean", "best.n_slots", (-F.col("best.kept")).alias("n_changed"))
     counted = pairs.groupBy("doc_id", "item_id").agg(F.count_distinct("doc_at").alias("n_windows"), F.min(F.col("typed").cast("int")).alias("only_typed"))
     both = counted.join(judged, ["doc_id", "item_id"], "left")

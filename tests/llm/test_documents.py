@@ -457,6 +457,17 @@ def test_op10_copies_are_judged_apart(spark):
     assert got == {0: ("reparameterised", 1), 1: ("reparameterised", 1)}
 
 
+def test_op10_names_that_begin_sentences(spark):
+    story = "Tom has 5 apples. Tom buys 3 more. Tom eats 2. How many are left?"
+    short = "Tom has 8 pears and wants some more"
+    items = spark.createDataFrame([(1, story), (2, short)], "item_id long, text string")
+    other = story.replace("Tom", "Ann").replace("5", "6").replace("3", "4")
+    texts = [other, "Question - " + other, short.replace("Tom", "Ann"), other.replace("Ann eats", "Bob eats").replace("Ann buys", "Eve buys"), "Ann has"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {(r["doc_id"], r["item_id"], r["kind"]) for r in template_leaks.find_leaks(docs, items).collect()}
+    assert got == {(0, 1, "reparameterised"), (1, 1, "reparameterised"), (2, 2, "reparameterised")}
+
+
 def test_op10_odd_input(spark, sf_dir):
     items = table(spark, sf_dir, "benchmark")
     assert template_leaks.find_leaks(odd_docs(spark), items).count() == 0
