@@ -97,7 +97,16 @@ def anchors(data: np.ndarray, length: int = LENGTH, gram: int = GRAM):
         parts.append((spot + at, first + at, last + at, hashes[spot], range_hashes(prefix, first, last + length)))
     if not parts:
         return tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.int64, np.uint64, np.uint64))
-    return tuple(np.concatenate(x) for x in zip(*parts))
+    spot, first, last, grams, around = (np.concatenate(x) for x in zip(*parts))
+    # runs of one anchor that a block's edge has cut are one run
+    head = np.nonzero(np.r_[True, np.diff(spot) != 0])[0]
+    if len(head) < len(spot):
+        tail = np.r_[head[1:], len(spot)] - 1
+        spot, first, last, grams, around = spot[head], first[head], last[tail], grams[head], around[head]
+        for k in np.nonzero(tail > head)[0]:
+            own = prefix_hashes(data[first[k] : last[k] + length])
+            around[k] = range_hashes(own, np.zeros(1, np.int64), np.array([len(own) - 1]))[0]
+    return spot, first, last, grams, around
 
 
 class Suffixes:

@@ -168,6 +168,25 @@ def test_op7_against_brute_force(spark, limit):
     assert sorted((tuple(r)[:5] for r in got.collect()), key=str) == plain_removal(rows, 20)
 
 
+def test_op7_repeats_at_block_edges(spark, monkeypatch):
+    rng = np.random.default_rng(8)
+    noise = lambda n: "".join(rng.choice(list("abcdefgh"), n))
+    texts = [noise(400) for _ in range(12)]
+    for k in range(0, 12, 2):
+        passage, a, b = noise(26), 96 - 13 + k, 250 + 5 * k
+        texts[k] = texts[k][:a] + passage + texts[k][a + 26 :]
+        texts[k + 1] = texts[k + 1][:b] + passage + texts[k + 1][b + 26 :]
+    datas = [np.frombuffer(t.encode(), np.uint8) for t in texts]
+    whole = [suffix_dedup.anchors(d, 20, 8) for d in datas]
+    for stride in (96, 5):
+        monkeypatch.setattr(suffix_dedup, "STRIDE", stride)
+        for d, want in zip(datas, whole):
+            assert all(np.array_equal(a, b) for a, b in zip(suffix_dedup.anchors(d, 20, 8), want))
+    rows = list(enumerate(texts))
+    got = suffix_dedup.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string"), 20, 8)
+    assert sorted((tuple(r)[:5] for r in got.collect()), key=str) == plain_removal(rows, 20)
+
+
 def test_op7_whole_query(spark, sf_dir):
     rows = [(r["doc_id"], r["text"]) for r in table(spark, sf_dir, "documents").collect()]
     assert sorted((tuple(r) for r in registry.QUERIES["op7_suffix_dedup"](spark, sf_dir).collect()), key=str) == plain_removal(rows, 200)
