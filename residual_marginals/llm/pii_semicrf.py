@@ -103,7 +103,7 @@ def stretches(text: str) -> Iterator[list[tuple[int, int]]]:
             start -= 1
         words = []
         for m in WORD.finditer(text, start):
-            if not HOT.search(m[0]) or len(words) >= 400:
+            if not HOT.search(m[0]):
                 break
             words.append(m.span())
         done = words[-1][1] if words else hint.end()
@@ -162,15 +162,17 @@ class SemiMarkov:
     def __init__(self, weights: dict[str, list[float]] | None = None):
         self.weights = weights or {}
 
-    def lattice(self, text: str, words: list[tuple[int, int]]):
-        """Candidate segments (first word, after last word, start, end, features)."""
-        out = []
+    def segments(self, text: str, words: list[tuple[int, int]]) -> Iterator[tuple[int, int, int, int, list[str]]]:
+        """Candidate segments (first word, after last word, start, end, features), by first word."""
         for i in range(len(words)):
             for j in range(i + 1, min(len(words), i + MAX_WORDS) + 1):
                 start, end = trimmed(text, words[i][0], words[j - 1][1])
                 if end > start and end > words[j - 1][0] and start < words[i][1] and end - start < 120:
-                    out.append((i, j, start, end, features(text, start, end)))
-        return out
+                    yield i, j, start, end, features(text, start, end)
+
+    def lattice(self, text: str, words: list[tuple[int, int]]):
+        """All candidate segments at once."""
+        return list(self.segments(text, words))
 
     def scores(self, feats: list[str]) -> list[float]:
         total = [0.0] * len(KINDS)
@@ -180,18 +182,29 @@ class SemiMarkov:
         return total
 
     def best(self, n: int, lattice) -> list[tuple[int, int, str]]:
-        """Best segmentation of n words: (start, end, kind)."""
+        """Best segmentation of n words: (start, end, kind); segments come by their first word and are not kept."""
         value, back = [0.0] * (n + 1), [None] * (n + 1)
-        ends: dict[int, list] = {}
-        for seg in lattice:
-            ends.setdefault(seg[1], []).append(seg)
-        for j in range(1, n + 1):
-            value[j] = value[j - 1]
-            for i, _, start, end, feats in ends.get(j, ()):
-                scored = self.scores(feats)
-                k = max(range(len(KINDS)), key=scored.__getitem__)
-                if value[i] + scored[k] - MARGIN > value[j]:
-                    value[j], back[j] = value[i] + scored[k] - MARGIN, (i, start, end, KINDS[k])
+        reached = 0
+        offers: dict[int, tuple] = {}
+
+        def settle(upto: int) -> None:
+            """Values of the words that no later segment can end at."""
+            nonlocal reached
+            while reached < upto:
+                reached += 1
+                value[reached] = value[reached - 1]
+                offer = offers.pop(reached, None)
+                if offer and offer[0] > value[reached]:
+                    value[reached], back[reached] = offer
+
+        for i, j, start, end, feats in lattice:
+            settle(i)
+            scored = self.scores(feats)
+            k = max(range(len(KINDS)), key=scored.__getitem__)
+            worth = value[i] + scored[k] - MARGIN
+            if j not in offers or worth > offers[j][0]:
+                offers[j] = worth, (i, start, end, KINDS[k])
+        settle(n)
         out, j = [], n
         while j:
             if back[j]:
@@ -311,15 +324,13 @@ def spans_of(text: str, model: SemiMarkov) -> tuple[list, list]:
     base = base_spans(text)
     added = []
     taken = [(s, e) for s, e, _ in base]
-    for words in stretches(text) if HINT.search(text) or " at " in text or "at]" in text or "at)" in text else ():
+    for words in stretches(text):
         if len(words) == 1 and any(s < words[0][1] and words[0][0] < e for s, e in taken):
             continue
-        for at in range(0, len(words), 100):
-            part = words[at : at + 100]
-            for start, end, kind in model.best(len(part), model.lattice(text, part)):
-                if not any(s < end and start < e for s, e in taken):
-                    added.append((start, end, kind))
-                    taken.append((start, end))
+        for start, end, kind in model.best(len(words), model.segments(text, words)):
+            if not any(s < end and start < e for s, e in taken):
+                added.append((start, end, kind))
+                taken.append((start, end))
     return base, sorted(base + added, key=lambda x: (x[0], KINDS.index(x[2]), x[1]))
 
 

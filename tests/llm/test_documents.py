@@ -411,6 +411,21 @@ def test_field_finds_what_patterns_miss():
     assert "[email]" in pii_semicrf.mask("write to a.b@c.example.com please", model)
 
 
+def test_field_reads_whole_stretches():
+    texts = [f"word mail{k}.x@site{k}.example.com and +1 ({200 + k}) 555-{6000 + k} or 10.0.{k}.7 then 4532015112830366 end" for k in range(60)]
+    model = pii_semicrf.SemiMarkov().fit(pii_semicrf.examples_from(texts))
+    span = "+1 (269) 555-3296"
+    for pad in (3, 98, 99, 198, 398, 399):
+        text = "7x " * pad + span + " 4532015112830366 now"
+        assert (3 * pad, 3 * pad + len(span), "phone") in pii_semicrf.spans_of(text, model)[1], pad
+
+
+@pytest.mark.parametrize("text", ["write john <at> mail <dot> example now", "write john at\nmail dot example now", "write john\nat mail dot example now"])
+def test_spelled_addresses_without_digits(text):
+    model = pii_semicrf.SemiMarkov({"bias": [-5.0] * 4, "spelled=2": [9.0, 0.0, 0.0, 0.0]})
+    assert [k for _, _, k in pii_semicrf.spans_of(text, model)[1]] == ["email"]
+
+
 def test_bounded_program_is_exact():
     text = "a1 b2 c3 d4 e5"
     model = pii_semicrf.SemiMarkov()
