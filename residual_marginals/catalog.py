@@ -734,7 +734,7 @@ def _(spark, sf_dir):
 
 @query("adaptive_release_cluster")
 def _(spark, sf_dir):
-    return residuals.unpack(adaptive_release_cluster(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5, max_rounds=3)[0])
+    return residuals.unpack(adaptive_release_cluster(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5)[0])
 
 
 @query("batch_release")

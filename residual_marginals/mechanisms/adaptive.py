@@ -265,8 +265,8 @@ def score_blocks(true_blocks: DataFrame, estimated: DataFrame, domain: Domain, w
     return a.join(b, "gamma").join(F.broadcast(w), "gamma").select("gamma", (F.col("w") * (gap - math.sqrt(2 / math.pi) * sigma * F.col("n"))).alias("score"))
 
 
-def adaptive_release_cluster(df: DataFrame, domain: Domain, workload: Workload, rho: float, *, secret: bytes = b"test", key: str = "run", max_rounds: int = 8, min_gain: float = 1e-3, cut_every: int = 4):
-    """The same loop with all tables on the executors: (marginals as packed blocks, ledger, trace rows).
+def adaptive_release_cluster(df: DataFrame, domain: Domain, workload: Workload, rho: float, *, secret: bytes = b"test", key: str = "run", max_rounds: int | None = None, min_gain: float = 1e-3, cut_every: int = 4):
+    """The same loop with all tables on the executors, until the budget is spent: (marginals as packed blocks, ledger, trace rows).
 
     Per round one job scores (co-partitioned by gamma) and one fetches the chosen marginal's block; changes are broadcast
     to the blocks that contain them. Lineage is cut every ``cut_every`` rounds.
@@ -283,9 +283,8 @@ def adaptive_release_cluster(df: DataFrame, domain: Domain, workload: Workload,
     state.sets = []
     zero = true_blocks.select("gamma", "kind", F.transform("values", lambda v: v * 0.0).alias("values"))
     blocks_now = cut(lazy.lazy_round(zero, domain, dict(state.estimates)))
-    for k in range(max_rounds):
-        if ledger.left <= rho * 1e-9:
-            break
+    k = 0
+    while ledger.left > rho * 1e-9 and (max_rounds is None or k < max_rounds):
         schedule.fit(ledger.left)
         scores = {r["gamma"]: r["score"] for r in score_blocks(true_blocks.where("gamma <> 0"), blocks_now, domain, weights, schedule.sigma).collect()}
         ledger.spend("select", min(exp_rho(schedule.epsilon), ledger.left))
@@ -303,4 +302,5 @@ def adaptive_release_cluster(df: DataFrame, domain: Domain, workload: Workload,
             blocks_now = cut(blocks_now)
         trace.append((k, gamma, 1 / (2 * spend), schedule.epsilon, ledger.total, len(own), len(plan) - len(own), 0, moved, 0.0))
         schedule.anneal(moved, domain.size(gamma))
+        k += 1
     return blocks_now.where(F.col("gamma").isin(workload.sets)), ledger, trace

@@ -141,6 +141,14 @@ def test_cluster_state_agrees_with_its_estimates(spark, sf_dir):
     assert np.allclose(got[3].sum(axis=0), got[6].sum(axis=1)) and ledger.total <= 0.5 and len(trace) == 2
 
 
+def test_cluster_state_spends_the_budget(spark, sf_dir, monkeypatch):
+    from residual_marginals.plans.schedule import Schedule
+
+    monkeypatch.setattr(Schedule, "anneal", lambda *_: False)  # rounds stay small
+    _, ledger, trace = adaptive_release_cluster(io.load(spark, sf_dir, "orders"), fx.ORDERS, Workload.all_kway(fx.ORDERS, 2), 0.5)
+    assert np.isclose(ledger.total, 0.5) and len(trace) > 8
+
+
 def test_answers(spark, sf_dir):
     out = adaptive_release(io.load(spark, sf_dir, "orders"), fx.ORDERS, Workload.all_kway(fx.ORDERS, 2), 1e8)
     rows = encode(io.load(spark, sf_dir, "orders"), fx.ORDERS)
