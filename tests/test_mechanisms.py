@@ -101,6 +101,17 @@ def test_graphical_model():
     assert ledger.total <= 0.5 * (1 + 1e-12) and set(out) == set(PAIRS.sets)
 
 
+def test_graphical_rounds_go_on_until_the_budget_is_spent():
+    domain = domain_of((2,) * 5)
+    full = np.random.default_rng(3).integers(0, 4000, domain.shape(31)).astype(float)
+    work = Workload.all_kway(domain, 3)
+    truth = {g: full.sum(axis=tuple(i for i in range(5) if not g >> i & 1)) for g in work.closure()}
+    _, ledger = graphical.adaptive_graphical(truth, domain, work, 0.5)
+    assert sum(r[1] == "select" for r in ledger.rows) > 12 and np.isclose(ledger.total, 0.5)
+    _, ledger = graphical.adaptive_graphical(truth, domain, work, 0.5, max_rounds=2)
+    assert sum(r[1] == "select" for r in ledger.rows) == 2 and np.isclose(ledger.total, 0.5)
+
+
 def test_multiplicative_weights_improves_on_uniform():
     skewed = FULL * np.linspace(0.2, 3, 24).reshape(3, 4, 2)
     truth = {g: skewed.sum(axis=tuple(i for i in range(3) if not g >> i & 1)) for g in PAIRS.sets}
