@@ -23,8 +23,8 @@ from pyspark.sql.functions import pandas_udf
 
 from residual_marginals.llm.common import small_batches, table
 
-#: Bounds of the fitting sample: trusted positives, unlabelled texts, labels for the prior.
-POSITIVES, UNLABELLED, PRIOR_LABELS = 3000, 6000, 20_000
+#: Bounds of the fitting sample: trusted positives, unlabelled texts.
+POSITIVES, UNLABELLED = 3000, 6000
 HASHED = 256
 STATISTICS = 16
 WIDTH = HASHED + STATISTICS
@@ -146,8 +146,7 @@ def train(docs: DataFrame, labels: DataFrame) -> np.ndarray:
     weights are zero, so every score is one half.
     """
     usable = labels.select(F.col("doc_id").cast("long"), F.col("quality").cast("int")).where(~held_out(F.col("doc_id")) & F.col("quality").isNotNull())
-    drawn = usable.orderBy(F.xxhash64("doc_id"), "doc_id").limit(PRIOR_LABELS)
-    share = drawn.agg(F.avg("quality")).first()[0]
+    share = usable.agg(F.avg("quality")).first()[0]
     trusted = usable.where("quality = 1").select("doc_id").distinct()
     texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).where("text is not null")
     least = [F.xxhash64("doc_id"), F.col("doc_id")]

@@ -349,6 +349,16 @@ def test_op1_held_out_labels_are_not_used(spark, sf_dir):
     assert np.allclose(pu_quality.train(docs, labels), pu_quality.train(docs, turned))
 
 
+def test_op1_prior_is_the_mean_of_all_usable_labels(spark, sf_dir, monkeypatch):
+    seen = []
+    monkeypatch.setattr(pu_quality, "PRIOR_LABELS", 3, raising=False)
+    monkeypatch.setattr(pu_quality, "fit", lambda positive, unlabelled, prior: seen.append(prior) or np.zeros(pu_quality.WIDTH))
+    labels = table(spark, sf_dir, "labels")
+    pu_quality.train(table(spark, sf_dir, "documents"), labels)
+    usable = [r["quality"] for r in labels.where(~pu_quality.held_out(F.col("doc_id"))).collect() if r["quality"] is not None]
+    assert np.isclose(seen[0], np.mean(usable)) and not np.isclose(np.mean(usable[:3]), np.mean(usable))
+
+
 def test_op1_non_negative_risk():
     rng = np.random.default_rng(0)
     make = lambda n, good: np.hstack([rng.random((n, pu_quality.HASHED)) * 0.01, np.ones((n, 1)), rng.normal(2 * good - 1, 0.5, (n, pu_quality.STATISTICS - 1))])
