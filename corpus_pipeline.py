@@ -69,8 +69,8 @@ def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All documents as pieces of packed sequences of at most 2048 ids."""
-    return best_fit_packing.pack(materialise(best_fit_packing.pieces(docs)))
+    """All documents as pieces of packed sequences of at most 2048 ids; rows that repeat are packed as often as they come."""
+    return best_fit_packing.pack(best_fit_packing.pieces(docs))
 
 
 STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [

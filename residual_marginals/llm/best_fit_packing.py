@@ -1,31 +1,38 @@
 """Best-fit packing of token sequences in bulk-synchronous rounds.
 
-Pieces of equal length are interchangeable, and so are sequences with equal gaps. Sorting
-pieces and gaps by size therefore leaves at most ``capacity`` classes of each, however many
-documents there are. A round takes the longest pieces left, sweeps the sorted gaps for the
-successor of their length (the smallest gap that holds them), resolves competing pieces by
-rank (the first ranks get the gap class, the rest look for the next gap or open sequences),
-updates the gaps and repeats. A class of sequences is a run of consecutive numbers with one
-gap, so a round writes one row (length, ranks, sequence run, offset). Pieces are ranked
-inside their length class across the cluster and joined to those rows.
+Documents are cut into pieces; sequences start as empty gaps, as many as the ids fill at least. A round takes
+the longest pieces left (a window of lengths) and all gaps that hold any of them, range-sorts both by size over
+the cluster, and sweeps each range for successors: a piece takes the smallest gap that holds it and has a slot left. What a range
+leaves over is resolved by rank: its pieces go, in order, to the nearest gaps that ranges of larger sizes left over, for which the driver
+only sees two counts a range. Then gaps are updated, and the next round begins, until no piece is left; new
+sequences are opened only when a piece fits no gap at all. When the pieces and gaps left are no more than one task's share of a sweep, that task goes on
+alone, one piece a round.
 """
 
 from __future__ import annotations
 
+import math
 import zlib
 from array import array
 from bisect import bisect_left, insort
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+import pyarrow as pa
+from pyspark import TaskContext
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from residual_marginals.llm.common import empty, local_threads, materialise, small_batches, table, vocabulary, with_rank
+from residual_marginals.llm.common import empty, local_threads, materialise, small_batches, table, unused, vocabulary
 
 #: Entries of a worker's cache of encoded chunks.
 CACHE_LIMIT = 800_000
+#: A round takes lengths down to this share of the longest piece left; all at once when that is at most SMALL.
+WINDOW, SMALL = 0.8, 16
+#: Pieces and gaps that one task sweeps.
+SWEEP_ROWS = 1 << 16
 
 
 class Chunks(dict):
@@ -106,7 +113,8 @@ def pieces(docs: DataFrame, capacity: int = 2048, tokenizer: str | None = None,
     """(doc_id, piece, start, length, ids_crc32[, ids]): every document as pieces of at most ``capacity`` ids.
 
     A document is its ids followed by ``end_id``; null texts count as empty. Longer ones are cut
-    from the end into full pieces, so only the first piece may be shorter.
+    from the end into full pieces, so only the first piece may be shorter. Rows that repeat are cut one by one, a null doc_id stays
+    null, extra columns are ignored, an empty table gives no piece.
     """
     small_batches(docs.sparkSession, 1000)
     path = tokenizer or vocabulary("byte_bpe_50k.json")
@@ -133,71 +141,179 @@ def pieces(docs: DataFrame, capacity: int = 2048, tokenizer: str | None = None,
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInPandas(cut, schema)
 
 
-def rounds(counts: dict[int, int], capacity: int) -> list[tuple[int, int, int, int, int]]:
-    """(length, first rank, pieces, first sequence, offset) rows of best-fit decreasing over length classes.
+def sweep(sizes: np.ndarray, slots: np.ndarray, who: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Successor sweep over pieces (``slots`` 0) and gaps by falling size, gaps before pieces of their size.
 
-    ``counts`` has at most ``capacity`` entries, so all of it is bounded by the capacity.
+    Each piece takes the smallest gap seen so far that has a slot left. Returns (pieces, gaps) that met, as positions, the positions of
+    the pieces without a gap in sweep order, and of the gaps with slots left in sweep order, with the number of those.
     """
-    gaps: list[int] = []  # sorted sizes of open gaps
-    open_runs: dict[int, list[tuple[int, int]]] = {}  # gap -> runs (first sequence, sequences)
-    rows, fresh = [], 0
-
-    def add(gap: int, run: tuple[int, int]) -> None:
-        if gap:
-            if gap not in open_runs:
-                insort(gaps, gap)
-                open_runs[gap] = []
-            open_runs[gap].append(run)
-
-    for length in sorted(counts, reverse=True):
-        left, rank = counts[length], 0
-        while left:
-            at = bisect_left(gaps, length)
+    order = np.lexsort((who, slots == 0, -sizes))
+    many = np.maximum(slots[order], 1)
+    spot = np.repeat(order, many)
+    is_gap = slots[spot] > 0
+    # like brackets: a piece closes the last open slot, which stands on its level
+    depth = np.cumsum(np.where(is_gap, 1, -1))
+    level = np.where(is_gap, depth, depth + 1)
+    by_level = np.argsort(level, kind="stable")
+    a, b = by_level[:-1], by_level[1:]
+    met = (level[a] == level[b]) & is_gap[a] & ~is_gap[b]
+    free = np.ones(len(spot), bool)
+    free[a[met]] = free[b[met]] = False
+    left = spot[free & is_gap]
+    first = np.nonzero(np.r_[True, left[1:] != left[:-1]])[0] if len(left) else np.zeros(0, np.int64)
+    return spot[b[met]], spot[a[met]], spot[free & ~is_gap], left[first], np.diff(np.r_[first, len(left)])
+
+
+def _swept(rows: DataFrame) -> DataFrame:
+    """(part, state, piece, size, seq, at, many): each part's own matches (state 0), pieces left (1) and gaps left (2) with their rank among those of the part."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [b for b in batches if b.num_rows]
+        if not held:
+            return
+        whole = pa.Table.from_batches(held)
+        sizes, slots, who = (whole.column(c).to_numpy() for c in ("size", "slots", "who"))
+        piece, gap, alone, spare, many = sweep(sizes, slots, who)
+        rank = np.cumsum(many) - many
+        none = lambda n: np.zeros(n, np.int64)
+        columns = {
+            "state": np.repeat(np.arange(3), [len(piece), len(alone), len(spare)]),
+            "piece": np.r_[who[piece], who[alone], none(len(spare))],
+            "size": np.r_[sizes[piece], sizes[alone], sizes[spare]],
+            "seq": np.r_[who[gap], none(len(alone)), who[spare]],
+            "at": np.r_[none(len(piece)), np.arange(len(alone)), rank],
+            "many": np.r_[none(len(piece)), none(len(alone)) + 1, many],
+        }
+        part = np.full(len(columns["at"]), TaskContext.get().partitionId())
+        yield pa.RecordBatch.from_arrays([pa.array(x.astype(np.int64)) for x in (part, *columns.values())], names=["part", *columns])
+
+    return rows.mapInArrow(run, "part long, state long, piece long, size long, seq long, at long, many long")
+
+
+def conflicts(left: list[tuple[int, int, int]]) -> list[tuple[int, int, int, int, int, int]]:
+    """Which pieces left in one part get which gaps left in the parts before it: (piece part, first piece rank, pairs, gap part, end gap rank, first pair).
+
+    ``left``: (part, pieces left, slots left) of the parts in order. Pieces come by rank and take the nearest slots first. At most two
+    rows a part come out.
+    """
+    stack, out, pair = [], [], 0
+    for part, pieces, slots in sorted(left):
+        rank = 0
+        while rank < pieces and stack:
+            there, end = stack.pop()
+            n = min(pieces - rank, end)
+            out.append((part, rank, n, there, end, pair))
+            rank, pair = rank + n, pair + n
+            if end > n:
+                stack.append((there, end - n))
+        if slots:
+            stack.append((part, slots))
+    return out
+
+
+def _finished(rows: DataFrame, capacity: int, opened: int) -> DataFrame:
+    """(piece, size, seq): the last rows, one piece after the other, each to the smallest gap that holds it."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [b for b in batches if b.num_rows]
+        if not held:
+            return
+        whole = pa.Table.from_batches(held)
+        sizes, slots, who = (whole.column(c).to_numpy() for c in ("size", "slots", "who"))
+        gaps = sorted(zip(sizes[slots > 0].tolist(), who[slots > 0].tolist()))
+        fresh, out = opened, []
+        pieces = np.nonzero(slots == 0)[0]
+        for k in pieces[np.lexsort((who[pieces], -sizes[pieces]))].tolist():
+            size = int(sizes[k])
+            at = bisect_left(gaps, (size, -1))
             if at < len(gaps):
-                gap = gaps[at]
-                first, many = open_runs[gap].pop()
-                if not open_runs[gap]:
-                    del open_runs[gap], gaps[at]
+                gap, seq = gaps.pop(at)
             else:
-                gap, first, many = capacity, fresh, -(-left // (capacity // length))
-                fresh += many
-            # a sequence stays the best fit until it is too full, so each takes as many pieces as it holds
-            each = gap // length
-            whole = min(many, left // each)
-            parts = [(first, whole, each)] if whole else []
-            if whole < many and (some := min(each, left - whole * each)):
-                parts.append((first + whole, 1, some))
-            for start, run, pieces_each in parts:
-                for k in range(pieces_each):
-                    rows.append((length, rank, run, start, capacity - gap + k * length))
-                    rank, left = rank + run, left - run
-                add(gap - pieces_each * length, (start, run))
-            untouched = many - sum(run for _, run, _ in parts)
-            if untouched:
-                add(gap, (first + many - untouched, untouched))
-    return rows
-
-
-def pack(cut: DataFrame, capacity: int = 2048, spread: int | None = None) -> DataFrame:
-    """Adds ``sequence_id`` and ``offset`` to a table of pieces (doc_id, piece, length and any other columns).
-
-    Ties go by doc_id and piece. Every piece keeps its row; an empty table gives an empty result.
+                gap, seq, fresh = capacity, fresh, fresh + 1
+            out.append((int(who[k]), size, seq))
+            insort(gaps, (gap - size, seq))
+        columns = np.array(out, np.int64).reshape(-1, 3).T
+        yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(c)) for c in columns], names=["piece", "size", "seq"])
+
+    return rows.coalesce(1).mapInArrow(run, "piece long, size long, seq long")
+
+
+def _resolved(swept: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(matches (piece, size, seq), pieces that found no gap (piece, size)) of a sweep over several parts."""
+    spark = swept.sparkSession
+    tally = swept.where("state > 0").groupBy("part").agg(F.sum(F.when(F.col("state") == 1, 1).otherwise(0)).alias("p"), F.sum(F.when(F.col("state") == 2, F.col("many")).otherwise(0)).alias("g"))
+    deals = conflicts([(r["part"], r["p"], r["g"]) for r in tally.collect()])
+    schema = "p_part long, p_low long, n long, g_part long, g_end long, pair0 long"
+    # a row or two for each part of the sweep
+    deals = F.broadcast(spark.createDataFrame(deals, schema) if deals else empty(spark, schema))
+    alone = swept.where("state = 1").join(deals, (F.col("part") == F.col("p_part")) & (F.col("at") >= F.col("p_low")) & (F.col("at") < F.col("p_low") + F.col("n")), "left")
+    given = alone.where("p_part is not null").select("piece", "size", (F.col("pair0") + F.col("at") - F.col("p_low")).alias("pair"))
+    low, high = F.greatest("at", F.col("g_end") - F.col("n")), F.least(F.col("at") + F.col("many"), F.col("g_end")) - 1
+    spare = swept.where("state = 2").join(deals, F.col("part") == F.col("g_part")).where(low <= high)
+    slots = spare.select("seq", "g_end", "pair0", F.explode(F.sequence(low, high)).alias("slot")).select("seq", (F.col("pair0") + F.col("g_end") - 1 - F.col("slot")).alias("pair"))
+    matches = swept.where("state = 0").select("piece", "size", "seq").unionByName(given.join(slots, "pair").select("piece", "size", "seq"))
+    return matches, alone.where("p_part is null").select("piece", "size")
+
+
+def pack(cut: DataFrame, capacity: int = 2048, window: float = WINDOW, sweep_rows: int = SWEEP_ROWS) -> DataFrame:
+    """Adds ``sequence_id`` and ``offset`` to a table of pieces (length, from 1 to ``capacity``, and any other columns except those two).
+
+    Every row keeps its place in the result, rows that repeat are pieces of their own; an empty table gives an empty result. Pieces of
+    one length are placed in the order in which they are stored.
     """
-    spark = cut.sparkSession
-    counts = {int(r["length"]): int(r["n"]) for r in cut.groupBy("length").agg(F.count(F.lit(1)).alias("n")).collect()}
-    if any(not 0 < n <= capacity for n in counts):
+    spark, key = cut.sparkSession, unused(cut, "_row")
+    stored = materialise(cut.withColumn(key, F.monotonically_increasing_id()))
+    base = stored.select(F.col(key).alias("piece"), F.col("length").cast("long").alias("size"))
+    facts = base.agg(F.count(F.lit(1)).alias("n"), F.sum("size").alias("total"), F.min("size").alias("least"), F.max("size").alias("most"), F.count("size").alias("known")).first()
+    if facts["n"] and (facts["known"] < facts["n"] or facts["least"] < 1 or facts["most"] > capacity):
         raise ValueError(f"pieces must have 1 to {capacity} ids")
-    plan = rounds(counts, capacity)
-    ranked = with_rank(cut, ["length"], [F.col("doc_id"), F.col("piece")], F.xxhash64("doc_id", "piece"), "_rank", spread)
-    schema = "p_length long, p_rank long, p_count long, p_sequence long, p_offset long"
-    moves = spark.createDataFrame(plan, schema) if plan else empty(spark, schema)
-    inside = (F.col("length") == F.col("p_length")) & (F.col("_rank") >= F.col("p_rank")) & (F.col("_rank") < F.col("p_rank") + F.col("p_count"))
-    # the plan has a few rows per possible length: bounded by the capacity, not by the data
-    placed = ranked.join(F.broadcast(moves), inside)
-    return placed.select(*cut.columns, (F.col("p_sequence") + F.col("_rank") - F.col("p_rank")).alias("sequence_id"), F.col("p_offset").alias("offset"))
+    placed = [empty(spark, "piece long, size long, seq long, turn int")]
+    opened = -(-(facts["total"] or 0) // capacity)
+    gaps = spark.range(opened).select(F.col("id").alias("seq"), F.lit(capacity).cast("long").alias("gap"))
+    waiting, below, turn, top = empty(spark, "piece long, size long"), capacity + 1, 0, facts["most"]
+    while top:
+        slots = F.greatest(F.floor(F.col("gap") / top), F.lit(1)).cast("long")
+        offered = gaps.select(F.col("gap").alias("size"), slots.alias("slots"), F.col("seq").alias("who"))
+        asking = lambda rows: rows.select("size", F.lit(0).cast("long").alias("slots"), F.col("piece").alias("who"))
+        rest = offered.unionByName(asking(base.where(F.col("size") < below).unionByName(waiting)))
+        if rest.count() <= sweep_rows:
+            placed.append(materialise(_finished(rest, capacity, opened)).withColumn("turn", F.lit(turn + 1)))
+            break
+        widest = gaps.agg(F.max("gap")).first()[0] or 0
+        floor = max(1, min(top, math.ceil(top * window))) if top > SMALL else 1
+        # lengths come into play by falling windows; what found no gap goes on to the next sweep
+        active = base.where((F.col("size") < below) & (F.col("size") >= floor)).unionByName(waiting)
+        if top > widest:
+            big = active.where(F.col("size") > widest).agg(F.sum("size")).first()[0]
+            fresh = -(-big // capacity)
+            gaps = gaps.unionByName(spark.range(opened, opened + fresh).select(F.col("id").alias("seq"), F.lit(capacity).cast("long").alias("gap")))
+            opened += fresh
+            offered = gaps.select(F.col("gap").alias("size"), slots.alias("slots"), F.col("seq").alias("who"))
+        # a gap has as many slots as pieces of the greatest length surely fit, so it is filled before a wider one is touched
+        union = offered.where(F.col("size") >= floor).unionByName(asking(active))
+        parts = max(1, -(-union.count() // sweep_rows))
+        ranged = union.repartitionByRange(parts, F.col("size").desc(), (F.col("slots") == 0), "who") if parts > 1 else union.coalesce(1)
+        swept = materialise(_swept(ranged))
+        if parts > 1:
+            matches, alone = _resolved(swept)
+            matches = materialise(matches)
+        else:
+            matches, alone = swept.where("state = 0").select("piece", "size", "seq"), swept.where("state = 1").select("piece", "size")
+        turn += 1
+        placed.append(matches.withColumn("turn", F.lit(turn)))
+        taken = matches.groupBy("seq").agg(F.sum("size").alias("taken"))
+        gaps = materialise(gaps.join(taken, "seq", "left").select("seq", (F.col("gap") - F.coalesce("taken", F.lit(0))).alias("gap")).where(F.col("gap") >= facts["least"]))
+        waiting = materialise(alone) if parts > 1 else alone
+        below = floor
+        top = base.where(F.col("size") < below).unionByName(waiting).agg(F.max("size")).first()[0]
+    every = reduce(DataFrame.unionByName, placed)
+    # a sequence holds at most ``capacity`` pieces
+    before = Window.partitionBy("seq").orderBy("turn", F.desc("size"), "piece").rowsBetween(Window.unboundedPreceding, -1)
+    offset = F.coalesce(F.sum("size").over(before), F.lit(0)).alias("offset")
+    found = every.select(F.col("piece").alias(key), F.col("seq").alias("sequence_id"), offset)
+    return stored.join(found, key).select(*cut.columns, "sequence_id", "offset")
 
 
 def op8_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All documents in sequences of at most 2048 ids."""
-    cut = materialise(pieces(table(spark, sf_dir, "documents")))
-    return pack(cut).select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
+    """All documents in sequences of at most 2048 ids. Rows that repeat are packed as often as they come, null texts are one end id."""
+    return pack(pieces(table(spark, sf_dir, "documents"))).select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")

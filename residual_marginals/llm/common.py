@@ -28,8 +28,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """A fresh folder below ``spark.checkpoint.dir``; the default only where that is unset."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or DEFAULT_CHECKPOINT_DIR
+    """A fresh folder below ``spark.checkpoint.dir``; where that is unset, a default in local mode, an error on a cluster."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        base = DEFAULT_CHECKPOINT_DIR
     _SCRATCH.append(f"{base.rstrip('/')}/llm-{uuid.uuid4().hex}")
     return _SCRATCH[-1]
 
@@ -60,6 +64,14 @@ def small_batches(spark: SparkSession, rows: int) -> None:
         spark.conf.set(key, str(rows))
 
 
+def unused(df: DataFrame, name: str) -> str:
+    """``name``, lengthened until no column of the frame has it (names differ by more than case)."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def with_rank(df: DataFrame, keys: list[str], order: list[Column], spread: Column, name: str, buckets: int | None = None) -> DataFrame:
     """Gapless 0-based ``name`` within ``keys`` without one task per key.
 
@@ -69,16 +81,18 @@ def with_rank(df: DataFrame, keys: list[str], order: list[Column], spread: Colum
     """
     buckets = buckets or max(16, min(1 << 16, df.count() // 50_000))
     part = F.pmod(F.xxhash64(spread, F.lit(17)), F.lit(buckets)).cast("int")
-    parted = df.withColumn("_part", part)
-    grouped = [*keys, "_part"]
-    sizes = parted.groupBy(*grouped).agg(F.count(F.lit(1)).alias("_n"))
-    running = Window.partitionBy(*keys).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
-    starts = materialise(sizes.withColumn("_start", F.coalesce(F.sum("_n").over(running), F.lit(0))).drop("_n"))
+    at, many, start, place = (unused(df, c) for c in ("_part", "_n", "_start", "_inner"))
+    parted = df.withColumn(at, part)
+    grouped = [*keys, at]
+    sizes = parted.groupBy(*grouped).agg(F.count(F.lit(1)).alias(many))
+    running = Window.partitionBy(*keys).orderBy(at).rowsBetween(Window.unboundedPreceding, -1)
+    starts = materialise(sizes.withColumn(start, F.coalesce(F.sum(many).over(running), F.lit(0))).drop(many))
     inner = F.row_number().over(Window.partitionBy(*grouped).orderBy(*order))
-    ranked = parted.withColumn("_inner", inner)
+    ranked = parted.withColumn(place, inner)
     same = reduce(lambda a, b: a & b, [F.col(f"l.{k}").eqNullSafe(F.col(f"r.{k}")) for k in grouped])
     joined = ranked.alias("l").join(starts.alias("r"), same)
-    return joined.select("l.*", (F.col("r._start") + F.col("l._inner") - 1).cast("long").alias(name)).drop("_part", "_inner")
+    rank = (F.col(f"r.{start}") + F.col(f"l.{place}") - 1).cast("long").alias(name)
+    return joined.select(*[F.col(f"l.{c}") for c in df.columns if c != name], rank)
 
 
 def connected_components(edges: DataFrame, rounds: int = 60) -> DataFrame:
