@@ -21,7 +21,7 @@ from itertools import combinations
 import numpy as np
 import pandas as pd
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf
 
@@ -33,6 +33,10 @@ FANOUT = 8
 #: Distinct fingerprints in one key before it is cut again.
 GROUP_LIMIT = 1 << 16
 CHUNK = 1 << 16
+#: Rows whose groups are compared at once.
+RUN = 1 << 15
+#: Standard errors beyond the expected bits within which wide fingerprints link.
+TOLERANCE = 1.0
 
 
 #: Each byte value as eight counters of one byte.
@@ -94,18 +98,30 @@ def fingerprints(docs: DataFrame, width: int = 3, carry: tuple[str, ...] = ()) -
 
 
 def gray_rank(codes: np.ndarray) -> np.ndarray:
-    """Position of each code in the reflected Gray sequence (prefix XOR of its bits)."""
+    """Position of each code in the reflected Gray sequence (prefix XOR of its bits); codes of several words (rows) get as many rank words."""
     rank = codes.copy()
     for step in (1, 2, 4, 8, 16, 32):
         rank ^= rank >> np.uint64(step)
+    if rank.ndim > 1:
+        # a word is read backwards if the bits before it are odd
+        odd = np.bitwise_xor.accumulate(rank & np.uint64(1), axis=1)
+        rank[:, 1:] ^= np.uint64(0) - odd[:, :-1]
     return rank
 
 
+def differing(a: np.ndarray, b: np.ndarray, where: np.ndarray | None = None) -> np.ndarray:
+    """Differing bits of codes (last axis: words), counted where given."""
+    apart = a ^ b if where is None else (a ^ b) & where
+    return np.bitwise_count(apart).sum(axis=-1, dtype=np.int64)
+
+
 class GrayTree:
-    """Static tree over distinct codes in Gray order; every node keeps its members' shared bits."""
+    """Static tree over distinct codes (rows of words) in Gray order; every node keeps its members' shared bits."""
 
     def __init__(self, codes: np.ndarray):
-        self.codes = codes[np.argsort(gray_rank(codes), kind="stable")]
+        codes = codes if codes.ndim > 1 else codes[:, None]
+        self.order = np.lexsort(gray_rank(codes).T[::-1])
+        self.codes = codes[self.order]
         leaf_starts = np.arange(0, len(self.codes), LEAF)
         both = np.bitwise_and.reduceat(self.codes, leaf_starts)
         any_ = np.bitwise_or.reduceat(self.codes, leaf_starts)
@@ -116,15 +132,16 @@ class GrayTree:
             self.levels.append((both, ~(both ^ any_)))
 
     def close_pairs(self, radius: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-        """Batches of positions (i < j) whose codes differ in at most ``radius`` bits."""
+        """Batches of positions (i < j, in Gray order) whose codes differ in at most ``radius`` bits."""
         top = len(self.levels) - 1
         zero = np.zeros(1, np.int64)
-        stack = [(top, zero, zero, np.zeros(1, np.int64), np.zeros(1, np.uint64))]
+        chunk = CHUNK // self.codes.shape[1]
+        stack = [(top, zero, zero, np.zeros(1, np.int64), np.zeros((1, self.codes.shape[1]), np.uint64))]
         while stack:
             level, a, b, spent, seen = stack.pop()
             pattern, shared = self.levels[level]
             common = shared[a] & shared[b]
-            spent = spent + np.bitwise_count((pattern[a] ^ pattern[b]) & common & ~seen)
+            spent = spent + differing(pattern[a], pattern[b], common & ~seen)
             keep = spent <= radius
             a, b, spent, common = a[keep], b[keep], spent[keep], common[keep]
             if not len(a):
@@ -138,27 +155,40 @@ class GrayTree:
             ok = (x < below) & (y < below) & (x <= y)
             row, i, j = np.nonzero(ok)
             left, right = a[row] * FANOUT + i, b[row] * FANOUT + j
-            for at in range(0, len(row), CHUNK):
-                part = slice(at, at + CHUNK)
+            for at in range(0, len(row), chunk):
+                part = slice(at, at + chunk)
                 stack.append((level - 1, left[part], right[part], spent[row[part]], common[row[part]]))
 
     def _leaves(self, a: np.ndarray, b: np.ndarray, radius: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         n = len(self.codes)
-        for at in range(0, len(a), 1024):
-            x = a[at : at + 1024, None] * LEAF + np.arange(LEAF)
-            y = b[at : at + 1024, None] * LEAF + np.arange(LEAF)
-            differ = np.bitwise_count(self.codes[np.minimum(x, n - 1)][:, :, None] ^ self.codes[np.minimum(y, n - 1)][:, None, :])
-            ok = (differ <= radius) & (x < n)[:, :, None] & (y < n)[:, None, :] & (x[:, :, None] < y[:, None, :])
+        step = max(1, 1024 // self.codes.shape[1])
+        for at in range(0, len(a), step):
+            x = a[at : at + step, None] * LEAF + np.arange(LEAF)
+            y = b[at : at + step, None] * LEAF + np.arange(LEAF)
+            apart = differing(self.codes[np.minimum(x, n - 1)][:, :, None], self.codes[np.minimum(y, n - 1)][:, None, :])
+            ok = (apart <= radius) & (x < n)[:, :, None] & (y < n)[:, None, :] & (x[:, :, None] < y[:, None, :])
             row, i, j = np.nonzero(ok)
             yield x[row, i], y[row, j]
 
 
-def spanning_links(codes: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
-    """Links (code, smaller root) that join exactly the codes that chains of close pairs join."""
-    tree = GrayTree(codes)
-    parent = forest(len(codes), tree.close_pairs(radius))
-    linked = np.nonzero(parent != np.arange(len(codes)))[0]
-    return tree.codes[linked], tree.codes[parent[linked]]
+def close_in_groups(codes: np.ndarray, group: np.ndarray, radius: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Batches of pairs of rows of one group within ``radius`` bits; rows come sorted by group.
+
+    A group of one leaf is compared as it stands, all such groups at once; larger ones by their tree.
+    """
+    cut = np.nonzero(np.diff(group))[0] + 1
+    starts, ends = np.r_[0, cut], np.r_[cut, len(group)]
+    sizes = ends - starts
+    small = np.repeat(sizes <= LEAF, sizes)
+    for step in range(1, min(LEAF, int(sizes.max(initial=0)))):
+        i = np.nonzero((group[step:] == group[:-step]) & small[step:])[0]
+        i = i[differing(codes[i], codes[i + step]) <= radius]
+        yield i, i + step
+    for k in np.nonzero(sizes > LEAF)[0].tolist():
+        tree = GrayTree(codes[starts[k] : ends[k]])
+        at = starts[k] + tree.order
+        for i, j in tree.close_pairs(radius):
+            yield at[i], at[j]
 
 
 def forest(n: int, pairs: Iterator[tuple[np.ndarray, np.ndarray]]) -> np.ndarray:
@@ -214,71 +244,64 @@ def links(codes: DataFrame, radius: int = 2, blocks: int = 4, group_limit: int =
         for more in parts[1:]:
             rows = rows.unionByName(more)
 
-    def solve(frame: pd.DataFrame) -> pd.DataFrame:
-        codes = frame["fp"].to_numpy().view(np.uint64)
-        u, v = [], []
-        for s, e in _groups(frame):
-            if e - s == 2:
-                if int(codes[s] ^ codes[s + 1]).bit_count() <= radius:
-                    u.append(codes[s : s + 1])
-                    v.append(codes[s + 1 : e])
-                continue
-            x, y = spanning_links(codes[s:e], radius)
-            u.append(x)
-            v.append(y)
-        none = np.zeros(0, np.uint64)
-        return pd.DataFrame({"u": np.concatenate([none, *u]).view(np.int64), "v": np.concatenate([none, *v]).view(np.int64)})
+    def solve(frame: pd.DataFrame, group: np.ndarray) -> pd.DataFrame:
+        nodes = frame["fp"].to_numpy()
+        parent = forest(len(nodes), close_in_groups(nodes.view(np.uint64)[:, None], group, radius))
+        linked = np.nonzero(parent != np.arange(len(nodes)))[0]
+        return pd.DataFrame({"u": nodes[linked], "v": nodes[parent[linked]]})
 
     dealt = rows.repartition("choice", "key").sortWithinPartitions("choice", "key")
     return dealt.mapInPandas(_by_whole_groups(solve), "u long, v long")
 
 
-def _groups(frame: pd.DataFrame) -> list[tuple[int, int]]:
-    """(start, end) of the groups of two rows or more in a frame sorted by choice and key."""
-    choice, key = frame["choice"].to_numpy(), frame["key"].to_numpy()
-    cut = np.nonzero((choice[1:] != choice[:-1]) | (key[1:] != key[:-1]))[0] + 1
-    starts, ends = np.r_[0, cut], np.r_[cut, len(frame)]
-    more = ends - starts > 1
-    return list(zip(starts[more].tolist(), ends[more].tolist()))
-
-
 def _by_whole_groups(solve):
-    """A mapInPandas function that gives ``solve`` frames in which no group of (choice, key) is split."""
+    """A mapInPandas function that gives ``solve`` runs of whole groups of (choice, key), with the rows' group numbers."""
+
+    def numbered(frame: pd.DataFrame) -> np.ndarray:
+        choice, key = frame["choice"].to_numpy(), frame["key"].to_numpy()
+        return np.cumsum(np.r_[False, (choice[1:] != choice[:-1]) | (key[1:] != key[:-1])])
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        held: list[pd.DataFrame] = []
+        held, rows, goal = [], 0, RUN
         for batch in batches:
             if not len(batch):
                 continue
-            last = (batch["choice"] == batch["choice"].iloc[-1]) & (batch["key"] == batch["key"].iloc[-1])
-            at = len(batch) - int(last.sum())
-            before = held[-1].iloc[-1] if held else None
-            if before is not None and (at or not (before["choice"] == batch["choice"].iloc[0] and before["key"] == batch["key"].iloc[0])):
-                yield solve(pd.concat([*held, batch.iloc[:at]], ignore_index=True))
-                held = []
-            elif at:
-                yield solve(batch.iloc[:at].reset_index(drop=True))
-            held.append(batch.iloc[at:])
+            held.append(batch)
+            rows += len(batch)
+            if rows >= goal:
+                whole = pd.concat(held, ignore_index=True)
+                group = numbered(whole)
+                done = int(np.searchsorted(group, group[-1]))
+                if done:
+                    yield solve(whole.iloc[:done], group[:done])
+                held, rows = [whole.iloc[done:]], rows - done
+                goal = max(RUN, 2 * rows)
         if held:
-            yield solve(pd.concat(held, ignore_index=True))
+            whole = pd.concat(held, ignore_index=True)
+            yield solve(whole, numbered(whole))
 
     return run
 
 
-def similar_groups(docs: DataFrame, width: int = 5, similarity: float = 0.8, words: int = 8, block_bits: int = 16, carry: tuple[str, ...] = ()) -> DataFrame:
+def allowed_bits(bits: int, similarity: float, tolerance: float = TOLERANCE) -> int:
+    """Differing bits up to which fingerprints link: expected at that similarity, plus ``tolerance`` standard errors."""
+    share = np.arccos(2 * similarity / (1 + similarity)) / np.pi
+    return int(bits * share + tolerance * np.sqrt(bits * share * (1 - share)))
+
+
+def similar_groups(docs: DataFrame, width: int = 5, similarity: float = 0.8, words: int = 8, block_bits: int = 14, carry: tuple[str, ...] = (), group_limit: int = GROUP_LIMIT, tolerance: float = TOLERANCE) -> DataFrame:
     """Groups by similarity rather than by a fixed number of bits: doc_id, the columns ``carry``, fingerprint (hex), component_id.
 
     The share of equal bits of wide fingerprints estimates the angle between shingle sets, and so their
     Jaccard similarity s: equal bits are expected at 1 - arccos(2 s / (1 + s)) / pi. Fingerprints that agree on a
-    whole block of ``block_bits`` bits meet, in Gray order of the word that holds the block, and link from that share of equal bits on (less half a standard error).
-    With 512 bits the standard error of the share is 0.016, and 32 blocks of 16 bits let pairs of similarity 0.8, 0.85 and 0.9 meet
-    with probability 0.91, 0.97 and 0.998. A key holds about n / 2 ** block_bits fingerprints: take more bits beyond some
-    hundred million texts. Rows are treated as in ``near_groups``.
+    whole block of ``block_bits`` bits meet in the Gray tree of that block's key, which is pruned by the whole fingerprint's shared bits, and link within ``allowed_bits``.
+    With 512 bits the standard error of the share is 0.016, and 36 blocks of 14 bits let pairs of similarity 0.8, 0.85 and 0.9 meet
+    with probability 0.98, 0.996 and 0.9999. A key holds about n / 2 ** block_bits fingerprints: take more bits beyond some
+    hundred million texts. A key with more than ``group_limit`` distinct fingerprints is dealt to parts, and each pair of parts
+    gets a tree of its own, so no comparison is lost. Rows are treated as in ``near_groups``.
     """
     small_batches(docs.sparkSession, 1000)
-    apart_share = np.arccos(2 * similarity / (1 + similarity)) / np.pi
-    # half a standard error in favour of linking
-    most = int(64 * words * apart_share + 0.5 * np.sqrt(64 * words * apart_share * (1 - apart_share)))
+    most = allowed_bits(64 * words, similarity, tolerance)
 
     @pandas_udf("binary")
     def fp(texts: pd.Series) -> pd.Series:
@@ -286,32 +309,33 @@ def similar_groups(docs: DataFrame, width: int = 5, similarity: float = 0.8, wor
 
     marked = materialise(docs.select("doc_id", *carry, fp(F.col("text").cast("string")).alias("fp")).withColumn("node", F.xxhash64("fp")))
     codes = materialise(marked.groupBy("node", "fp").agg(F.min("doc_id").alias("low")))
-    size = block_bits // 8
-    choices = F.explode(F.array(*[F.struct(F.lit(k).alias("choice"), F.hex(F.substring("fp", k * size + 1, size)).alias("key")) for k in range(8 * words // size)]))
-    rows = codes.select("node", "fp", choices.alias("c")).select("c.choice", "c.key", "node", "fp")
+    if not 1 <= block_bits <= 48:
+        raise ValueError("block_bits must be 1 to 48")
 
-    def near(bits: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-        for at in range(0, len(bits), 256):
-            part = bits[at : at + 256]
-            apart = np.zeros((len(part), len(bits) - at), np.uint16)
-            for k in range(bits.shape[1]):
-                apart += np.bitwise_count(part[:, None, k] ^ bits[None, at:, k])
-            i, j = np.nonzero(apart <= most)
-            keep = i < j
-            yield i[keep] + at, j[keep] + at
-
-    def solve(frame: pd.DataFrame) -> pd.DataFrame:
+    def block(k: int) -> Column:
+        """The bits of block k, read from the bytes that hold them."""
+        first, last = k * block_bits // 8, ((k + 1) * block_bits - 1) // 8
+        bits = F.conv(F.hex(F.substring("fp", first + 1, last - first + 1)), 16, 10).cast("long")
+        return F.shiftright(bits, 8 * (last + 1) - (k + 1) * block_bits).bitwiseAND(F.lit((1 << block_bits) - 1).cast("long"))
+
+    choices = F.explode(F.array(*[F.struct(F.lit(k).alias("choice"), block(k).alias("key")) for k in range(64 * words // block_bits)]))
+    rows = codes.select("node", "fp", choices.alias("c")).select("c.choice", "c.key", "node", "fp")
+    counts = rows.groupBy("choice", "key").agg(F.count(F.lit(1)).alias("n"))
+    crowded = materialise(counts.where(F.col("n") > group_limit).select("choice", "key", F.ceil(F.col("n") / group_limit).cast("int").alias("parts")))
+    if crowded.count():
+        # parts a and b of a crowded key meet in the group of (a, b), whose number goes above the block's bits
+        whole = rows.join(crowded, ["choice", "key"], "left_anti")
+        own = F.pmod(F.xxhash64("node", F.lit(7)), F.col("parts")).cast("int")
+        dealt = rows.join(crowded, ["choice", "key"]).withColumn("a", own).withColumn("b", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+        pair = F.least("a", "b") * F.col("parts") + F.greatest("a", "b") + 1
+        rows = whole.unionByName(dealt.select("choice", (F.col("key") + pair.cast("long") * (1 << block_bits)).alias("key"), "node", "fp"))
+
+    def solve(frame: pd.DataFrame, group: np.ndarray) -> pd.DataFrame:
         nodes = frame["node"].to_numpy()
         bits = np.frombuffer(b"".join(frame["fp"]), np.uint64).reshape(len(frame), words)
-        word = frame["choice"].to_numpy() * size // 8
-        u, v = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
-        for s, e in _groups(frame):
-            order = s + np.argsort(gray_rank(bits[s:e, word[s]]), kind="stable")
-            parent = forest(e - s, near(bits[order]))
-            linked = np.nonzero(parent != np.arange(e - s))[0]
-            u.append(nodes[order[linked]])
-            v.append(nodes[order[parent[linked]]])
-        return pd.DataFrame({"u": np.concatenate(u), "v": np.concatenate(v)})
+        parent = forest(len(nodes), close_in_groups(bits, group, most))
+        linked = np.nonzero(parent != np.arange(len(nodes)))[0]
+        return pd.DataFrame({"u": nodes[linked], "v": nodes[parent[linked]]})
 
     dealt = rows.repartition("choice", "key").sortWithinPartitions("choice", "key")
     roots = materialise(connected_components(materialise(dealt.mapInPandas(_by_whole_groups(solve), "u long, v long").distinct())))

@@ -80,10 +80,50 @@ def test_gray_tree_prunes_exactly():
     tree = simhash_gray.GrayTree(codes)
     got = sum(len(i) for i, _ in tree.close_pairs(2))
     assert got == (np.triu(np.bitwise_count(codes[:, None] ^ codes[None, :]) <= 2, 1)).sum()
-    ranks = simhash_gray.gray_rank(tree.codes)
+    ranks = simhash_gray.gray_rank(tree.codes[:, 0])
     assert (np.diff(ranks.astype(np.int64)) > 0).all()
 
 
+def test_wide_gray_ranks_count_through_the_sequence():
+    # neighbours in the sequence of two-word codes differ in one bit, and the rank counts them
+    at = [(0, 0), (0, 1), (0, (1 << 64) - 1), (1, 0), (1, 1), (2, 5)]
+    numbers = [(a << 64) + b for a, b in at]
+    codes = np.array([[(n ^ n >> 1) >> 64, (n ^ n >> 1) & (1 << 64) - 1] for n in numbers], np.uint64)
+    assert simhash_gray.gray_rank(codes).tolist() == [list(x) for x in at]
+
+
+@pytest.mark.parametrize("radius", [3, 40, 100])
+def test_wide_tree_and_groups_against_all_pairs(radius):
+    rng = np.random.default_rng(radius)
+    centres = rng.integers(0, 1 << 63, (12, 8), dtype=np.uint64)
+    codes = np.repeat(centres, 25, axis=0)
+    for row in codes:
+        for b in rng.integers(0, 512, rng.integers(0, 60)):
+            row[b // 64] ^= np.uint64(1 << int(b % 64))
+    group = np.sort(np.r_[np.zeros(150, int), rng.integers(1, 40, 150)])
+    codes = codes[rng.permutation(300)]
+    near = simhash_gray.differing(codes[:, None], codes[None]) <= radius
+    want = {(i, j) for i, j in np.argwhere(np.triu(near & (group[:, None] == group[None]), 1)).tolist()}
+    got = {tuple(sorted(p)) for i, j in simhash_gray.close_in_groups(codes, group, radius) for p in zip(i.tolist(), j.tolist())}
+    assert got == want
+    tree = simhash_gray.GrayTree(codes)
+    assert sum(len(i) for i, _ in tree.close_pairs(radius)) == np.triu(near, 1).sum()
+
+
+def test_tree_prunes_whole_groups_of_wide_codes():
+    rng = np.random.default_rng(2)
+    codes = np.repeat(rng.integers(0, 1 << 63, (20, 8), dtype=np.uint64), 64, axis=0)
+    for row in codes:
+        for b in rng.integers(0, 512, 3):
+            row[b // 64] ^= np.uint64(1 << int(b % 64))
+    tree, compared = simhash_gray.GrayTree(codes), []
+    leaves = tree._leaves
+    tree._leaves = lambda a, b, radius: compared.append(len(a)) or leaves(a, b, radius)
+    assert sum(len(i) for i, _ in tree.close_pairs(81)) >= 20 * 64 * 63 / 2
+    # 80 leaves make 3,240 pairs; most of those of different groups are given up unseen
+    assert sum(compared) < 1620
+
+
 def test_similarity_groups(spark):
     rng = np.random.default_rng(11)
     rows, want = [], {}
@@ -98,6 +138,8 @@ def test_similarity_groups(spark):
     frame = spark.createDataFrame(rows, "doc_id long, text string")
     got = {r["doc_id"]: r["component_id"] for r in simhash_gray.similar_groups(frame, carry=("text",)).collect()}
     assert got == want
+    split = simhash_gray.similar_groups(frame, carry=("text",), group_limit=1)
+    assert {r["doc_id"]: r["component_id"] for r in split.collect()} == want
     odd = simhash_gray.similar_groups(odd_docs(spark)).collect()
     assert len(odd) == 12 and {r["component_id"] for r in odd if r["doc_id"] in (3, 4, 6)} == {3}
     assert simhash_gray.similar_groups(no_docs(spark)).count() == 0
