@@ -3,14 +3,15 @@
 A byte goes when a string of ``length`` bytes around it also starts anywhere else. Every such
 string holds an anchor: the gram of ``gram`` bytes with the least mixed hash in it (the last of
 equals), so equal strings have equal anchors at equal places. Only suffixes at anchors whose gram occurs
-again are compared. First whole neighbourhoods of an anchor (all strings that have it) are compared by their
-polynomial hash; neighbourhoods that occur again are settled. For the rest, the text to the right and to the
+again are compared. First whole neighbourhoods of an anchor (all strings that have it) are compared by a 128-bit BLAKE2
+digest of their bytes; neighbourhoods that occur again are settled. For the rest, the text to the right and to the
 left of each anchor becomes a suffix, and both sets are sorted by a mergesort whose comparisons
 find the common extension by binary search over prefix polynomial hashes. Sorted neighbours are
 verified byte by byte; a hash collision sends the block to a plain sort. In sorted order the suffixes that share a
 given extension stand together, so a string of the anchor repeats exactly if another suffix
 shares its run on both sides. An anchor with more distinct neighbourhoods than ``GROUP_LIMIT`` is not gathered: its strings
-are counted one by one by two 64-bit hashes instead.
+are counted one by one by their 128-bit digest instead. Grams and neighbourhoods that a large share of all rows has are told to every
+task instead of being dealt to one.
 """
 
 from __future__ import annotations
@@ -28,12 +29,13 @@ from residual_marginals.llm.common import materialise, small_batches, table
 
 LENGTH, GRAM = 200, 50
 GROUP_LIMIT = 2000
+#: Keys that may be broadcast because each holds a larger share of the rows than one of these.
+HOT_KEYS = 5000
 #: Suffixes sorted at once, and bytes of a text hashed at once.
 BLOCK, STRIDE = 8192, 1 << 20
 
 BASE = np.uint64(0x9E3779B97F4A7C15)
 INVERSE = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
-SECOND = np.uint64(0xD6E8FEB86659FD93)
 _LETTERS = np.random.default_rng(20240501).integers(1, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _POWERS: dict[str, np.ndarray] = {}
 
@@ -77,9 +79,9 @@ def sliding_minimum(values: np.ndarray, width: int) -> np.ndarray:
 
 
 def anchors(data: np.ndarray, length: int = LENGTH, gram: int = GRAM):
-    """(position, first start, last start, gram hash, neighbourhood hash) of a text's anchors, by position.
+    """(position, first start, last start, gram hash) of a text's anchors, by position.
 
-    Starts are those of the strings that have the anchor; the neighbourhood reaches from the first start to
+    Starts are those of the strings that have the anchor; its neighbourhood reaches from the first start to
     the end of the last string.
     """
     n, parts = len(data), []
@@ -94,19 +96,20 @@ def anchors(data: np.ndarray, length: int = LENGTH, gram: int = GRAM):
         cut = np.nonzero(np.diff(best))[0] + 1
         first, last = np.r_[0, cut], np.r_[cut, len(best)] - 1
         spot = best[first]
-        parts.append((spot + at, first + at, last + at, hashes[spot], range_hashes(prefix, first, last + length)))
+        parts.append((spot + at, first + at, last + at, hashes[spot]))
     if not parts:
-        return tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.int64, np.uint64, np.uint64))
-    spot, first, last, grams, around = (np.concatenate(x) for x in zip(*parts))
+        return tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.int64, np.uint64))
+    spot, first, last, grams = (np.concatenate(x) for x in zip(*parts))
     # runs of one anchor that a block's edge has cut are one run
     head = np.nonzero(np.r_[True, np.diff(spot) != 0])[0]
-    if len(head) < len(spot):
-        tail = np.r_[head[1:], len(spot)] - 1
-        spot, first, last, grams, around = spot[head], first[head], last[tail], grams[head], around[head]
-        for k in np.nonzero(tail > head)[0]:
-            own = prefix_hashes(data[first[k] : last[k] + length])
-            around[k] = range_hashes(own, np.zeros(1, np.int64), np.array([len(own) - 1]))[0]
-    return spot, first, last, grams, around
+    return spot[head], first[head], last[np.r_[head[1:], len(spot)] - 1], grams[head]
+
+
+def digests(data, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """128-bit BLAKE2 digests of byte ranges, as rows of two longs."""
+    view, blake = memoryview(data), hashlib.blake2b
+    found = b"".join([blake(view[a:b], digest_size=16).digest() for a, b in zip(starts.tolist(), ends.tolist())])
+    return np.frombuffer(found, np.int64).reshape(-1, 2)
 
 
 class Suffixes:
@@ -223,36 +226,56 @@ def _keyed(docs: DataFrame) -> DataFrame:
 
 
 def find_anchors(docs: DataFrame, length: int, gram: int) -> DataFrame:
-    """Anchors of all texts: (doc_id, mark, spot, first, last, gram, around)."""
+    """Anchors of all texts: (doc_id, mark, spot, before, after, gram, around, proof), the last two the digest of the neighbourhood."""
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids, marks = batch.column("doc_id").to_numpy(), batch.column("mark").to_numpy()
-            rows = [anchors(np.frombuffer(batch.column("data")[k].as_buffer(), np.uint8), length, gram) for k in range(batch.num_rows)]
+            rows, around = [], []
+            for k in range(batch.num_rows):
+                data = batch.column("data")[k].as_buffer()
+                rows.append(anchors(np.frombuffer(data, np.uint8), length, gram))
+                around.append(digests(data, rows[-1][1], rows[-1][2] + length))
             many = [len(r[0]) for r in rows]
             if not sum(many):
                 continue
-            spot, first, last, grams, around = (np.concatenate(x) for x in zip(*rows))
-            columns = [np.repeat(ids, many), np.repeat(marks, many), spot.astype(np.int64), (spot - first).astype(np.int16), (last - spot).astype(np.int16), grams.view(np.int64), around.view(np.int64)]
-            yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["doc_id", "mark", "spot", "before", "after", "gram", "around"])
+            spot, first, last, grams = (np.concatenate(x) for x in zip(*rows))
+            one, two = np.concatenate(around).T
+            columns = [np.repeat(ids, many), np.repeat(marks, many), spot.astype(np.int64), (spot - first).astype(np.int16), (last - spot).astype(np.int16), grams.view(np.int64), np.ascontiguousarray(one), np.ascontiguousarray(two)]
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["doc_id", "mark", "spot", "before", "after", "gram", "around", "proof"])
 
     long_enough = docs.where(F.octet_length("data") >= length).select("doc_id", "mark", "data")
-    return long_enough.mapInArrow(scan, "doc_id long, mark long, spot long, before short, after short, gram long, around long")
+    return long_enough.mapInArrow(scan, "doc_id long, mark long, spot long, before short, after short, gram long, around long, proof long")
+
+
+def with_common_keys(rows: DataFrame, counted: DataFrame, keys: list[str], total: int) -> DataFrame:
+    """``rows`` joined with ``counted`` (the keys, ``n`` rows of each, and more), where keys of many rows are broadcast.
+
+    Those are the keys that hold more than 1 / ``HOT_KEYS`` of all rows, so there are at most ``HOT_KEYS`` of them.
+    """
+    common = F.col("n") > max(1000, total // HOT_KEYS)
+    hot = materialise(counted.where(common))
+    if not hot.limit(1).count():
+        return rows.join(counted, keys)
+    rest = rows.join(F.broadcast(hot.select(*keys)), keys, "left_anti").join(counted.where(~common), keys)
+    return rows.join(F.broadcast(hot), keys).unionByName(rest)
 
 
 def repeated_ranges(keyed: DataFrame, length: int = LENGTH, gram: int = GRAM, group_limit: int = GROUP_LIMIT) -> DataFrame:
     """(doc_id, mark, start, stop): byte ranges that together are exactly the bytes to remove."""
     found = materialise(find_anchors(keyed, length, gram))
-    again = materialise(found.groupBy("gram").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("gram"))
-    open_ = materialise(found.join(again, "gram"))
-    kinds = open_.groupBy("gram", "around").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("doc_id", "mark", "spot", "before", "after")).alias("one"))
-    kinds = materialise(kinds)
-    settled = open_.join(kinds.where("n > 1").select("gram", "around"), ["gram", "around"], "left_semi")
+    total = found.count()
+    again = materialise(found.groupBy("gram").agg(F.count(F.lit(1)).alias("n")).where("n > 1"))
+    open_ = materialise(with_common_keys(found, again, ["gram"], total).drop("n"))
+    whole = ["gram", "around", "proof"]
+    kinds = materialise(open_.groupBy(*whole).agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("doc_id", "mark", "spot", "before", "after")).alias("one")))
+    settled = with_common_keys(open_, kinds.where("n > 1").select(*whole, "n"), whole, total)
     ranges = settled.select(*KEY, (F.col("spot") - F.col("before")).alias("start"), (F.col("spot") + F.col("after") + length).alias("stop"))
     # anchors with several neighbourhoods, at least one of them alone
-    mixed = kinds.groupBy("gram").agg(F.count(F.lit(1)).alias("kinds"), F.min("n").alias("least")).where("kinds > 1 and least = 1")
-    mixed = materialise(mixed.select("gram", "kinds"))
-    suspects = kinds.join(mixed, "gram").select("one.*", "gram", (F.col("n") == 1).alias("alone"), (F.col("kinds") > group_limit).alias("crowded"))
+    mixed = kinds.groupBy("gram").agg(F.count(F.lit(1)).alias("n"), F.min("n").alias("least")).where("n > 1 and least = 1")
+    mixed = materialise(mixed.select("gram", "n", (F.col("n") > group_limit).alias("crowded")))
+    one = kinds.select("gram", "one", (F.col("n") == 1).alias("alone"))
+    suspects = with_common_keys(one, mixed, ["gram"], total).select("one.*", "gram", "alone", "crowded")
     per_text = materialise(suspects.groupBy(*KEY).agg(F.collect_list(F.struct("spot", "before", "after", "gram", "alone", "crowded")).alias("spots")))
 
     def cut(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -294,24 +317,28 @@ def repeated_ranges(keyed: DataFrame, length: int = LENGTH, gram: int = GRAM, gr
     quiet = sides.where(~F.col("crowded")).repartition("gram").sortWithinPartitions("gram")
     compared = quiet.mapInPandas(compare, "doc_id long, mark long, start long, stop long")
 
-    def strings(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def strings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = []
-            for row in batch.itertuples(index=False):
-                data = np.frombuffer(bytes(row.left_side)[::-1] + bytes(row.right_side), np.uint8)
-                starts = np.arange(len(data) - length + 1)
-                one = range_hashes(prefix_hashes(data), starts, starts + length)
-                two = range_hashes(prefix_hashes(data ^ np.uint8(0x5A)) * SECOND, starts, starts + length)
-                out.append(pd.DataFrame({"doc_id": row.doc_id, "mark": row.mark, "start": row.spot - len(row.left_side) + starts, "alone": row.alone, "h": one.view(np.int64), "g": two.view(np.int64)}))
-            if out:
-                yield pd.concat(out, ignore_index=True)
-
-    singles = sides.where("crowded").mapInPandas(strings, "doc_id long, mark long, start long, alone boolean, h long, g long")
-    if sides.where("crowded").limit(1).count():
-        singles = materialise(singles)
-        many = materialise(singles.groupBy("h", "g").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h", "g"))
-        counted = singles.where("alone").join(many, ["h", "g"]).select(*KEY, "start", (F.col("start") + length).alias("stop"))
-        compared = compared.unionByName(counted)
+            rows = batch.to_pylist()
+            for k in range(0, len(rows), 256):
+                many, starts, found = [], [], []
+                for row in rows[k : k + 256]:
+                    data = row["left_side"][::-1] + row["right_side"]
+                    at = np.arange(len(data) - length + 1)
+                    many.append(len(at))
+                    starts.append(row["spot"] - len(row["left_side"]) + at)
+                    found.append(digests(data, at, at + length))
+                one, two = np.concatenate(found).T
+                each = lambda c: np.repeat([r[c] for r in rows[k : k + 256]], many)  # noqa: E731,B023
+                columns = [each("doc_id"), each("mark"), np.concatenate(starts), each("alone"), np.ascontiguousarray(one), np.ascontiguousarray(two)]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["doc_id", "mark", "start", "alone", "h", "g"])
+
+    crowded = sides.where("crowded")
+    if crowded.limit(1).count():
+        singles = materialise(crowded.mapInArrow(strings, "doc_id long, mark long, start long, alone boolean, h long, g long"))
+        many = materialise(singles.groupBy("h", "g").agg(F.count(F.lit(1)).alias("n")).where("n > 1"))
+        counted = with_common_keys(singles.where("alone"), many, ["h", "g"], singles.count())
+        compared = compared.unionByName(counted.select(*KEY, "start", (F.col("start") + length).alias("stop")))
     return ranges.unionByName(compared)
 
 

@@ -211,6 +211,14 @@ def test_op7_against_brute_force(spark, limit):
     assert sorted((tuple(r)[:5] for r in got.collect()), key=str) == plain_removal(rows, 20)
 
 
+def test_op7_common_neighbourhoods_are_broadcast(spark, monkeypatch):
+    monkeypatch.setattr(suffix_dedup, "HOT_KEYS", 10**9)
+    rows = spark.range(6000).selectExpr("case when id < 4000 then 1 else id end as k", "id")
+    counted = rows.groupBy("k").agg(F.count(F.lit(1)).alias("n"))
+    got = suffix_dedup.with_common_keys(rows, counted, ["k"], 6000)
+    assert sorted((r["id"], r["n"]) for r in got.collect()) == [(i, 4000 if i < 4000 else 1) for i in range(6000)]
+
+
 def test_op7_repeats_at_block_edges(spark, monkeypatch):
     rng = np.random.default_rng(8)
     noise = lambda n: "".join(rng.choice(list("abcdefgh"), n))
