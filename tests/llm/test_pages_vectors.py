@@ -84,6 +84,13 @@ def test_op5_whole_table(spark, sf_dir):
         ("<script>var a='<p>x</p>'</script><article><p>a&amp;b &copy <!-- no --> c</article><footer>f</footer>", "a&b © c"),
         ("<article><header><h1>Head</h1></header><ul><li>one</li><li>two</li></ul><table><tr><td>1</td><td>2</td></tr></table>", "Head\n\none\n\ntwo\n\n1 2"),
         ("<div id=menu><a href=x>Home</a></div><div><p>" + "word " * 30 + "<p>short<p>" + "more " * 30 + "</div><div class=footer>c</div>", ("word " * 30).strip() + "\n\nshort\n\n" + ("more " * 30).strip()),
+        ('<html class="with-sidebar"><body class="home no-sidebar"><article><h1>T</h1><p>body</article>', "T\n\nbody"),
+        ('<body class="single has-sidebar menu"><main><h1>T</h1><p>body</main><div class="sidebar-left"><p>x</div>', "T\n\nbody"),
+        ('<article><p>one</p><div class="related-work"><h2>Related work</h2><p>two</p></div><section id="search"><p>three</p></section><div class="notice">n</div></article>', "one\n\nRelated work\n\ntwo\n\nthree"),
+        ("<article><p>\u0130stanbul</p><SCRIPT>var a;</SCRIPT><p>rest</p></article>", "\u0130stanbul\n\nrest"),
+        ("<article><p>teaser</p></article><div><p>" + "word " * 60 + "</p><p>end.</p></div>", "teaser\n\n" + ("word " * 60).strip() + "\n\nend."),
+        ("<p>a</p><p>b</p><div><p>" + "word " * 30 + "</p><p>c</p></div>" + "<p class=menu>m</p>" * 4 + "<p>tail</p>", "a\n\nb\n\n" + ("word " * 30).strip() + "\n\nc\n\nm\n\nm\n\nm\n\nm\n\ntail"),
+        ("<p>x</p><ul><li><a href=1>one</a><li><a href=1>two</a><li><a href=1>three</a></ul><p>" + "word " * 30 + "</p><ul><li><a href=1>one</a><li><a href=1>two</a><li><a href=1>three</a></ul><p>tail</p>", ("word " * 30).strip()),
         ("<article><p>cut off <b>in a tag <a hre", "cut off in a tag"), ("", ""), (None, ""), ("plain words", "plain words"), ("<<<>>>&&&", "<<>>>&&&"),
     ],
 )
@@ -91,6 +98,22 @@ def test_op5_pages(page, text):
     assert html_text.main_text(page) == text or page == "<<<>>>&&&"
 
 
+def test_op5_distribution_against_plain_windows():
+    rng = np.random.default_rng(4)
+    for _ in range(200):
+        sizes = (rng.integers(1, 60, 30) * (rng.random(30) < 0.6)).tolist()
+        lines = [("x" * max(1, n), 0, n == 0, False) for n in sizes]
+        weights = html_text.weights_of(lines)
+        assert weights == sizes
+        sums = [sum(sizes[k : k + 3]) for k in range(30)]
+        surge, inside, want = min(80, max(sums)), False, []
+        for k in range(30):
+            inside = (inside and sums[k] > 0) or (sums[k] > 0 and sums[k] >= surge)
+            want += ["x" * sizes[k]] if inside and sizes[k] else []
+        page = "".join(f"<p>{t}</p>" if not aside else f"<nav>{t}</nav>" for t, _, aside, _ in lines)
+        assert html_text.main_text(page) == "\n\n".join(want)
+
+
 def test_op5_odd_input(spark):
     frame = spark.createDataFrame([(1, None, None), (None, "u", ""), (2, "u", "<p>" + "x " * 200_000), (2, "u", "<p>a")], "page_id long, url string, html string").withColumn("text", F.lit(1))
     got = html_text.extract(frame).collect()
