@@ -28,8 +28,12 @@ ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
 DATE = "2024-01-01T00:00:00Z"
 #: Ranges closer than this are read together, up to READ_LIMIT bytes at once.
 GAP, READ_LIMIT = 1 << 16, 1 << 23
-#: Archive bytes that one reading task gets.
-SLICE = 1 << 26
+#: Archive bytes that one reading task gets at most, and the least that is worth a task.
+SLICE, LEAST_SLICE = 1 << 26, 1 << 18
+#: Read records whose bodies are handed on at once, in bytes.
+HANDED_BYTES = 1 << 24
+#: Digests of repeated payloads (40 bytes each) up to which they are broadcast.
+BROADCAST_KEYS = 1_000_000
 
 INDEX = "file string, offset long, length long, page_id long, url string, payload_digest string, payload_bytes long, record_type string, refers_to long"
 RECORD = "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long, payload binary"
@@ -94,6 +98,8 @@ def classify(pages: DataFrame, least_bytes: int = 0) -> DataFrame:
     rows = rows.withColumn("payload_digest", base32_sha1(F.col("payload"))).withColumn("payload_bytes", F.octet_length("payload").cast("long"))
     shared = rows.where(F.col("payload_bytes") >= least_bytes).groupBy("payload_digest").agg(F.max("page_id").alias("first"), F.count(F.lit(1)).alias("n"))
     shared = materialise(shared.where("n > 1").drop("n"))
+    # beyond a broadcast, a digest that very many pages have (mostly that of no payload) is split by adaptive execution
+    shared = F.broadcast(shared) if shared.count() <= BROADCAST_KEYS else shared
     later = F.col("first").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first")) & (F.col("payload_bytes") >= least_bytes)
     typed = rows.join(shared, "payload_digest", "left").withColumn("record_type", F.when(later, "revisit").otherwise("response"))
     return typed.withColumn("refers_to", F.when(later, F.col("first"))).drop("first")
@@ -147,7 +153,7 @@ def read_records(wanted: DataFrame, payload: bool = True) -> DataFrame:
     """The records of some rows of an index, read back from the archives by joined byte ranges.
 
     Every response is checked against its digest; ``payload_bytes`` and ``payload_digest`` come from the
-    archive. A revisit has no payload of its own (null). Without ``payload`` bodies are checked, then dropped.
+    archive. Rows that repeat are read as often as they come; no row gives no record. A revisit has no payload of its own (null). Without ``payload`` bodies are checked, then dropped.
     """
     small_batches(wanted.sparkSession, 1000)
 
@@ -171,11 +177,24 @@ def read_records(wanted: DataFrame, payload: bool = True) -> DataFrame:
     def read(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         names = [x.split()[0] for x in RECORD.split(", ")]
         for batch in batches:
-            if len(batch):
-                yield pd.DataFrame(list(fetch(batch)), columns=names)
-
-    sliced = wanted.withColumn("_slice", F.floor(F.col("offset") / SLICE))
-    sliced = sliced.repartition("file", "_slice").sortWithinPartitions("file", "offset")
+            rows, held = [], 0
+            for row in fetch(batch) if len(batch) else ():
+                rows.append(row)
+                held += len(row[-1] or b"")
+                if held >= HANDED_BYTES:
+                    yield pd.DataFrame(rows, columns=names)
+                    rows, held = [], 0
+            if rows:
+                yield pd.DataFrame(rows, columns=names)
+
+    # a slice is a run of bytes of one file; there are a few for each core, unless that makes them too small or too large
+    total = wanted.agg(F.sum("length")).first()[0] or 0
+    cores = wanted.sparkSession.sparkContext.defaultParallelism
+    size = max(LEAST_SLICE, min(SLICE, total // (2 * cores) + 1))
+    tasks = max(1, -(-total // size))
+    sliced = wanted.withColumn("_slice", F.floor(F.col("offset") / size))
+    # the number of tasks is given, so that adaptive execution does not join small index partitions whose archives are large
+    sliced = sliced.repartition(tasks, "file", "_slice").sortWithinPartitions("file", "offset")
     as_text = sliced.select("file", "offset", "length", "_base", F.col("page_id").cast("string").alias("page_id"), F.col("refers_to").cast("string").alias("refers_to"))
     schema = RECORD.replace("page_id long", "page_id string").replace("refers_to long", "refers_to string")
     return as_text.mapInPandas(read, schema).withColumn("page_id", F.col("page_id").cast("long")).withColumn("refers_to", F.col("refers_to").cast("long"))
