@@ -31,7 +31,7 @@ def test_sql(spark, sf_dir, duck, name):
 PAGES = [(1, "http://a\r\nX: y", "<p>one</p>"), (2, None, "<p>one</p>"), (5, "http://b", "<p>one</p>"), (5, "http://b", "<p>one</p>"), (3, "u", None), (4, "u", ""), (None, "u", "<p>one</p>"), (None, None, "alone"), (6, "u", "é\u0000\r\n\r\n" * 5000)]
 
 
-def test_op2_archives(spark, tmp_path):
+def test_op2_archives(spark, tmp_path, monkeypatch):
     pages = spark.createDataFrame(PAGES, "page_id long, url string, html string").withColumn("offset", F.lit(1)).withColumn("payload_digest", F.lit("x"))
     index = warc_index.write_archives(pages.repartition(2), str(tmp_path / "archives"))
     records = warc_index.read_records(index).collect()
@@ -48,6 +48,10 @@ def test_op2_archives(spark, tmp_path):
     # a file is a chain of members that plain gzip reads
     some = next((tmp_path / "archives").glob("*.warc.gz"))
     assert gzip.decompress(some.read_bytes()).startswith(b"WARC/1.1\r\n")
+    monkeypatch.setattr(warc_index, "LEAST_SLICE", 64)
+    monkeypatch.setattr(warc_index, "HANDED_BYTES", 20)
+    again = warc_index.read_records(index)
+    assert again.rdd.getNumPartitions() > 1 and rows_of(again) == sorted((tuple(r[k] for k in sorted(again.columns)) for r in records), key=str)
     one = index.where("page_id = 6")
     assert warc_index.read_records(one).count() == 1
     broken = index.where("page_id = 6").withColumn("offset", F.lit(0).cast("long")).withColumn("length", F.lit(5).cast("long"))
