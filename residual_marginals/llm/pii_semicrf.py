@@ -1,7 +1,7 @@
 """Personal data by fixed patterns and a semi-Markov conditional random field.
 
 The patterns give the base spans. The field then reads the stretches of text that hold
-digits, at-signs or spelled-out address parts, as words; a segment of up to ``MAX_WORDS`` words is
+digits, at-signs or spelled-out address parts, as words; a segment of up to ``MAX_WORDS`` words and ``MAX_CHARS`` characters, the bound of an entity, is
 scored as a whole by features of the complete span (digit groups, checksum, octet range, separators,
 shape, words around it), and a dynamic program bounded by that length picks boundaries and types
 jointly. Its weights maximise the conditional likelihood of segmentations of a bounded sample
@@ -17,6 +17,7 @@ import math
 import random
 import re
 from collections.abc import Iterator
+from itertools import islice
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -25,9 +26,10 @@ from pyspark.sql import functions as F
 from residual_marginals.llm.common import small_batches, table
 
 KINDS = ("email", "ip", "card", "phone")
-MAX_WORDS = 9
-#: Texts that the weights are fitted on, at most.
-SAMPLE_ROWS = 400
+#: Bound of an entity: words, and characters (the longest address that mail allows, spelled out).
+MAX_WORDS, MAX_CHARS = 9, 340
+#: Bounds of the fitting sample: texts, and of each text labelled spans and other numbers (the first ones); longer stretches are left out of the fit.
+SAMPLE_ROWS, SAMPLE_SPANS, SAMPLE_NUMBERS, SAMPLE_WORDS = 400, 8, 4, 60
 #: Score by which a segmentation with the added span must beat the best one without.
 MARGIN = 0.5
 
@@ -40,6 +42,7 @@ DOMAIN = re.compile(r"[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
 
 HINT = re.compile(r"[0-9@]")
 WORD = re.compile(r"\S+")
+SPELLED = re.compile(r"(?<!\S)[\[(<]?at[\])>]?(?!\S)")
 HOT = re.compile(r"[0-9@]|^\W*(?:at|dot)\W*$", re.I)
 #: What may stand at either end of a segment.
 EDGE = re.compile(r"^[^A-Za-z0-9+(]+|[^A-Za-z0-9)]+$")
@@ -110,14 +113,17 @@ def stretches(text: str) -> Iterator[list[tuple[int, int]]]:
         if words:
             yield words
     # spelled-out addresses hold no digit or at-sign, so they start from their middle word
-    for m in re.finditer(r"(?<!\S)[\[(<]?at[\])>]?(?!\S)", text):
-        words = [w.span() for w in WORD.finditer(text, m.start(), m.start() + 400)][: MAX_WORDS - 1]
+    for m in SPELLED.finditer(text):
+        words = [w.span() for w in islice(WORD.finditer(text, m.start()), MAX_WORDS - 1)]
         if any(re.fullmatch(r"\W*dot\W*", text[a:b]) for a, b in words[1:4]):
-            before = text[max(0, m.start() - 80) : m.start()].rstrip()
-            start = max(before.rfind(" "), before.rfind("\n")) + 1
-            if before:
-                at = max(0, m.start() - 80)
-                yield [(at + start, at + len(before)), *words]
+            end = m.start()
+            while end and text[end - 1].isspace():
+                end -= 1
+            start = end
+            while start and not text[start - 1].isspace():
+                start -= 1
+            if end:
+                yield [(start, end), *words]
 
 
 def trimmed(text: str, start: int, end: int) -> tuple[int, int]:
@@ -137,6 +143,8 @@ def features(text: str, start: int, end: int) -> list[str]:
     letters = sum(c.isalpha() for c in span)
     before = text[max(0, start - 24) : start].split()
     clean = bool(re.fullmatch(r"[0-9+().\x20-]+", span))
+    # a part of a longer number looks like a number of its own, but for the word before it
+    led = "none" if not before or span[:1] == "+" else "plus" if before[-1][0] == "+" else "digits" if any("0" <= c <= "9" for c in before[-1]) else "word"
     return [
         "bias",
         f"digits={min(len(digits), 20)}",
@@ -150,6 +158,7 @@ def features(text: str, start: int, end: int) -> list[str]:
         f"card={clean and '.' not in span and 14 <= len(digits) <= 19 and luhn(digits) and span[:1] != '+'}",
         f"octets={clean and len(groups) == 4 and all(len(g) < 4 and int(g) < 256 for g in groups)}:{span.count('.') == 3}",
         f"phone={clean and 10 <= len(digits) <= 15 and len(groups) >= 3}:{span[:1] == '+'}",
+        f"led={led}:{clean and 10 <= len(digits) <= 15}:{min(len(groups), 3)}",
         f"separators={''.join(sorted(set(re.sub(r'[0-9A-Za-z]', '', span))))[:6]}" if clean else "mixed",
         f"words={span.count(' ')}",
         f"said={before[-1].strip(':.,').lower()[:10]}" if before and before[-1].endswith(":") else "unsaid",
@@ -167,7 +176,7 @@ class SemiMarkov:
         for i in range(len(words)):
             for j in range(i + 1, min(len(words), i + MAX_WORDS) + 1):
                 start, end = trimmed(text, words[i][0], words[j - 1][1])
-                if end > start and end > words[j - 1][0] and start < words[i][1] and end - start < 120:
+                if end > start and end > words[j - 1][0] and start < words[i][1] and end - start <= MAX_CHARS:
                     yield i, j, start, end, features(text, start, end)
 
     def lattice(self, text: str, words: list[tuple[int, int]]):
@@ -262,6 +271,7 @@ def _rewritten(kind: str, span: str, dice: random.Random) -> tuple[str, bool]:
     digits = digits_of(span)
     if kind == "email":
         local, _, domain = span.partition("@")
+        domain = dice.choice([domain, ".".join(domain.split(".")[-2:])])
         return local + dice.choice([" at ", " [at] ", " (at) "]) + domain.replace(".", dice.choice([" dot ", " [dot] ", " (dot) "])), True
     if kind == "phone":
         a, b, c = digits[-10:-7], digits[-7:-4], digits[-4:]
@@ -279,7 +289,7 @@ def examples_from(texts: list[str], seed: int = 7):
 
     def add(text: str, spans) -> None:
         for words in stretches(text):
-            if len(words) > 60:
+            if len(words) > SAMPLE_WORDS:
                 continue
             lattice = model.lattice(text, words)
             truth, free = {}, 0
@@ -292,14 +302,14 @@ def examples_from(texts: list[str], seed: int = 7):
 
     for text in texts:
         spans = base_spans(text)
-        near = [(max(0, s - 60), min(len(text), e + 60), s, e, k) for s, e, k in spans[:8]]
+        near = [(max(0, s - 60), min(len(text), e + 60), s, e, k) for s, e, k in spans[:SAMPLE_SPANS]]
         for a, b, s, e, kind in near:
             window = text[a:b]
             add(window, base_spans(window))
             new, real = _rewritten(kind, text[s:e], dice)
             changed = text[a:s] + new + text[e:b]
             add(changed, [(s - a, s - a + len(new), kind)] if real else [])
-        for m in list(re.finditer(r"[0-9]+", text))[:4]:
+        for m in islice(re.finditer(r"[0-9]+", text), SAMPLE_NUMBERS):
             window = text[max(0, m.start() - 40) : m.end() + 40]
             add(window, base_spans(window))
     # plain numbers, dates, amounts and versions are no personal data

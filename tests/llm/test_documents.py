@@ -525,6 +525,55 @@ def test_field_reads_whole_stretches():
         assert (3 * pad, 3 * pad + len(span), "phone") in pii_semicrf.spans_of(text, model)[1], pad
 
 
+def segmenter(text, model):
+    """Best worth of any segmentation of each stretch, tried one segment after the other without bounds on where they start."""
+    for words in pii_semicrf.stretches(text):
+        segments = list(model.segments(text, words))
+        by_end = defaultdict(list)
+        for i, j, _, _, feats in segments:
+            by_end[j].append((i, max(model.scores(feats)) - pii_semicrf.MARGIN))
+        best = [0.0]
+        for j in range(1, len(words) + 1):
+            best.append(max([best[j - 1], *(best[i] + w for i, w in by_end[j])]))
+        yield words, segments, best[-1]
+
+
+@pytest.mark.parametrize("pad", range(90, 111, 4))
+def test_field_against_a_plain_segmenter(pad):
+    texts = [f"word mail{k}.x@site{k}.example.com and +1 ({200 + k}) 555-{6000 + k} or 10.0.{k}.7 then 4532015112830366 end" for k in range(40)]
+    model = pii_semicrf.SemiMarkov().fit(pii_semicrf.examples_from(texts), rounds=4)
+    text = "9 " * pad + "+1 (269) 555-3296 4532015112830366 9"
+    for words, segments, worth in segmenter(text, model):
+        at = {(s, e): (max(model.scores(f)) - pii_semicrf.MARGIN) for _, _, s, e, f in segments}
+        got = model.best(len(words), segments)
+        assert np.isclose(sum(at[s, e] for s, e, _ in got), worth)
+    assert (2 * pad, 2 * pad + 17, "phone") in pii_semicrf.spans_of(text, model)[1]
+
+
+def test_op3_recall_of_added_spans():
+    """Phones and addresses in writings that the patterns do not know, planted between plain words."""
+    rng = np.random.default_rng(5)
+    texts = [f"word mail{k}.x@site{k}.example.com and +1 ({200 + k}) 555-{6000 + k} or 10.0.{k}.7 then 4532015112830366 end" for k in range(60)]
+    model = pii_semicrf.SemiMarkov().fit(pii_semicrf.examples_from(texts))
+    found = clean = 0
+    for k in range(200):
+        a, b, c = rng.integers(200, 999), rng.integers(200, 999), rng.integers(1000, 9999)
+        new = [f"({a}) {b}-{c}", f"{a}-{b}-{c}", f"{a}.{b}.{c}", f"name{a} at host{b} dot example dot com"][k % 4]
+        text = f"please write or call {new} before noon"
+        found += any(s <= 21 + 2 and e >= 21 + len(new) - 2 for s, e, _ in pii_semicrf.spans_of(text, model)[1])
+        clean += not pii_semicrf.spans_of(f"in {rng.integers(1900, 2030)} about {b} of {c} people paid {a},{b}.00 at {rng.integers(1, 12)}:30", model)[1]
+    assert found >= 180 and clean >= 190
+
+
+@pytest.mark.parametrize("gap", ["\n" * 500, " "])
+def test_spelled_addresses_far_apart(gap):
+    model = pii_semicrf.SemiMarkov({"bias": [-5.0] * 4, "spelled=2": [9.0, 0.0, 0.0, 0.0]})
+    text = f"write john{'n' * 100}{gap}at mail dot example now"
+    found = pii_semicrf.spans_of(text, model)[1]
+    # words that stand far apart in white space are no one entity
+    assert found and all(e - s <= pii_semicrf.MAX_CHARS for s, e, _ in found) and (min(found)[0] == 6) == (gap == " ")
+
+
 @pytest.mark.parametrize("text", ["write john <at> mail <dot> example now", "write john at\nmail dot example now", "write john\nat mail dot example now"])
 def test_spelled_addresses_without_digits(text):
     model = pii_semicrf.SemiMarkov({"bias": [-5.0] * 4, "spelled=2": [9.0, 0.0, 0.0, 0.0]})
