@@ -16,13 +16,13 @@ def measure_marginal(cells: DataFrame, domain: Domain, sigma2: float | Column, k
 
     Costs 1 / (2 sigma2) per marginal. Refuses sparse input, as absent cells are private too.
     """
-    sizes = {m: domain.size(m) for m in (r["gamma"] for r in cells.select("gamma").distinct().collect())}
-    short = [r["gamma"] for r in cells.groupBy("gamma").agg(F.count(F.lit(1)).alias("n")).collect() if r["n"] != sizes[r["gamma"]]]
-    if short:
-        raise ValueError(f"marginals {short} are not dense; use densify first")
+    # a row per set; the check is part of the plan, so measuring starts no job of its own
+    full = cells.groupBy("gamma").agg((F.count(F.lit(1)) == other_lengths(domain, F.lit(0).cast("long"))).alias("_full"))
     scale = F.lit(float(sigma2)) if not isinstance(sigma2, Column) else sigma2
     noise = keyed_normal(key, F.lit(round_), F.col("gamma"), F.col("cell"))
-    return cells.select(F.lit(round_).alias("round"), "gamma", scale.alias("sigma2"), "cell", (F.col("value") + F.sqrt(scale) * noise).alias("value"))
+    refused = F.raise_error(F.concat(F.lit("marginal "), F.col("gamma").cast("string"), F.lit(" is not dense; use densify first"))).cast("double")
+    value = F.when(F.col("_full"), F.col("value") + F.sqrt(scale) * noise).otherwise(refused)
+    return cells.join(F.broadcast(full), "gamma").select(F.lit(round_).alias("round"), "gamma", scale.alias("sigma2"), "cell", value.alias("value"))
 
 
 def other_lengths(domain: Domain, support: Column) -> Column:
@@ -36,15 +36,8 @@ def other_lengths(domain: Domain, support: Column) -> Column:
 
 def marginal_to_residuals(measured: DataFrame, domain: Domain) -> DataFrame:
     """(round, gamma, tau, sigma2, cell, value): noisy marginals as noisy residuals, whose variance grows by the lengths of the summed axes."""
-    out = None
-    for round_ in [r["round"] for r in measured.select("round").distinct().collect()]:
-        own = measured.where(F.col("round") == round_)
-        scale = own.groupBy("gamma").agg(F.first("sigma2").alias("_s2"))
-        parts = residuals.decompose_all(own.select("gamma", "cell", "value"), domain).join(scale, "gamma")
-        sigma2 = F.col("_s2") * other_lengths(domain, F.col("tau"))
-        part = parts.select(F.lit(round_).alias("round"), "gamma", "tau", sigma2.alias("sigma2"), "cell", "value")
-        out = part if out is None else out.unionByName(part)
-    return out
+    parts = residuals.decompose_all(measured.select("gamma", "round", "sigma2", "cell", "value"), domain, ("round", "sigma2"))
+    return parts.select("round", "gamma", "tau", (F.col("sigma2") * other_lengths(domain, F.col("tau"))).alias("sigma2"), "cell", "value")
 
 
 def measure_residual(cells: DataFrame, domain: Domain, tau: int, sigma2: float, key: str, round_: int = 0) -> DataFrame:

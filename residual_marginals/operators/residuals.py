@@ -94,27 +94,27 @@ def _stride(domain: Domain, axis: int) -> Column:
     return out
 
 
-def _axis(cells: DataFrame, domain: Domain, axis: int) -> tuple[DataFrame, Window]:
+def _axis(cells: DataFrame, domain: Domain, axis: int, by: tuple[str, ...] = ()) -> tuple[DataFrame, Window]:
     present = F.col("gamma").bitwiseAND(F.lit(1 << axis).cast("long")) != 0
     n = domain.attributes[axis].n
     stride = _stride(domain, axis)
     k = F.when(present, F.floor(F.col("cell") / stride) % n).otherwise(F.lit(0).cast("long"))
     rows = cells.withColumn("_has", present).withColumn("_k", k).withColumn("_line", F.col("cell") - F.col("_k") * stride)
-    return rows, Window.partitionBy("gamma", "_line")
+    return rows, Window.partitionBy("gamma", *by, "_line")
 
 
-def to_residual_coords(cells: DataFrame, domain: Domain) -> DataFrame:
-    """(gamma, cell, support, value): all residuals of all dense marginals of the frame, in place.
+def to_residual_coords(cells: DataFrame, domain: Domain, by: tuple[str, ...] = ()) -> DataFrame:
+    """(gamma, by, cell, support, value): all residuals of all dense marginals of the frame, in place.
 
-    The frame is dealt by gamma once; every axis pass then works inside that partitioning.
+    The columns ``by`` tell tables of one set apart. The frame is dealt by gamma once; every axis pass then works inside that partitioning.
     """
     out = cells.repartition("gamma").withColumn("support", F.lit(0).cast("long"))
     for i in range(len(domain)):
-        rows, line = _axis(out, domain, i)
+        rows, line = _axis(out, domain, i, by)
         first = F.sum(F.when(F.col("_k") == 0, F.col("value"))).over(line)
         value = F.when(~F.col("_has"), F.col("value")).when(F.col("_k") == 0, F.sum("value").over(line)).otherwise(F.col("value") - first)
         support = F.when(F.col("_k") > 0, F.col("support").bitwiseOR(F.lit(1 << i).cast("long"))).otherwise(F.col("support"))
-        out = rows.select("gamma", "cell", support.alias("support"), value.alias("value"))
+        out = rows.select("gamma", *by, "cell", support.alias("support"), value.alias("value"))
     return out
 
 
@@ -131,16 +131,16 @@ def from_residual_coords(coords: DataFrame, domain: Domain) -> DataFrame:
     return out
 
 
-def decompose_all(cells: DataFrame, domain: Domain) -> DataFrame:
-    """(gamma, tau, cell, value): every residual, with cells numbered over its own shape."""
-    coords = to_residual_coords(cells, domain)
+def decompose_all(cells: DataFrame, domain: Domain, by: tuple[str, ...] = ()) -> DataFrame:
+    """(gamma, by, tau, cell, value): every residual, with cells numbered over its own shape."""
+    coords = to_residual_coords(cells, domain, by)
     out = F.lit(0).cast("long")
     for i in range(len(domain)):
         n = domain.attributes[i].n
         bit = F.lit(1 << i).cast("long")
         k = F.floor(F.col("cell") / _stride(domain, i)) % n
         out = F.when(F.col("support").bitwiseAND(bit) != 0, out * (n - 1) + k - 1).otherwise(out)
-    return coords.select("gamma", F.col("support").alias("tau"), out.alias("cell"), "value")
+    return coords.select("gamma", *by, F.col("support").alias("tau"), out.alias("cell"), "value")
 
 
 def pack(cells: DataFrame) -> DataFrame:

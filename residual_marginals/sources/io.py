@@ -17,8 +17,13 @@ def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 
 
 def shared_path(spark: SparkSession) -> str:
-    """A fresh folder that every executor sees: below ``spark.checkpoint.dir``, or the default where that is unset."""
-    return f"{(spark.conf.get('spark.checkpoint.dir', None) or DEFAULT_SHARED).rstrip('/')}/marginals-{uuid.uuid4().hex}"
+    """A fresh folder that every executor sees: below ``spark.checkpoint.dir``; where that is unset, a default in local mode, an error on a cluster."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        base = DEFAULT_SHARED
+    return f"{base.rstrip('/')}/marginals-{uuid.uuid4().hex}"
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -28,6 +33,16 @@ def cut(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def exists(spark: SparkSession, path: str) -> bool:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark._jsc.hadoopConfiguration()).exists(at)
+
+
+def save_by_round(df: DataFrame, path: str) -> None:
+    """Store a frame with a ``round`` column partitioned by it; only the rounds that the frame holds are overwritten."""
+    df.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("round").parquet(path)
+
+
 def save_release(frames: dict[str, DataFrame], path: str, round_: int | None = None) -> None:
     """Store released frames; one folder per frame and round, overwritten whole, so a round can be stored again safely."""
     for name, df in frames.items():
