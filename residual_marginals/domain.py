@@ -94,12 +94,17 @@ def decode(cells: DataFrame, domain: Domain, gamma: int) -> DataFrame:
     return cells
 
 
-def infer_domain(df: DataFrame, columns: Sequence[str]) -> Domain:
-    """A domain read off the data. Not private: the categories themselves are taken from the rows."""
+def infer_domain(df: DataFrame, columns: Sequence[str], most: int = 10_000) -> Domain:
+    """A domain read off the data. Not private: the categories themselves are taken from the rows.
+
+    A column with more than ``most`` values is refused: it needs a coder that groups them.
+    """
     warnings.warn("a domain inferred from the data is not covered by the privacy guarantee", stacklevel=2)
     out = []
     for c in columns:
-        values = [r[0] for r in df.select(F.col(c).cast("string")).distinct().orderBy(c).collect()]
+        values = sorted((r[0] for r in df.select(F.col(c).cast("string")).distinct().limit(most + 1).collect()), key=lambda v: (v is not None, v or ""))
+        if len(values) > most:
+            raise ValueError(f"{c} has more than {most} values")
         quoted = [v.replace("'", "''") for v in values if v is not None]
         cases = " ".join(f"WHEN '{v}' THEN {k}" for k, v in enumerate(quoted))
         out.append(Attribute(c, max(1, len(quoted)), f"CASE CAST({c} AS STRING) {cases} END" if cases else "0", tuple(quoted)))

@@ -8,6 +8,8 @@ from pyspark.sql import functions as F
 from residual_marginals.domain import Attribute, Domain
 from residual_marginals.sources.io import load
 
+#: For reproducible experiments on public tables; a release of private data needs a secret of its own.
+TEST_SECRET = b"test"
 #: The printed age by education table (rows: age groups, columns: education).
 WORKED_TABLE = ((7, 5, 2), (3, 5, 11), (10, 2, 11), (9, 18, 17))
 
@@ -33,11 +35,16 @@ REV = Attribute("rev", 10, "CAST(least(floor(l_extendedprice * (1 - l_discount)
 
 ORDERS = Domain([OSTAT, PRIO, OYEAR])
 LINES = Domain([FLAG, LSTAT, LINENO, DISC, TAX, QTY])
-SALES = Domain([FLAG, LSTAT, LINENO, DISC, TAX, QTY, OSTAT, PRIO, SEG, REGION, PRICE, REV])
+PTYPE = coded("p_type", ("ECONOMY", "LARGE", "MEDIUM", "PROMO", "SMALL", "STANDARD"), "ptype")
+SALES = Domain([FLAG, LSTAT, LINENO, DISC, TAX, QTY, OSTAT, PRIO, SEG, REGION, PTYPE, PRICE, REV])
 DIALOGUE = Domain([coded("role", ("assistant", "system", "user"), "role"), Attribute("turn", 8, "turn")])
 ETYPE = coded("event_type", ("click", "error", "purchase", "signup", "view"), "etype")
 ACTIVITY = Domain([ETYPE, Attribute("hour", 24, "hour(ts)"), Attribute("vband", 10, "CAST(least(floor(value / 50), 9) AS INT)")])
-WIDE = Domain([Attribute("qty", 50, "CAST(l_quantity AS INT) - 1"), DISC, TAX, Attribute("omonth", 80, "(year(o_orderdate) - 1995) * 12 + month(o_orderdate) - 1"), REGION])
+MONTHS = "(year({0}) - 1995) * 12 + month({0}) - 1"
+WIDE = Domain([
+    Attribute("qty", 50, "CAST(l_quantity AS INT) - 1"), Attribute("size", 50, "p_size - 1"), Attribute("brand", 25, "CAST(substr(p_brand, 7) AS INT) - 1"),
+    Attribute("nation", 25, "n_nationkey"), DISC, TAX, Attribute("omonth", 80, MONTHS.format("o_orderdate")), Attribute("smonth", 83, MONTHS.format("l_shipdate")), REGION,
+])
 
 
 def bits_domain(n: int = 12) -> Domain:
@@ -45,10 +52,10 @@ def bits_domain(n: int = 12) -> Domain:
 
 
 def sales(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Lineitem with its order, customer and nation."""
-    lines, orders, customers, nations = (load(spark, sf_dir, t) for t in ("lineitem", "orders", "customer", "nation"))
+    """Lineitem with its order, customer, nation and part."""
+    lines, orders, customers, nations, parts = (load(spark, sf_dir, t) for t in ("lineitem", "orders", "customer", "nation", "part"))
     with_order = lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey"))
-    return with_order.join(customers, F.col("o_custkey") == F.col("c_custkey")).join(nations, F.col("c_nationkey") == F.col("n_nationkey"))
+    return with_order.join(customers, F.col("o_custkey") == F.col("c_custkey")).join(nations, F.col("c_nationkey") == F.col("n_nationkey")).join(parts, F.col("l_partkey") == F.col("p_partkey"))
 
 
 def worked(spark: SparkSession) -> DataFrame:

@@ -2,8 +2,9 @@
 
 Two states. Local: the true tables were tabulated by one Spark job and all further work is on driver arrays; for
 domains whose tables fit there. Cluster: tables stay packed blocks on the executors, and a round is one narrow
-pass that scores and one that adds the broadcast changes. Neither depends on the number of records after tabulation.
-True tables never leave this module; annealing and stopping read released values only.
+pass that scores and one that adds the broadcast changes and stores the blocks. Neither depends on the number of records after tabulation.
+True tables never leave this module; annealing and stopping read released values only. Noise needs a secret that only the publisher
+knows; who has it can take the noise off, so there is no default.
 """
 
 from __future__ import annotations
@@ -22,12 +23,12 @@ from residual_marginals.domain import Domain, decode, encode
 from residual_marginals.lattice import Workload, subsets
 from residual_marginals.operators import lazy, residuals
 from residual_marginals.operators.measure import noisy_residual
-from residual_marginals.operators.noise import secret_normal
+from residual_marginals.operators.noise import PublicNoise, secret_normal
 from residual_marginals.operators.tabulate import collect_blocks, tabulate
 from residual_marginals.plans import planner
 from residual_marginals.plans.privacy import Ledger, exp_rho, exp_select_local
 from residual_marginals.plans.schedule import Schedule
-from residual_marginals.sources.io import cut, resume, save_release
+from residual_marginals.sources.io import cut, exists, resume, save_release
 
 TRACE = "round int, gamma long, sigma2 double, epsilon double, rho_used double, n_measured int, n_skipped int, n_touched long, moved_l1 double, seconds double"
 
@@ -42,6 +43,19 @@ class State:
     precision: dict[int, float] = field(default_factory=dict)
     marginals: dict[int, np.ndarray] = field(default_factory=dict)
     block_updates: int = 0
+    holders: dict[int, list[int]] = field(default_factory=dict)
+
+    def holding(self, tau: int) -> list[int]:
+        """The wanted sets that contain tau, from lists per attribute."""
+        if tau not in self.holders:
+            if not self.holders:
+                self.holders[0] = list(self.sets)
+                for g in self.sets:
+                    for i in self.domain.axes(g):
+                        self.holders.setdefault(1 << i, []).append(g)
+            near = min((self.holders.get(1 << i, []) for i in self.domain.axes(tau)), key=len, default=self.sets)
+            self.holders[tau] = [g for g in near if tau & g == tau]
+        return self.holders[tau]
 
     def observe(self, tau: int, z: np.ndarray, sigma2: float) -> np.ndarray:
         """Average a measurement in; returns the change of the estimate."""
@@ -66,8 +80,11 @@ class State:
 
     def update(self, changes: dict[int, np.ndarray]) -> None:
         """Only marginals that contain a changed residual, each once per round."""
-        for g in self.sets:
-            own = {t: d for t, d in changes.items() if t & g == t}
+        reached: dict[int, dict[int, np.ndarray]] = {}
+        for t, d in changes.items():
+            for g in self.holding(t):
+                reached.setdefault(g, {})[t] = d
+        for g, own in reached.items():
             if len(own) > 2:
                 self.marginals[g] = self.marginals[g] + residuals.assemble(own, self.domain, g)
             else:
@@ -152,7 +169,7 @@ def candidate_weights(candidates: list[int], workload: Workload) -> dict[int, fl
     return {g: sum(c * (s & g).bit_count() for s, c in zip(workload.sets, workload.weights)) for g in candidates}
 
 
-def init_one_way(state: State, truth: dict[int, np.ndarray], sigma2: float, ledger: Ledger, secret: bytes, key: str, rho_each: float | None = None) -> None:
+def init_one_way(state: State, truth: dict[int, np.ndarray], sigma2: float, ledger: Ledger, secret: bytes | PublicNoise, key: str, rho_each: float | None = None) -> None:
     """Measure every 1-way marginal; each also measures the total."""
     ones = [1 << i for i in range(len(state.domain)) if any(s >> i & 1 for s in state.sets)]
     for g in ones:
@@ -163,7 +180,7 @@ def init_one_way(state: State, truth: dict[int, np.ndarray], sigma2: float, ledg
     state.build()
 
 
-def measure_plan(state: State, truth: dict[int, np.ndarray], plan: list[planner.Row], secret: bytes, key: str) -> dict[int, np.ndarray]:
+def measure_plan(state: State, truth: dict[int, np.ndarray], plan: list[planner.Row], secret: bytes | PublicNoise, key: str) -> dict[int, np.ndarray]:
     """Measure the kept residuals of a plan; returns the changes of their estimates."""
     changes = {}
     for row in plan:
@@ -183,7 +200,7 @@ def _plan(planner_name: str, gamma: int, state: State, rho: float, min_gain: flo
 
 
 def adaptive_release(
-    df: DataFrame | None, domain: Domain, workload: Workload, rho: float, *, planner_name: str = "conditional", update: str = "lazy", secret: bytes = b"test", key: str = "run",
+    df: DataFrame | None, domain: Domain, workload: Workload, rho: float, *, planner_name: str = "conditional", update: str = "lazy", secret: bytes | PublicNoise, key: str = "run",
     max_rounds: int | None = None, sequence: list[int] | None = None, split: float = 0.5, rounds_per_score: int = 1, min_gain: float = 1e-3, truth: dict[int, np.ndarray] | None = None, progress: Release | None = None,
 ) -> Release:
     """Release the workload under rho-zCDP.
@@ -195,7 +212,7 @@ def adaptive_release(
     """
     closed = workload.closure()
     if truth is None:
-        truth = collect_blocks(tabulate(encode(df, domain), domain, closed), domain)
+        truth = collect_blocks(tabulate(encode(df, domain), domain, closed, dense=False), domain, closed)
     state, ledger, rounds = (progress.state, progress.ledger, list(progress.rounds)) if progress else (State(domain, list(workload.sets)), Ledger(rho), [])
     if progress:
         ledger.budget = rho
@@ -204,6 +221,7 @@ def adaptive_release(
     cache: ScoreCache | None = None
 
     def step(k: int, gamma: int, spend: float, eps: float) -> float:
+        """Measure with noise that costs ``spend``."""
         began, before = time.perf_counter(), state.answer(gamma).copy()
         plan = _plan(planner_name, gamma, state, spend, min_gain)
         ledger.spend("measure", spend, str(gamma))
@@ -248,7 +266,7 @@ def adaptive_release(
         if not scores or k % rounds_per_score == 0:
             noise = math.sqrt(2 / math.pi) * schedule.sigma
             scores = {g: weights[g] * (l1 - noise * domain.size(g)) for g, l1 in cache.refresh().items()}
-        ledger.spend("select", min(exp_rho(schedule.epsilon), ledger.left))
+        ledger.spend("select", exp_rho(schedule.epsilon))
         gamma = exp_select_local(scores, schedule.epsilon, sensitivity, secret, f"{key}:select:{k}")
         moved = step(k, gamma, min(1 / (2 * schedule.sigma**2), ledger.left), schedule.epsilon)
         schedule.anneal(moved, domain.size(gamma))
@@ -265,29 +283,36 @@ def score_blocks(true_blocks: DataFrame, estimated: DataFrame, domain: Domain, w
     return a.join(b, "gamma").join(F.broadcast(w), "gamma").select("gamma", (F.col("w") * (gap - math.sqrt(2 / math.pi) * sigma * F.col("n"))).alias("score"))
 
 
-def adaptive_release_cluster(df: DataFrame, domain: Domain, workload: Workload, rho: float, *, secret: bytes = b"test", key: str = "run", max_rounds: int | None = None, min_gain: float = 1e-3, cut_every: int = 4):
+def adaptive_release_cluster(df: DataFrame, domain: Domain, workload: Workload, rho: float, *, secret: bytes | PublicNoise, key: str = "run", max_rounds: int | None = None, min_gain: float = 1e-3, store: str | None = None):
     """The same loop with all tables on the executors, until the budget is spent: (marginals as packed blocks, ledger, trace rows).
 
     Per round one job scores (co-partitioned by gamma) and one fetches the chosen marginal's block; changes are broadcast
-    to the blocks that contain them. Lineage is cut every ``cut_every`` rounds.
+    to the blocks that contain them, and the blocks are stored anew, so no round repeats the work of those before it. With ``store`` (a folder)
+    what was released is stored after every round, and a call with the same arguments goes on from there; rounds keep
+    their numbers, so no noise is drawn twice.
     """
-    closed = workload.closure()
+    spark, closed = df.sparkSession, workload.closure()
     candidates = [g for g in closed if g]
     cells = tabulate(encode(df, domain), domain, closed)
     true_blocks = cut(residuals.pack(cells).repartition("gamma"))
-    ones = {r["gamma"]: np.array(r["values"]) for r in true_blocks.where(F.col("gamma").isin([g for g in closed if g.bit_count() <= 1])).collect()}
-    state, ledger, trace = State(domain, []), Ledger(rho), []
-    state.sets = [g for g in closed if g.bit_count() == 1]
-    schedule, weights = Schedule.initial(rho, len(closed)), candidate_weights(candidates, workload)
-    init_one_way(state, {g: v.reshape(domain.shape(g)) for g, v in ones.items()}, schedule.sigma**2, ledger, secret, key)
-    state.sets = []
     zero = true_blocks.select("gamma", "kind", F.transform("values", lambda v: v * 0.0).alias("values"))
+    schedule, weights = Schedule.initial(rho, len(closed)), candidate_weights(candidates, workload)
+    if store and exists(spark, f"{store}/done"):
+        progress = load_progress(spark, f"{store}/{_last_round(spark, store)}", domain, Workload([]), rho)
+        state, ledger, trace = progress.state, progress.ledger, progress.rounds
+        schedule.replay(trace, domain)
+    else:
+        ones = {r["gamma"]: np.array(r["values"]) for r in true_blocks.where(F.col("gamma").isin([g for g in closed if g.bit_count() <= 1])).collect()}
+        state, ledger, trace = State(domain, [g for g in closed if g.bit_count() == 1]), Ledger(rho), []
+        init_one_way(state, {g: v.reshape(domain.shape(g)) for g, v in ones.items()}, schedule.sigma**2, ledger, secret, key)
+        state.sets = []
     blocks_now = cut(lazy.lazy_round(zero, domain, dict(state.estimates)))
-    k = 0
+    k = trace[-1][0] + 1 if trace else 0
     while ledger.left > rho * 1e-9 and (max_rounds is None or k < max_rounds):
+        began = time.perf_counter()
         schedule.fit(ledger.left)
         scores = {r["gamma"]: r["score"] for r in score_blocks(true_blocks.where("gamma <> 0"), blocks_now, domain, weights, schedule.sigma).collect()}
-        ledger.spend("select", min(exp_rho(schedule.epsilon), ledger.left))
+        ledger.spend("select", exp_rho(schedule.epsilon))
         gamma = exp_select_local(scores, schedule.epsilon, max(weights.values()), secret, f"{key}:select:{k}")
         spend = min(1 / (2 * schedule.sigma**2), ledger.left)
         plan = planner.conditional_plan(gamma, domain, state.precision, spend, min_gain)
@@ -297,10 +322,17 @@ def adaptive_release_cluster(df: DataFrame, domain: Domain, workload: Workload,
         before = residuals.assemble(state.estimates, domain, gamma)
         changes = measure_plan(state, truth, plan, secret, f"{key}:{k}")
         moved = float(np.abs(residuals.assemble(state.estimates, domain, gamma) - before).sum())
-        blocks_now = lazy.lazy_round(blocks_now, domain, changes)
-        if (k + 1) % cut_every == 0:
-            blocks_now = cut(blocks_now)
-        trace.append((k, gamma, 1 / (2 * spend), schedule.epsilon, ledger.total, len(own), len(plan) - len(own), 0, moved, 0.0))
+        blocks_now = cut(lazy.lazy_round(blocks_now, domain, changes))
+        reached = sum(any(t & g == t for t in changes) for g in closed)
+        trace.append((k, gamma, 1 / (2 * spend), schedule.epsilon, ledger.total, len(own), len(plan) - len(own), reached, moved, time.perf_counter() - began))
+        if store:
+            save_progress(spark, Release(domain, state, ledger, trace), f"{store}/round-{k:06d}")
+            spark.createDataFrame([(k,)], "round int").write.mode("append").parquet(f"{store}/done")
         schedule.anneal(moved, domain.size(gamma))
         k += 1
     return blocks_now.where(F.col("gamma").isin(workload.sets)), ledger, trace
+
+
+def _last_round(spark: SparkSession, store: str) -> str:
+    """Folder of the last round that was stored whole."""
+    return f"round-{resume(spark, store, 'done').agg(F.max('round')).first()[0]:06d}"

@@ -10,28 +10,30 @@ from pyspark.sql import DataFrame
 from residual_marginals.domain import Domain, encode
 from residual_marginals.lattice import Workload
 from residual_marginals.mechanisms.adaptive import Release, State, measure_plan
-from residual_marginals.operators.noise import secret_gumbel, secret_normal
+from residual_marginals.operators.noise import PublicNoise, secret_gumbel, secret_normal
 from residual_marginals.operators.tabulate import collect_blocks, tabulate
 from residual_marginals.plans import planner
-from residual_marginals.plans.privacy import Ledger
+from residual_marginals.plans.privacy import Ledger, exp_rho
 
 
 def truth_of(df: DataFrame, domain: Domain, workload: Workload) -> dict[int, np.ndarray]:
-    return collect_blocks(tabulate(encode(df, domain), domain, workload.closure()), domain)
+    """Exact tables of the workload's closure, as driver arrays; for the trusted side only."""
+    closed = workload.closure()
+    return collect_blocks(tabulate(encode(df, domain), domain, closed, dense=False), domain, closed)
 
 
-def batch_release(df: DataFrame | None, domain: Domain, workload: Workload, rho: float, *, objective: str = "sum", per_cell: bool = True, secret: bytes = b"test", key: str = "batch", truth=None) -> Release:
+def batch_release(df: DataFrame | None, domain: Domain, workload: Workload, rho: float, *, objective: str = "sum", per_cell: bool = True, secret: bytes | PublicNoise, key: str = "batch", truth=None) -> Release:
     """The optimal one-shot plan: each residual of the closure once, then one reconstruction."""
     truth = truth_of(df, domain, workload) if truth is None else truth
     state, ledger = State(domain, list(workload.sets)), Ledger(rho)
     plan = planner.batch_plan(workload, domain, rho, per_cell, objective)
-    ledger.spend("batch", min(planner.residual_rho(plan), rho))
+    ledger.spend("batch", planner.residual_rho(plan))
     measure_plan(state, truth, plan, secret, key)
     state.build()
     return Release(domain, state, ledger, [])
 
 
-def direct_release(df: DataFrame | None, domain: Domain, workload: Workload, rho: float, *, split: str = "even", secret: bytes = b"test", key: str = "direct", truth=None) -> tuple[dict[int, np.ndarray], Ledger]:
+def direct_release(df: DataFrame | None, domain: Domain, workload: Workload, rho: float, *, split: str = "even", secret: bytes | PublicNoise, key: str = "direct", truth=None) -> tuple[dict[int, np.ndarray], Ledger]:
     """Noise on every wanted marginal by itself; the answers do not agree with each other. ``split``: even, or by_size (cube root of the cells)."""
     truth = truth_of(df, domain, workload) if truth is None else truth
     ledger = Ledger(rho)
@@ -39,29 +41,38 @@ def direct_release(df: DataFrame | None, domain: Domain, workload: Workload, rho
     total, out = sum(share.values()), {}
     for g in workload.sets:
         cost = rho * share[g] / total
-        ledger.spend("direct", min(cost, ledger.left), str(g))
+        ledger.spend("direct", cost, str(g))
         out[g] = truth[g] + secret_normal(secret, f"{key}:{g}", truth[g].size).reshape(truth[g].shape) / math.sqrt(2 * cost)
     return out, ledger
 
 
-def identity_strategy(full: np.ndarray, domain: Domain, sets: list[int], rho: float, secret: bytes = b"test", key: str = "identity") -> dict[int, np.ndarray]:
+def identity_strategy(full: np.ndarray, domain: Domain, sets: list[int], rho: float, *, secret: bytes | PublicNoise, key: str = "identity") -> tuple[dict[int, np.ndarray], Ledger]:
     """Noise on every cell of the whole domain, then sums; for domains small enough to hold."""
+    ledger = Ledger(rho)
+    ledger.spend("identity", rho)
     noisy = full + secret_normal(secret, key, full.size).reshape(full.shape) / math.sqrt(2 * rho)
-    return {g: noisy.sum(axis=tuple(i for i in range(len(domain)) if not g >> i & 1)) for g in sets}
+    return {g: noisy.sum(axis=tuple(i for i in range(len(domain)) if not g >> i & 1)) for g in sets}, ledger
+
 
+def multiplicative_weights(
+    full: np.ndarray, domain: Domain, sets: list[int], rho: float, *, rounds: int = 20, passes: int = 10, total_share: float = 0.05, secret: bytes | PublicNoise, key: str = "mw"
+) -> tuple[dict[int, np.ndarray], Ledger]:
+    """Early adaptive method on the dense data vector: select the worst marginal, measure it, reweight every cell.
 
-def multiplicative_weights(full: np.ndarray, domain: Domain, sets: list[int], rho: float, rounds: int = 20, passes: int = 10, secret: bytes = b"test", key: str = "mw") -> tuple[dict[int, np.ndarray], Ledger]:
-    """Early adaptive method on the dense data vector: select the worst marginal, measure it, reweight every cell."""
-    ledger, total = Ledger(rho), float(full.sum())
+    The number of records, which the estimate is scaled to, is measured too, with ``total_share`` of the budget.
+    """
+    ledger = Ledger(rho)
+    ledger.spend("total", rho * total_share)
+    total = max(1.0, float(full.sum() + secret_normal(secret, f"{key}:total", 1)[0] / math.sqrt(2 * rho * total_share)))
     estimate = np.full(full.shape, total / full.size)
     rest = {g: tuple(i for i in range(len(domain)) if not g >> i & 1) for g in sets}
-    each, kept = rho / rounds, []
+    each, kept = rho * (1 - total_share) / rounds, []
     for k in range(rounds):
         gaps = np.array([np.abs(full.sum(axis=rest[g]) - estimate.sum(axis=rest[g])).sum() - math.sqrt(2 / math.pi) / math.sqrt(each) * domain.size(g) for g in sets])
         eps = math.sqrt(4 * each)
-        ledger.spend("select", min(each / 2, ledger.left))
+        ledger.spend("select", exp_rho(eps))
         g = sets[int(np.argmax(gaps * eps / 2 + secret_gumbel(secret, f"{key}:{k}", len(sets))))]
-        ledger.spend("measure", min(each / 2, ledger.left), str(g))
+        ledger.spend("measure", each / 2, str(g))
         truth = full.sum(axis=rest[g])
         kept.append((g, truth + secret_normal(secret, f"{key}:{k}:{g}", truth.size).reshape(truth.shape) / math.sqrt(each)))
         for _ in range(passes):

@@ -21,25 +21,24 @@ BROADCAST_CELLS = 1 << 22
 def lazy_round(packed: DataFrame, domain: Domain, deltas: dict[int, np.ndarray]) -> DataFrame:
     """Add all of a round's residual changes to the packed blocks that contain them; other blocks pass through untouched.
 
-    By linearity the changes of one round are merged in residual coordinates first, so a block is transformed once.
+    By linearity the changes of one round are merged in residual coordinates first, so a block is transformed once. One narrow pass
+    over the blocks; the changes are a broadcast of bounded size.
     """
     if sum(d.size for d in deltas.values()) > BROADCAST_CELLS:
         raise ValueError("the round's changes are too large to broadcast; use lazy_cells")
     ship(packed.sparkSession)
-    hit = F.lit(False)
-    for alpha in deltas:
-        hit = hit | (F.col("gamma").bitwiseAND(F.lit(alpha).cast("long")) == alpha)
+    told = packed.sparkSession.sparkContext.broadcast(deltas)
 
     def add(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        changes = told.value
         for batch in batches:
             values = []
             for gamma, v in zip(batch["gamma"].tolist(), batch["values"]):
-                own = {a: d for a, d in deltas.items() if gamma & a == a}
-                values.append(np.asarray(v) + residuals.assemble(own, domain, gamma).ravel())
-            yield pd.DataFrame({"gamma": batch["gamma"], "kind": batch["kind"], "values": values})
+                own = {a: d for a, d in changes.items() if gamma & a == a}
+                values.append(np.asarray(v) + residuals.assemble(own, domain, gamma).ravel() if own else v)
+            yield batch.assign(values=values)
 
-    changed = packed.where(hit).mapInPandas(add, packed.schema)
-    return packed.where(~hit).unionByName(changed)
+    return packed.mapInPandas(add, packed.schema)
 
 
 def lazy_cells(cells: DataFrame, domain: Domain, deltas: DataFrame) -> DataFrame:

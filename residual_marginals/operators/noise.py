@@ -37,13 +37,32 @@ def keyed_gumbel(key: str, *columns: Column) -> Column:
     return -F.ln(-F.ln(keyed_uniform(key, *columns)))
 
 
-def secret_normal(secret: bytes, key: str, n: int) -> np.ndarray:
+class PublicNoise:
+    """Stands for a secret where a release must be reproducible in SQL: the noise of ``keyed_normal`` over key and cell. For public data only, as anyone can take it off."""
+
+    @staticmethod
+    def _uniform(text: str, start: int) -> float:
+        return (int(hashlib.md5(text.encode()).hexdigest()[start : start + 8], 16) + 0.5) / (1 << 32)
+
+    def normal(self, key: str, n: int) -> np.ndarray:
+        texts = [f"{key}:{k}" for k in range(n)]
+        return np.array([math.sqrt(-2.0 * math.log(self._uniform(t, 0))) * math.cos(2.0 * math.pi * self._uniform(t, 8)) for t in texts])
+
+    def gumbel(self, key: str, n: int) -> np.ndarray:
+        return np.array([-math.log(-math.log(self._uniform(f"{key}:{k}", 0))) for k in range(n)])
+
+
+def secret_normal(secret: bytes | PublicNoise, key: str, n: int) -> np.ndarray:
     """n standard normals, the same for the same secret and key."""
+    if isinstance(secret, PublicNoise):
+        return secret.normal(key, n)
     seed = hmac.new(secret, key.encode(), hashlib.sha256).digest()
     return np.random.Generator(np.random.PCG64(int.from_bytes(seed, "big"))).standard_normal(n)
 
 
-def secret_gumbel(secret: bytes, key: str, n: int) -> np.ndarray:
+def secret_gumbel(secret: bytes | PublicNoise, key: str, n: int) -> np.ndarray:
+    if isinstance(secret, PublicNoise):
+        return secret.gumbel(key, n)
     seed = hmac.new(secret, key.encode(), hashlib.sha256).digest()
     return np.random.Generator(np.random.PCG64(int.from_bytes(seed, "big"))).gumbel(size=n)
 

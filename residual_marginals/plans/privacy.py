@@ -32,6 +32,7 @@ class Ledger:
         return max(0.0, self.budget - self.total)
 
     def spend(self, kind: str, rho: float, note: str = "") -> None:
+        """Charge what a step costs; callers fit the noise to what is left, never the charge."""
         if rho < 0 or self.total + rho > self.budget * (1 + 1e-12):
             raise BudgetExceeded(f"{kind} needs {rho}, {self.left} is left")
         self.rows.append((len(self.rows), kind, rho, note))

@@ -34,6 +34,12 @@ class Schedule:
             return True
         return False
 
+    def replay(self, rounds: list[tuple], domain) -> None:
+        """Where the schedule stands after the rounds of a trace."""
+        for _, gamma, sigma2, epsilon, _, _, _, _, moved, _ in rounds:
+            self.sigma, self.epsilon = math.sqrt(sigma2), epsilon
+            self.anneal(moved, domain.size(gamma))
+
     def fit(self, left: float) -> None:
         """Spend all that is left if it is less than two rounds."""
         if left < 2 * self.round_rho:

@@ -5,12 +5,14 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import DataStreamWriter
 
 from residual_marginals.domain import Domain
 from residual_marginals.operators.noise import keyed_uniform
 from residual_marginals.plans.privacy import Ledger
+from residual_marginals.sources.io import cut, exists
 
 
 def coded_events(events: DataFrame, domain: Domain) -> DataFrame:
@@ -66,28 +68,48 @@ def bounded_stream(events: DataFrame, k: int) -> DataFrame:
     return events.groupBy("user_id").applyInPandasWithState(keep, schema, "seen int", "append", "NoTimeout")
 
 
-def late_rows(events: DataFrame, watermark_seconds: int) -> DataFrame:
-    """(late, rows): how many rows of an ordered batch came later than a watermark behind the latest time seen before."""
-    before = F.max("ts").over(Window.orderBy("event_id").rowsBetween(Window.unboundedPreceding, -1))
+def late_rows(events: DataFrame, watermark_seconds: int, run: int = 100_000) -> DataFrame:
+    """(late, rows): how many rows of a batch in event_id order came later than a watermark behind the latest time seen before.
+
+    Rows are looked at in runs of ``run`` ids; what a run starts from is the latest time of the runs before it, so only one row a run is ordered as a whole.
+    """
+    numbered = events.select("event_id", "ts", F.floor(F.col("event_id") / run).alias("_run"))
+    tops = numbered.groupBy("_run").agg(F.max("ts").alias("_top"))
+    earlier = F.max("_top").over(Window.orderBy("_run").rowsBetween(Window.unboundedPreceding, -1)).alias("_before")
+    within = F.max("ts").over(Window.partitionBy("_run").orderBy("event_id").rowsBetween(Window.unboundedPreceding, -1))
+    seen = numbered.withColumn("_within", within).join(tops.select("_run", earlier), "_run")
+    before = F.greatest("_within", "_before")
     late = F.coalesce(F.unix_timestamp(before) - F.unix_timestamp("ts") > watermark_seconds, F.lit(False))
-    return events.withColumn("late", late).groupBy("late").agg(F.count(F.lit(1)).alias("rows"))
+    return seen.withColumn("late", late).groupBy("late").agg(F.count(F.lit(1)).alias("rows"))
+
+
+def window_ledger(spark: SparkSession, store: str) -> DataFrame:
+    """(window_start, rho, batch): what each released window was charged."""
+    schema = "window_start timestamp, rho double, batch long"
+    return spark.read.schema(schema).parquet(store) if exists(spark, store) else spark.createDataFrame([], schema)
 
 
-def release_windows(counts: DataFrame, release: Callable[[DataFrame, int], float], budget: float, overlap: int = 1):
-    """A ``foreachBatch`` writer that releases each closed window once.
+def release_windows(counts: DataFrame, release: Callable[[DataFrame, int], float], budget: float, store: str, overlap: int = 1) -> DataStreamWriter:
+    """A ``foreachBatch`` writer that releases each closed window once, also over restarts.
 
     Disjoint windows compose in parallel, so one budget serves all; windows that overlap ``overlap`` times share it.
-    ``release`` gets (window's counts, batch id) and returns the rho that it spent.
+    ``release`` gets (counts of windows that were never released, batch id) and returns the rho that it spends on each window. The ledger lies
+    in the folder ``store`` and is written before ``release`` is called: a window is charged its whole share, and a restarted stream, with or without its checkpoint,
+    finds it there and leaves it out. A window whose release failed after the charge stays unreleased.
     """
-    ledgers: dict[int, Ledger] = {}
+    spark, share = counts.sparkSession, budget / overlap
 
     def write(batch: DataFrame, batch_id: int) -> None:
-        if batch_id in ledgers:
-            # a batch that comes again is read, so that its state is committed, but never released twice
-            batch.write.format("noop").mode("overwrite").save()
+        # the batch is read whole, so that its state is committed
+        batch = cut(batch)
+        known = window_ledger(spark, store).select("window_start")
+        # closed windows of one batch: one row each
+        fresh = batch.select("window_start").distinct().join(known, "window_start", "left_anti").collect()
+        if not fresh:
             return
-        ledger = Ledger(budget / overlap)
-        ledger.spend("window", release(batch, batch_id), str(batch_id))
-        ledgers[batch_id] = ledger
+        rows = [(r["window_start"], share, batch_id) for r in fresh]
+        spark.createDataFrame(rows, "window_start timestamp, rho double, batch long").coalesce(1).write.mode("append").parquet(store)
+        new = F.broadcast(spark.createDataFrame([(r[0],) for r in rows], "window_start timestamp"))
+        Ledger(share).spend("window", release(batch.join(new, "window_start", "left_semi"), batch_id), str(batch_id))
 
-    return counts.writeStream.outputMode("append").foreachBatch(write), ledgers
+    return counts.writeStream.outputMode("append").foreachBatch(write)
