@@ -6,7 +6,7 @@ import math
 from collections.abc import Callable
 
 import numpy as np
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from residual_marginals import experiments, fixtures as fx, measures
@@ -15,7 +15,7 @@ from residual_marginals.domain import encode
 from residual_marginals.lattice import Workload, subsets
 from residual_marginals.mechanisms import baselines, graphical
 from residual_marginals.mechanisms.adaptive import adaptive_release, adaptive_release_cluster, candidate_weights
-from residual_marginals.operators import axisops, lazy, measure, noise, reconstruct, residuals, tabulate
+from residual_marginals.operators import axisops, lazy, measure, noise, reconstruct, residuals, tabulate, tiles
 from residual_marginals.operators.axisops import kron_cells
 from residual_marginals.operators import blocks
 from residual_marginals.plans import planner, privacy
@@ -138,6 +138,40 @@ def _(spark, sf_dir):
     return tabulate.tabulate(lines(spark, sf_dir), fx.LINES, K3)
 
 
+SALES_SQL = f"""SELECT CASE l_returnflag WHEN 'A' THEN 0 WHEN 'N' THEN 1 ELSE 2 END AS flag, CASE l_linestatus WHEN 'F' THEN 0 ELSE 1 END AS lstat, l_linenumber - 1 AS lineno,
+CAST(round(l_discount * 100) AS INTEGER) AS disc, CAST(round(l_tax * 100) AS INTEGER) AS tax, CAST(floor((l_quantity - 1) / 5) AS INTEGER) AS qty,
+CASE o_orderstatus WHEN 'F' THEN 0 WHEN 'O' THEN 1 ELSE 2 END AS ostat, CAST(substr(o_orderpriority, 1, 1) AS INTEGER) - 1 AS prio,
+CASE c_mktsegment WHEN 'AUTOMOBILE' THEN 0 WHEN 'BUILDING' THEN 1 WHEN 'FURNITURE' THEN 2 WHEN 'HOUSEHOLD' THEN 3 ELSE 4 END AS seg, n_regionkey AS region,
+CASE p_type WHEN 'ECONOMY' THEN 0 WHEN 'LARGE' THEN 1 WHEN 'MEDIUM' THEN 2 WHEN 'PROMO' THEN 3 WHEN 'SMALL' THEN 4 ELSE 5 END AS ptype,
+CAST(least(floor(l_extendedprice / 10500), 9) AS INTEGER) AS price, CAST(least(floor(l_extendedprice * (1 - l_discount) / 10500), 9) AS INTEGER) AS rev,
+CAST(l_quantity AS INTEGER) - 1 AS wqty, p_size - 1 AS size, CAST(substr(p_brand, 7) AS INTEGER) - 1 AS brand, n_nationkey AS nation,
+CAST((year(o_orderdate) - 1995) * 12 + month(o_orderdate) - 1 AS INTEGER) AS omonth, CAST((year(l_shipdate) - 1995) * 12 + month(l_shipdate) - 1 AS INTEGER) AS smonth
+FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN part ON l_partkey = p_partkey"""
+
+
+def sets_sql(sets: list[int], domain, base: str) -> str:
+    """The same without a scan per set: rows are numbered per set from a list of its attributes and lengths."""
+    names = [a.name for a in domain.attributes]
+    lists = f"[{', '.join(names)}]"
+    steps = f"[{', '.join(str(a.n) for a in domain.attributes)}]"
+    masks = ", ".join(map(str, sets))
+    picked = "list_filter(range(1, {0} + 1), lambda i: (gamma >> (i - 1)) & 1 = 1)".format(len(names))
+    return f"""WITH rows_ AS ({base}), grouped AS (SELECT {lists} AS codes, count(*) AS n FROM rows_ GROUP BY 1),
+sets AS (SELECT unnest([{masks}])::BIGINT AS gamma), axes AS (SELECT gamma, {picked} AS ax FROM sets),
+hit AS (SELECT gamma, CASE len(ax) WHEN 3 THEN (codes[ax[1]]::BIGINT * {steps}[ax[2]] + codes[ax[2]]) * {steps}[ax[3]] + codes[ax[3]] WHEN 2 THEN codes[ax[1]]::BIGINT * {steps}[ax[2]] + codes[ax[2]] ELSE codes[ax[1]]::BIGINT END AS cell, n FROM grouped, axes)
+SELECT gamma, cell, CAST(sum(n) AS BIGINT) AS value FROM hit GROUP BY gamma, cell"""
+
+
+@query("marginals_all_3way_sales", sets_sql(Workload.all_kway(fx.SALES, 3).sets, fx.SALES, SALES_SQL))
+def _(spark, sf_dir):
+    return tabulate.tabulate(encode(fx.sales(spark, sf_dir), fx.SALES), fx.SALES, Workload.all_kway(fx.SALES, 3).sets, dense=False)
+
+
+@query("marginals_all_3way_wide", sets_sql(Workload.all_kway(fx.WIDE, 3).sets, fx.WIDE, f"SELECT * REPLACE (wqty AS qty) FROM ({SALES_SQL})"))
+def _(spark, sf_dir):
+    return tabulate.tabulate(encode(fx.sales(spark, sf_dir), fx.WIDE), fx.WIDE, Workload.all_kway(fx.WIDE, 3).sets, dense=False)
+
+
 @query("marginals_all_3way_orders", union_sql([7], fx.ORDERS, ORDERS_SQL, True))
 def _(spark, sf_dir):
     return dense_orders(spark, sf_dir, [7])
@@ -252,6 +286,26 @@ def _(spark, sf_dir):
     return residuals.decompose(orders_cells(spark, sf_dir), fx.ORDERS, 7, 7)
 
 
+@query("tiled_residual", f"WITH {DENSE}, {coords_sql('cells', AXES, 'co')} SELECT CAST(((ostat - 1) * 4 + prio - 1) * 6 + oyear - 1 AS BIGINT) AS cell, v AS value FROM co WHERE ostat > 0 AND prio > 0 AND oyear > 0")
+def _(spark, sf_dir):
+    cells = dense_orders(spark, sf_dir, [7]).select("cell", "value")
+    return tiles.to_cells(tiles.decompose(tiles.from_cells(cells, (3, 5, 7)), (3, 5, 7), (0, 1, 2)), (2, 4, 6))
+
+
+@query("tiled_component", f"WITH {DENSE}, d AS (SELECT ostat, prio, oyear, avg(v) OVER (PARTITION BY ostat, oyear) - avg(v) OVER (PARTITION BY ostat) - avg(v) OVER (PARTITION BY oyear) + avg(v) OVER () AS v FROM cells) SELECT {CELL7} AS cell, {S6.format('v')} AS value FROM d")
+def _(spark, sf_dir):
+    cells = dense_orders(spark, sf_dir, [7]).select("cell", "value")
+    residual = tiles.decompose(tiles.from_cells(cells, (3, 5, 7)), (3, 5, 7), (0, 2))
+    return rounded(tiles.to_cells(tiles.reconstruct(residual, (3, 5, 7), (0, 2)), (3, 5, 7)))
+
+
+@query("nonzero_support", f"WITH {DENSE}, {coords_sql('cells', AXES, 'co')} SELECT CAST(7 AS BIGINT) AS gamma, bit_or({SUPPORT7}) AS support FROM co WHERE v <> 0")
+def _(spark, sf_dir):
+    """Which attributes any non-zero residual cell depends on."""
+    coords = residuals.to_residual_coords(dense_orders(spark, sf_dir, [7]), fx.ORDERS)
+    return coords.where("value <> 0").groupBy("gamma").agg(F.bit_or("support").alias("support"))
+
+
 @query("residual_coords", f"WITH {DENSE}, {coords_sql('cells', AXES, 'co')} SELECT CAST(7 AS BIGINT) AS gamma, {CELL7} AS cell, {SUPPORT7} AS support, v AS value FROM co")
 def _(spark, sf_dir):
     return residuals.to_residual_coords(dense_orders(spark, sf_dir, [7]), fx.ORDERS)
@@ -525,9 +579,11 @@ def _(spark, sf_dir):
     return rounded(spark.createDataFrame([(r, privacy.rho_to_eps(r, 1e-9, "simple")) for r in (0.01, 0.1, 1.0)], "rho double, eps double"), "eps")
 
 
-@query("rho_to_eps_tight")
+@query("rho_to_eps_tight", """WITH r AS (SELECT * FROM (VALUES (0.01::DOUBLE), (0.1::DOUBLE), (1.0::DOUBLE)) x(rho)), o AS (SELECT 1 + pow(10::DOUBLE, -4 + 12 * range / 5999::DOUBLE) AS a FROM range(6000))
+SELECT rho, round(min(a * rho + (ln(1e9::DOUBLE) - ln(a - 1) + a * ln(1 - 1 / a)) / (a - 1)), 6) + 0.0 AS eps, round(rho, 6) + 0.0 AS back FROM r, o GROUP BY rho""")
 def _(spark, sf_dir):
-    return spark.createDataFrame([(r, privacy.rho_to_eps(r, 1e-9), privacy.eps_to_rho(privacy.rho_to_eps(r, 1e-9), 1e-9)) for r in (0.01, 0.1, 1.0)], "rho double, eps double, back double")
+    rows = [(r, privacy.rho_to_eps(r, 1e-9), privacy.eps_to_rho(privacy.rho_to_eps(r, 1e-9), 1e-9)) for r in (0.01, 0.1, 1.0)]
+    return rounded(spark.createDataFrame(rows, "rho double, eps double, back double"), "eps", "back")
 
 
 # --- selection and errors -------------------------------------------------------------------------------------------
@@ -580,6 +636,33 @@ def _(spark, sf_dir):
     return rounded(measures.l2_error(*truth_and_noisy(spark, sf_dir)), "sse", "mse")
 
 
+NOISY_PAIRS = " UNION ALL ".join(
+    f"SELECT CAST({g} AS BIGINT) AS gamma, cell, v, nv FROM ({NOISY(g, 'cell', f'(SELECT CAST({c} AS BIGINT) AS cell, CAST(sum(v) AS DOUBLE) AS v FROM cells GROUP BY 1)', 4)})"
+    for g, c in ((3, "ostat * 5 + prio"), (5, "ostat * 7 + oyear"), (6, "prio * 7 + oyear"))
+)
+
+
+def noisy_pairs(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
+    truth = cut(dense_orders(spark, sf_dir, [3, 5, 6]))
+    return truth, measure.measure_marginal(truth, fx.ORDERS, 4.0, KEY).select("gamma", "cell", "value")
+
+
+@query("largest_errors", f"WITH {DENSE}, e AS ({NOISY_PAIRS}) SELECT gamma, cell, {S6.format('abs(nv - v)')} AS error FROM e ORDER BY abs(nv - v) DESC, gamma, cell LIMIT 10")
+def _(spark, sf_dir):
+    return rounded(measures.largest_errors(*noisy_pairs(spark, sf_dir)), "error")
+
+
+@query("worst_marginals", f"""WITH {DENSE}, e AS ({NOISY_PAIRS}), l AS (SELECT gamma, sum(abs(nv - v)) AS l1, count(*) AS n_cells FROM e GROUP BY gamma)
+SELECT gamma, {S6.format('l1')} AS l1, n_cells, CAST(row_number() OVER (ORDER BY l1 DESC, gamma) AS INTEGER) AS place, CAST(ntile(4) OVER (ORDER BY l1 DESC, gamma) AS INTEGER) AS part FROM l QUALIFY place <= 2""")
+def _(spark, sf_dir):
+    return rounded(measures.worst_marginals(*noisy_pairs(spark, sf_dir), k=2), "l1")
+
+
+@query("error_profile", f"WITH {DENSE}, e AS ({NOISY_PAIRS}) SELECT gamma, {S6.format('stddev_pop(abs(nv - v))')} AS spread, {S6.format('quantile_disc(abs(nv - v), 0.5)')} AS median, {S6.format('max(abs(nv - v))')} AS most FROM e GROUP BY gamma")
+def _(spark, sf_dir):
+    return rounded(measures.error_profile(*noisy_pairs(spark, sf_dir)), "spread", "median", "most")
+
+
 @query("postprocessed", f"{ERR}, q AS (SELECT *, greatest(nv, 0.0::DOUBLE) AS c FROM e) SELECT CAST(7 AS BIGINT) AS gamma, {CELL7} AS cell, {S6.format('c * (SELECT sum(nv) FROM q) / (SELECT sum(c) FROM q)')} AS value FROM q")
 def _(spark, sf_dir):
     return rounded(reconstruct.postprocess(truth_and_noisy(spark, sf_dir)[1]))
@@ -640,6 +723,22 @@ def _(spark, sf_dir):
     return tabulate.tabulate_one(encode(kept, fx.ACTIVITY), ["etype"])
 
 
+@query("recent_events", """SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch(date_trunc('second', ts))::BIGINT RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS recent,
+round(cume_dist() OVER (PARTITION BY event_type ORDER BY value), 6) + 0.0 AS share FROM events""")
+def _(spark, sf_dir):
+    """Events of the same user in the day before, and the share of events of the type that are no larger."""
+    events = load(spark, sf_dir, "events").withColumn("at", F.unix_timestamp(F.date_trunc("second", F.col("ts").cast("timestamp"))))
+    day = Window.partitionBy("user_id").orderBy("at").rangeBetween(-86400, 0)
+    share = F.cume_dist().over(Window.partitionBy("event_type").orderBy("value"))
+    return events.select("event_id", F.count(F.lit(1)).over(day).alias("recent"), r6(share).alias("share"))
+
+
+@query("late_events", """WITH o AS (SELECT ts, max(ts) OVER (ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS seen FROM events)
+SELECT coalesce(epoch(date_trunc('second', seen))::BIGINT - epoch(date_trunc('second', ts))::BIGINT > 3600, false) AS late, count(*) AS rows FROM o GROUP BY 1""")
+def _(spark, sf_dir):
+    return streams.late_rows(load(spark, sf_dir, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts")), 3600, 1000)
+
+
 @query("stream_available_now", f"SELECT CAST(1 AS BIGINT) AS gamma, CAST(etype AS BIGINT) AS cell, count(*) AS value FROM ({EV}) GROUP BY etype")
 def _(spark, sf_dir):
     import uuid
@@ -711,102 +810,211 @@ def raw_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "orders")
 
 
+SECRET = fx.TEST_SECRET
+PUBLIC = noise.PublicNoise()
+
+
+def release(spark: SparkSession, sf_dir: str, **options):
+    return adaptive_release(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5, secret=SECRET, **options)
+
+
 @query("adaptive_release")
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All 2-way marginals of orders, released adaptively."""
-    return adaptive_release(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5).marginals(spark)
+    return release(spark, sf_dir).marginals(spark)
 
 
 @query("adaptive_trace")
 def _(spark, sf_dir):
-    return adaptive_release(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5).trace(spark).drop("seconds")
+    return release(spark, sf_dir).trace(spark).drop("seconds")
 
 
-@query("adaptive_ledger")
+@query("adaptive_release_cluster")
 def _(spark, sf_dir):
-    return adaptive_release(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5).ledger.to_df(spark)
+    return residuals.unpack(adaptive_release_cluster(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5, secret=SECRET)[0])
 
 
-@query("adaptive_one_round")
+@query("release_invariants", """SELECT * FROM (VALUES ('cluster', 0.5::DOUBLE, 0.0::DOUBLE, true), ('local', 0.5::DOUBLE, 0.0::DOUBLE, true)) x(state, spent, gap, likely)""")
 def _(spark, sf_dir):
-    return adaptive_release(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5, max_rounds=1).marginals(spark)
+    """What holds for any release: the budget is spent, answers agree on shared attributes, totals lie within eight standard deviations."""
+    out = release(spark, sf_dir)
+    packed, ledger, _ = adaptive_release_cluster(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5, secret=SECRET)
+    found = {r["gamma"]: np.array(r["values"]).reshape(fx.ORDERS.shape(r["gamma"])) for r in packed.collect()}
+    records = raw_orders(spark, sf_dir).count()
+    rows = []
+    for state, tables, spent in (("local", out.state.marginals, out.ledger.total), ("cluster", found, ledger.total)):
+        gap = max(np.abs(tables[3].sum(axis=1) - tables[5].sum(axis=1)).max(), np.abs(tables[3].sum(axis=0) - tables[6].sum(axis=1)).max())
+        rows.append((state, round(spent, 6) + 0.0, round(float(gap), 6) + 0.0, bool(abs(tables[3].sum() - records) < 8 / math.sqrt(out.state.precision[0]))))
+    return spark.createDataFrame(rows, "state string, spent double, gap double, likely boolean")
 
 
-@query("adaptive_release_cluster")
+def public_normal(key: str, cell: str) -> str:
+    """Noise of the public test source: key and cell."""
+    return normal_sql(cell, key=key)
+
+
+NAMES = {1: ("ostat",), 2: ("prio",), 4: ("oyear",), 3: ("ostat", "prio"), 5: ("ostat", "oyear"), 6: ("prio", "oyear")}
+LENGTHS = {"ostat": 3, "prio": 5, "oyear": 7}
+
+
+def own_cell(names: tuple[str, ...]) -> str:
+    code = names[0]
+    for n in names[1:]:
+        code = f"({code}) * {LENGTHS[n]} + {n}"
+    return f"CAST({code} AS BIGINT)"
+
+
+def centred(names: tuple[str, ...]) -> str:
+    """Value v of a noisy table less its axis means: the component without the lengths of other axes."""
+    if len(names) == 1:
+        return "v - avg(v) OVER ()"
+    return f"v - avg(v) OVER (PARTITION BY {names[0]}) - avg(v) OVER (PARTITION BY {names[1]}) + avg(v) OVER ()"
+
+
+def released_sql(scale: dict[int, str], key: str) -> str:
+    """CTEs n0 and n1 to n6: noisy tables of all sets of at most two attributes (the first as the total t, the others centred), and the answers ``a``."""
+    parts = [f"n0 AS (SELECT sum(v) + sqrt({scale[0]}) * ({public_normal(f'{key}:0', '0')}) AS t FROM cells)"]
+    for m, names in NAMES.items():
+        own = ", ".join(names)
+        noisy = f"SELECT {own}, v + sqrt({scale[m]}) * ({public_normal(f'{key}:{m}', own_cell(names))}) AS v FROM (SELECT {own}, CAST(sum(v) AS DOUBLE) AS v FROM cells GROUP BY {own})"
+        parts.append(f"n{m} AS (SELECT {own}, {centred(names)} AS c FROM ({noisy}))")
+    answers = []
+    for m in (3, 5, 6):
+        a, b = NAMES[m]
+        one, two = (next(k for k, x in NAMES.items() if x == (n,)) for n in (a, b))
+        answers.append(
+            f"SELECT CAST({m} AS BIGINT) AS gamma, {own_cell((a, b))} AS cell, t / {LENGTHS[a] * LENGTHS[b]} + n{one}.c / {LENGTHS[b]} + n{two}.c / {LENGTHS[a]} + n{m}.c AS v FROM n{m} JOIN n{one} USING ({a}) JOIN n{two} USING ({b}), n0"
+        )
+    return ", ".join(parts) + ", a AS (" + " UNION ALL ".join(answers) + ")"
+
+
+#: Plan of the batch release at rho 0.5, and the expected error per cell of each answer.
+BATCH = f"""{PAIRS_SQL}, plan AS (SELECT tau, sqrt(v / p) / sum(sqrt(v * p)) OVER () AS x FROM q), err AS (SELECT gamma, sqrt(sum(z.v / x)) AS sd FROM z JOIN plan USING (tau) GROUP BY gamma)"""
+BATCH_RELEASE = f"WITH {DENSE}, {BATCH}, {released_sql({m: f'(SELECT 1 / x FROM plan WHERE tau = {m})' for m in (0, *NAMES)}, 'batch')}"
+
+
+def public_batch(spark: SparkSession, sf_dir: str):
+    return baselines.batch_release(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5, secret=PUBLIC)
+
+
+@query("batch_release", f"{BATCH_RELEASE} SELECT gamma, cell, {S6.format('v')} AS value, {S6.format('sd')} AS sd FROM a JOIN err USING (gamma)")
+def _(spark, sf_dir):
+    return rounded(public_batch(spark, sf_dir).marginals(spark), "value", "sd")
+
+
+@query("answer_count", f"{BATCH_RELEASE} SELECT {S6.format('sum(v)')} AS value, {S6.format('2 * max(sd)')} AS sd FROM a JOIN err USING (gamma) WHERE gamma = 3 AND cell IN (0, 5)")
+def _(spark, sf_dir):
+    return rounded(spark.createDataFrame([answer_count(public_batch(spark, sf_dir), {"ostat": {0, 1}, "prio": {0}})], "value double, sd double"), "value", "sd")
+
+
+#: One given marginal (ostat, prio), half of rho 0.5 on the 1-way tables (variance 4 for the two attributes that it has), half on its plan.
+SEQUENCE = f"""{", ".join(f"m{m} AS (SELECT {NAMES[m][0]}, v + sqrt(4.0::DOUBLE) * ({public_normal(f'run:init:{m}', own_cell(NAMES[m]))}) AS v FROM (SELECT {NAMES[m][0]}, CAST(sum(v) AS DOUBLE) AS v FROM cells GROUP BY 1))" for m in (1, 2))},
+t0 AS (SELECT ((SELECT sum(v) FROM m1) / 12 + (SELECT sum(v) FROM m2) / 20) / (1 / 12.0::DOUBLE + 1 / 20.0::DOUBLE) AS t),
+s AS (SELECT * FROM (VALUES (0, 1.0::DOUBLE, 1 / 15.0::DOUBLE, 1 / 12.0::DOUBLE + 1 / 20.0::DOUBLE), (1, 2 / 3.0::DOUBLE, 1 / 5.0::DOUBLE, 0.25::DOUBLE), (2, 4 / 5.0::DOUBLE, 1 / 3.0::DOUBLE, 0.25::DOUBLE), (3, 8 / 15.0::DOUBLE, 1.0::DOUBLE, 0.0::DOUBLE)) x(tau, p, r, a)),
+w AS (SELECT *, (0.5::DOUBLE + sum(p * a) OVER o) / sum(p * r) OVER o AS lvl, lead(a / r) OVER (ORDER BY a / r, tau) AS nxt, row_number() OVER (ORDER BY a / r, tau) AS k FROM s WINDOW o AS (ORDER BY a / r, tau ROWS UNBOUNDED PRECEDING)),
+c AS (SELECT lvl AS c FROM w WHERE nxt IS NULL OR lvl <= nxt ORDER BY k LIMIT 1), x AS (SELECT tau, a, greatest(0.0::DOUBLE, c * r - a) AS x FROM s, c),
+{", ".join(f"k{m} AS (SELECT {', '.join(NAMES[m])}, v + ({public_normal(f'run:0:{m}', own_cell(NAMES[m]))}) / sqrt((SELECT greatest(x, 1e-300) FROM x WHERE tau = {m})) AS v FROM (SELECT {', '.join(NAMES[m])}, CAST(sum(v) AS DOUBLE) AS v FROM cells GROUP BY ALL))" for m in (1, 2, 3))},
+{", ".join(f"c{m} AS (SELECT {NAMES[m][0]}, (a * (m{m}.v - avg(m{m}.v) OVER ()) + x * (k{m}.v - avg(k{m}.v) OVER ())) / (a + x) AS c FROM m{m} JOIN k{m} USING ({NAMES[m][0]}), x WHERE tau = {m})" for m in (1, 2))},
+c3 AS (SELECT ostat, prio, {centred(NAMES[3])} AS c FROM k3)"""
+
+
+@query("adaptive_one_round", f"WITH {DENSE}, {SEQUENCE} SELECT CAST(3 AS BIGINT) AS gamma, {own_cell(NAMES[3])} AS cell, {S6.format('t / 15 + c1.c / 5 + c2.c / 3 + c3.c')} AS value FROM c3 JOIN c1 USING (ostat) JOIN c2 USING (prio), t0")
 def _(spark, sf_dir):
-    return residuals.unpack(adaptive_release_cluster(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5)[0])
+    """One round on a given marginal: 1-way tables, the plan given what they tell, the residuals it keeps, their averages."""
+    out = adaptive_release(raw_orders(spark, sf_dir), fx.ORDERS, Workload([3]), 0.5, secret=PUBLIC, sequence=[3], min_gain=1e-9)
+    return rounded(out.marginals(spark).drop("sd"))
 
 
-@query("batch_release")
+@query("adaptive_ledger", """SELECT CAST(k AS INTEGER) AS step, CASE WHEN k < 3 THEN 'one-way' ELSE 'measure' END AS kind, round(0.25 / 3, 6) + 0.0 AS rho, ['ostat', 'prio', 'oyear', '6', '3', '5'][k + 1] AS note FROM (SELECT range AS k FROM range(6))""")
 def _(spark, sf_dir):
-    return baselines.batch_release(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5).marginals(spark)
+    return rounded(release(spark, sf_dir, sequence=[6, 3, 5]).ledger.to_df(spark), "rho")
 
 
 def listed(spark: SparkSession, answers: dict[int, np.ndarray]) -> DataFrame:
     return spark.createDataFrame([(g, k, float(v)) for g, a in answers.items() for k, v in enumerate(a.ravel())], "gamma long, cell long, value double")
 
 
-@query("direct_release")
+@query("direct_release", f"WITH {DENSE} " + " UNION ALL ".join(
+    f"SELECT CAST({m} AS BIGINT) AS gamma, {own_cell(NAMES[m])} AS cell, round(v + sqrt(3.0::DOUBLE) * ({public_normal(f'direct:{m}', own_cell(NAMES[m]))}), 6) + 0.0 AS value FROM (SELECT {', '.join(NAMES[m])}, CAST(sum(v) AS DOUBLE) AS v FROM cells GROUP BY ALL)" for m in (3, 5, 6)))
 def _(spark, sf_dir):
-    return listed(spark, baselines.direct_release(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5)[0])
+    # rho 0.5 over three marginals: variance 3 each
+    return rounded(listed(spark, baselines.direct_release(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5, secret=PUBLIC)[0]))
 
 
 @query("adaptive_graphical")
 def _(spark, sf_dir):
     truth = baselines.truth_of(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS)
-    return listed(spark, graphical.adaptive_graphical(truth, fx.ORDERS, PAIRS, 0.5)[0])
+    return listed(spark, graphical.adaptive_graphical(truth, fx.ORDERS, PAIRS, 0.5, secret=SECRET)[0])
 
 
-@query("graphical_reconstruct")
+@query("graphical_reconstruct", f"""WITH {DENSE}, {OP_M}, {PY_M}, p AS (SELECT prio, sum(v) AS v FROM cells GROUP BY prio)
+SELECT CAST(3 AS BIGINT) AS gamma, CAST(ostat * 5 + prio AS BIGINT) AS cell, round(v, 1) + 0.0 AS value FROM op UNION ALL SELECT CAST(6 AS BIGINT), CAST(prio * 7 + oyear AS BIGINT), round(v, 1) + 0.0 FROM py
+UNION ALL SELECT CAST(5 AS BIGINT), CAST(ostat * 7 + oyear AS BIGINT), round(sum(op.v * py.v / p.v), 1) + 0.0 FROM op JOIN py USING (prio) JOIN p USING (prio) GROUP BY ostat, oyear""")
 def _(spark, sf_dir):
+    # two exact marginals that share an attribute: the model is their product over it
     truth = baselines.truth_of(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS)
-    return listed(spark, graphical.graphical_reconstruct([(3, truth[3], 1.0), (6, truth[6], 1.0)], fx.ORDERS, [3, 6, 5], float(truth[0])))
+    answers = graphical.graphical_reconstruct([(3, truth[3], 1.0), (6, truth[6], 1.0)], fx.ORDERS, [3, 6, 5], float(truth[0]))
+    return listed(spark, {g: np.round(a, 1) + 0.0 for g, a in answers.items()})
 
 
 def full_orders(spark: SparkSession, sf_dir: str) -> np.ndarray:
-    return tabulate.collect_blocks(dense_orders(spark, sf_dir, [7]), fx.ORDERS)[7]
+    return tabulate.collect_blocks(dense_orders(spark, sf_dir, [7]), fx.ORDERS, [7])[7]
 
 
 @query("mw_release")
 def _(spark, sf_dir):
-    return listed(spark, baselines.multiplicative_weights(full_orders(spark, sf_dir), fx.ORDERS, PAIRS.sets, 0.5)[0])
+    return listed(spark, baselines.multiplicative_weights(full_orders(spark, sf_dir), fx.ORDERS, PAIRS.sets, 0.5, secret=SECRET)[0])
 
 
-@query("identity_strategy")
+@query("identity_strategy", f"WITH {DENSE}, n AS (SELECT ostat, prio, oyear, v + ({public_normal('identity', CELL7)}) AS v FROM cells) " + " UNION ALL ".join(
+    f"SELECT CAST({m} AS BIGINT) AS gamma, {own_cell(NAMES[m])} AS cell, round(sum(v), 6) + 0.0 AS value FROM n GROUP BY {', '.join(NAMES[m])}" for m in (3, 5, 6)))
 def _(spark, sf_dir):
-    return listed(spark, baselines.identity_strategy(full_orders(spark, sf_dir), fx.ORDERS, PAIRS.sets, 0.5))
+    # rho 0.5: variance 1
+    return rounded(listed(spark, baselines.identity_strategy(full_orders(spark, sf_dir), fx.ORDERS, PAIRS.sets, 0.5, secret=PUBLIC)[0]))
 
 
-@query("answer_count")
-def _(spark, sf_dir):
-    out = adaptive_release(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5)
-    return spark.createDataFrame([answer_count(out, {"ostat": {0, 1}, "prio": {0}})], "value double, sd double")
+def ablation_data(spark: SparkSession, sf_dir: str) -> dict:
+    return {"sales": (fx.sales(spark, sf_dir), fx.SALES), "bits": (load(spark, sf_dir, "embeddings"), fx.bits_domain(12)), "wide": (fx.sales(spark, sf_dir), fx.WIDE)}
 
 
 @query("ablation")
 def _(spark, sf_dir):
-    return experiments.run_ablation(spark, {"orders": (raw_orders(spark, sf_dir), fx.ORDERS), "lines": (load(spark, sf_dir, "lineitem"), fx.LINES), "bits": (load(spark, sf_dir, "embeddings"), fx.bits_domain(6))}, k=3, trials=2)
+    """All 3-way marginals of 13, 13 and 9 attributes; the lazy strategies in five trials, the rebuilding one, whose error is that of lazy_iid, in one."""
+    return experiments.run_ablation(spark, ablation_data(spark, sf_dir), secret=SECRET, trials={"lazy_conditional": 5, "lazy_iid": 5, "full_iid": 1})
 
 
-@query("ablation_sales")
+@query("ablation_speedups")
 def _(spark, sf_dir):
-    return experiments.run_ablation(spark, {"sales": (fx.sales(spark, sf_dir), fx.SALES)}, k=3, trials=1)
+    return measures.speedup_table(experiments.run_ablation(spark, {"lines": (load(spark, sf_dir, "lineitem"), fx.LINES)}, secret=SECRET), "full_iid")
 
 
-@query("ablation_wide")
+@query("ablation_bits64")
 def _(spark, sf_dir):
-    return experiments.run_ablation(spark, {"wide": (fx.sales(spark, sf_dir), fx.WIDE)}, k=3, trials=1)
+    """All 43,680 triples of 64 bits and a label, by the strategy that can do it."""
+    data = {"bits64": (load(spark, sf_dir, "embeddings"), fx.bits_domain(64))}
+    return experiments.run_ablation(spark, data, secret=SECRET, trials=1, strategies=["lazy_conditional"])
 
 
-@query("resumed_release")
+@query("resumed_release", "SELECT true AS same_rounds, true AS same_answers, 0.5::DOUBLE AS spent")
 def _(spark, sf_dir):
+    """A release that stops after two rounds, is stored and goes on draws the same noise as one that was never stopped."""
     from residual_marginals.mechanisms.adaptive import load_progress, save_progress
     from residual_marginals.sources.io import shared_path
 
-    path = shared_path(spark)
-    save_progress(spark, adaptive_release(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5, max_rounds=2), path)
+    path, whole = shared_path(spark), release(spark, sf_dir)
+    save_progress(spark, release(spark, sf_dir, max_rounds=2), path)
     stored = load_progress(spark, path, fx.ORDERS, PAIRS, 0.5)
-    return adaptive_release(raw_orders(spark, sf_dir), fx.ORDERS, PAIRS, 0.5, progress=stored).marginals(spark)
+    done = release(spark, sf_dir, progress=stored)
+    same = all(np.allclose(done.state.marginals[g], whole.state.marginals[g]) for g in PAIRS.sets)
+    rows = [([r[1] for r in done.rounds] == [r[1] for r in whole.rounds], bool(same), round(done.ledger.total, 6) + 0.0)]
+    return spark.createDataFrame(rows, "same_rounds boolean, same_answers boolean, spent double")
+
+
+@query("release_costs")
+def _(spark, sf_dir):
+    """Jobs, stages, rows, bytes and time of a release from the tables on."""
+    costs = measures.spark_costs(spark, lambda: adaptive_release(fx.sales(spark, sf_dir), fx.SALES, Workload.all_kway(fx.SALES, 3), 0.5, secret=SECRET))
+    return spark.createDataFrame([tuple(type_(costs[name]) for name, type_ in zip((c.split()[0] for c in measures.COSTS.split(", ")), (int, int, int, int, int, int, float, float)))], measures.COSTS)
 
 
 @query("marginal_pivot", f"SELECT ostat, " + ", ".join(f"count(*) FILTER (prio = {k}) AS p{k}" for k in range(5)) + f" FROM ({ORDERS_SQL}) GROUP BY ostat")
@@ -831,9 +1039,22 @@ def _(spark, sf_dir):
     return out[0].unionByName(out[1]).unionByName(out[2])
 
 
+BUDGETS = [0.1, 0.3, 1.0, 3.0, 10.0]
+
+
 @query("tradeoff")
 def _(spark, sf_dir):
-    return experiments.run_tradeoff(spark, {"orders": (raw_orders(spark, sf_dir), fx.ORDERS), "dialogue": (load(spark, sf_dir, "conversations"), fx.DIALOGUE)}, [0.3, 1.0, 10.0], ["adaptive", "batch", "direct", "graphical"], trials=2)
+    """All 3-way marginals of the lines, five budgets, five trials; the graphical model may take 0.05 of the 0.32 MB that the whole domain would."""
+    data = {"lines": (load(spark, sf_dir, "lineitem"), fx.LINES)}
+    return experiments.run_tradeoff(spark, data, BUDGETS, ["adaptive", "batch", "direct", "graphical"], secret=SECRET, model_mb=0.05)
+
+
+@query("tradeoff_large")
+def _(spark, sf_dir):
+    """The same on 13 attributes and on 9 long ones, whose whole domains no graphical model of 50 MB holds; budgets up to 1000 on the latter."""
+    sales = experiments.run_tradeoff(spark, {"sales": (fx.sales(spark, sf_dir), fx.SALES)}, BUDGETS, ["adaptive", "batch", "direct"], secret=SECRET)
+    wide = experiments.run_tradeoff(spark, {"wide": (fx.sales(spark, sf_dir), fx.WIDE)}, [1.0, 10.0, 100.0, 1000.0], ["adaptive", "batch", "direct"], secret=SECRET, trials=2)
+    return sales.unionByName(wide)
 
 
 @query("tradeoff_relative")
@@ -843,19 +1064,35 @@ def _(spark, sf_dir):
 
 @query("model_size_sweep")
 def _(spark, sf_dir):
-    return experiments.size_sweep(spark, raw_orders(spark, sf_dir), fx.ORDERS, [0.0005, 0.001, 5.0])
+    return experiments.size_sweep(spark, load(spark, sf_dir, "lineitem"), fx.LINES, [0.005, 0.05, 0.5], secret=SECRET)
 
 
 @query("transform_bench")
 def _(spark, sf_dir):
-    return experiments.run_transform_bench(spark, [(2, 16), (3, 16), (4, 16), (5, 16), (3, 2), (3, 8), (3, 32), (3, 64), (3, 128)], repeats=3, relational_cells=300)
+    shapes = [(2, 16), (3, 16), (4, 16), (5, 16), (6, 16), *((3, n) for n in (2, 4, 8, 32, 64, 128, 256))]
+    return experiments.run_transform_bench(spark, shapes, repeats=3, relational_cells=300)
+
+
+@query("transform_tiled")
+def _(spark, sf_dir):
+    """Arrays in tiles on the executors, also beyond what one process should hold; degree 7 takes 2 GB as numbers and is for a cluster."""
+    return experiments.run_tiled_bench(spark, [(4, 16), (5, 16)])
+
+
+NO_GAP = "0.0::DOUBLE"
 
 
-@query("noise_plan_check")
+@query("noise_plan_check", f"""WITH s AS (SELECT *, {PRIOR_SQL} AS a FROM ({SUBSETS7})), g AS (SELECT * FROM (VALUES (0.01::DOUBLE), (0.5::DOUBLE), (5.0::DOUBLE)) x(rho)),
+w AS (SELECT *, (2 * rho + sum(p * a) OVER o) / sum(p * r) OVER o AS lvl, lead(a / r) OVER (PARTITION BY rho ORDER BY a / r, tau) AS nxt FROM s, g WINDOW o AS (PARTITION BY rho ORDER BY a / r, tau ROWS UNBOUNDED PRECEDING)),
+c AS (SELECT rho, min(lvl) AS c FROM w WHERE nxt IS NULL OR lvl <= nxt GROUP BY rho)
+SELECT rho, {NO_GAP} AS left_over, {NO_GAP} AS gap, {S6.format('CASE WHEN bool_or(greatest(a, c * r) = 0) THEN NULL ELSE sum(p * r * r / greatest(a, c * r)) END')} AS error, true AS best FROM s, c GROUP BY rho""")
 def _(spark, sf_dir):
+    """Budget left over, violation of the optimality conditions, expected error, and that a numeric search finds nothing better."""
     rows = []
     for rho in (0.01, 0.5, 5.0):
         plan = planner.conditional_plan(7, fx.ORDERS, PRIOR, rho)
         left, gap = planner.plan_check(plan, rho)
-        rows.append((rho, left, gap, planner.plan_error(plan), math.fsum(planner.numeric_plan(plan, rho, 500))))
-    return spark.createDataFrame(rows, "rho double, left double, gap double, error double, numeric double")
+        found = planner.numeric_plan(plan, rho, 500)
+        other = math.fsum(x.v / (x.prior + n) if x.prior + n > 0 else math.inf for x, n in zip(plan, found))
+        rows.append((rho, round(left, 6) + 0.0, round(gap, 6) + 0.0, round(planner.plan_error(plan), 6) + 0.0, other >= planner.plan_error(plan) * (1 - 1e-9)))
+    return spark.createDataFrame(rows, "rho double, left_over double, gap double, error double, best boolean")

@@ -4,10 +4,11 @@ from __future__ import annotations
 
 import math
 import time
+import uuid
 from collections.abc import Callable
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from residual_marginals.operators import blocks
@@ -84,9 +85,59 @@ def relative_to(rows: DataFrame, method: str = "batch") -> DataFrame:
 def plan_costs(df: DataFrame) -> dict[str, int]:
     """Counts of operators in the physical plan: scans, exchanges, broadcasts, Python stages."""
     text = df._jdf.queryExecution().executedPlan().toString()
+    # an adaptive plan that has run shows its first plan as well
+    text = text.split("+- == Initial Plan ==")[0]
     return {"scans": text.count("FileScan"), "exchanges": text.count("Exchange hash") + text.count("Exchange range"), "broadcasts": text.count("BroadcastExchange"), "python": text.count("MapInPandas") + text.count("MapInArrow") + text.count("ArrowEvalPython")}
 
 
+COSTS = "jobs int, stages int, tasks long, rows_read long, shuffle_bytes long, spilled_bytes long, executor_seconds double, seconds double"
+
+
+def spark_costs(spark: SparkSession, run: Callable[[], object]) -> dict[str, float]:
+    """What the Spark jobs of ``run`` did: jobs, stages that ran, tasks, rows read, bytes shuffled and spilled, executor and wall time."""
+    context, group, began = spark.sparkContext, f"costs-{uuid.uuid4().hex}", time.perf_counter()
+    context.setJobGroup(group, "measured")
+    try:
+        run()
+    finally:
+        context.setLocalProperty("spark.jobGroup.id", None)
+    seconds = time.perf_counter() - began
+    context._jsc.sc().listenerBus().waitUntilEmpty()
+    tracker, store = context.statusTracker(), context._jsc.sc().statusStore()
+    jobs = list(tracker.getJobIdsForGroup(group))
+    out = dict.fromkeys(("stages", "tasks", "rows_read", "shuffle_bytes", "spilled_bytes", "executor_seconds"), 0)
+    for stage in sorted({s for j in jobs if (info := tracker.getJobInfo(j)) for s in info.stageIds}):
+        data = store.lastStageAttempt(stage)
+        if data.numCompleteTasks():
+            out["stages"] += 1
+            out["tasks"] += data.numCompleteTasks()
+            out["rows_read"] += data.inputRecords()
+            out["shuffle_bytes"] += data.shuffleWriteBytes()
+            out["spilled_bytes"] += data.diskBytesSpilled()
+            out["executor_seconds"] += data.executorRunTime() / 1000
+    return {"jobs": len(jobs), **out, "seconds": seconds}
+
+
+def largest_errors(truth: DataFrame, estimate: DataFrame, k: int = 10) -> DataFrame:
+    """(gamma, cell, error): the k cells of largest absolute error, ties to the smaller set and cell. For the trusted side only."""
+    gap = _paired(truth, estimate).select("gamma", "cell", F.abs(F.col("t") - F.col("e")).alias("error"))
+    return gap.orderBy(F.desc("error"), "gamma", "cell").limit(k)
+
+
+def worst_marginals(truth: DataFrame, estimate: DataFrame, k: int = 5) -> DataFrame:
+    """(gamma, l1, n_cells, place, part): the k marginals of largest error, with their rank and the quarter of all marginals that they fall into."""
+    order = Window.orderBy(F.desc("l1"), "gamma")
+    # a row per marginal
+    ranked = l1_error(truth, estimate).withColumn("place", F.row_number().over(order)).withColumn("part", F.ntile(4).over(order))
+    return ranked.where(F.col("place") <= k)
+
+
+def error_profile(truth: DataFrame, estimate: DataFrame) -> DataFrame:
+    """(gamma, spread, median, most): standard deviation, approximate median and maximum of the absolute error of the cells."""
+    gap = _paired(truth, estimate).select("gamma", F.abs(F.col("t") - F.col("e")).alias("g"))
+    return gap.groupBy("gamma").agg(F.stddev_pop("g").alias("spread"), F.percentile_approx("g", 0.5, 1_000_000).alias("median"), F.max("g").alias("most"))
+
+
 def ledger_rows(spark: SparkSession, ledger, delta: float = 1e-9) -> DataFrame:
     """(total_rho, eps): what a run has spent."""
     from residual_marginals.plans.privacy import rho_to_eps
