@@ -2,10 +2,12 @@
 
 Words lose outer punctuation and case. In the template view numbers, names (capitalised
 words inside a sentence) and units (after a number) become typed placeholders; in the wide template view capitalised words that begin a sentence are names, too;
-the literal view keeps every word. Windows of ``width`` words of the template views or of the literal view are hash-joined with those of the benchmark. For each document, item and shift between them (one copy) the placeholders of matched windows are
+the literal view keeps every word. Windows of ``width`` words of the template views or of the literal view are hash-joined with those of the benchmark. A template match
+counts if at least ``LITERAL`` words of it are the same in both texts, be they literal or slots with one value (so languages that capitalise every noun
+lose nothing). For each document, item and shift between them (one copy) the placeholders of matched windows are
 read as slots: if in one copy every value in the item always stands for the same value in the document, the item was copied or
 re-parameterised; if in none, it only shares a form and is left alone. An item shorter than the window is
-one window, if it has at least ``least`` words.
+one window; below ``least`` words it must make up whole sentences of the document, word for word.
 """
 
 from __future__ import annotations
@@ -23,16 +25,27 @@ from pyspark.sql import functions as F
 from residual_marginals.llm.common import materialise, small_batches, table
 
 WIDTH, LEAST = 10, 5
-#: Fewest literal words in a template window.
-LITERAL = 5
+#: Fewest words of a matched template window that are the same in both texts, and fewest literal ones that it is looked up with.
+LITERAL, HASHED_LITERAL = 5, 3
 #: Benchmark windows up to this many are given to the scan of the texts as a filter (24 bytes each); beyond, every window is joined.
 FILTER_LIMIT = 500_000
 CACHE_LIMIT = 800_000
 
 NUMBER = re.compile(r"\d[\d.,:/]*(?:st|nd|rd|th|%|[a-z]{1,3})?")
-#: Number words and units.
-NUMBER_WORDS = {"zero", "one", "two", "three", "four", "five", "six", "seven", "eight", "nine", "ten", "eleven", "twelve", "twenty", "thirty", "forty", "fifty", "hundred", "thousand", "million", "dozen"}
-UNITS = {"mm", "cm", "m", "km", "mg", "g", "kg", "ml", "l", "s", "ms", "min", "h", "hz", "w", "kw", "v", "a", "mph", "km/h", "inches", "inch", "feet", "foot", "yards", "miles", "mile", "meters", "metres", "meter", "metre", "kilometers", "kilometres", "grams", "kilograms", "pounds", "ounces", "liters", "litres", "seconds", "minutes", "hours", "days", "weeks", "months", "years", "dollars", "cents", "euros", "percent", "degrees"}
+#: Number words and units in English, German, French and Spanish.
+NUMBER_WORDS = set(
+    "zero one two three four five six seven eight nine ten eleven twelve twenty thirty forty fifty hundred thousand million dozen "
+    "null eins zwei drei vier fünf sechs sieben acht neun zehn elf zwölf zwanzig dreißig vierzig fünfzig hundert tausend dutzend "
+    "zéro deux trois quatre cinq sept huit neuf dix onze douze vingt trente quarante cinquante cent mille douzaine "
+    "cero dos tres cuatro cinco seis siete ocho nueve diez once doce veinte treinta cuarenta cincuenta cien mil millón docena".split()
+)
+UNITS = set(
+    "mm cm m km mg g kg ml l s ms min h hz w kw v a mph km/h inches inch feet foot yards miles mile meters metres meter metre kilometers kilometres grams kilograms pounds ounces liters litres "
+    "seconds minutes hours hour days day weeks months years dollars cents euros euro percent degrees "
+    "zoll kilometer gramm kilogramm pfund liter sekunden minuten stunden stunde tage tagen wochen monate jahre jahren prozent grad "
+    "mètres mètre kilomètres grammes kilogrammes litre secondes heures heure jours jour semaines mois ans années degrés "
+    "metros metro kilómetros gramos kilogramos litros litro segundos minutos horas hora días día semanas meses años dólares grados".split()
+)
 MARKS, ENDS = string.punctuation, frozenset(".!?:")
 PLAIN, NUM, TITLE, UNIT, SKIP = range(5)
 KINDS = ("", "number", "name", "unit")
@@ -128,20 +141,25 @@ class Windows:
         before = np.r_[False, kind[:-1] == NUM] if len(ids) else np.zeros(0, bool)
         slot = np.where(kind == NUM, NUM, np.where((kind == TITLE) & ~first, TITLE, np.where((kind == UNIT) & before, UNIT, PLAIN)))
         opens = (kind == TITLE) & first
+        #: Where sentences begin, and behind which word they end.
+        self.first, self.last = first, np.r_[first[1:], True] if len(ids) else first
         self.literal = hashes[ids] if len(ids) else np.zeros(0, np.uint64)
         #: Slots of the template view, and of the wide one if it differs.
         self.slot = np.stack([slot, np.where(opens, TITLE, slot)] if opens.any() else [slot]).astype(np.int64)
         self.views = np.stack([self.literal, *np.where(self.slot > 0, _PLACEHOLDERS[self.slot], self.literal)])
 
-    def hashes(self, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(hash, start, view) of the windows: all literal ones (view 0), and template (1) and other wide (2) ones with a slot and enough literal words."""
+    def hashes(self, width: int, least: int = 0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(hash, start, view) of the windows: all literal ones (view 0), and template (1) and other wide (2) ones with a slot and enough literal words; below ``least`` words only literal ones that are whole sentences."""
         n = len(self.literal) - width + 1
         if n <= 0 or width <= 0:
             return np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        if width < least:
+            start = np.nonzero(self.first[:n] & self.last[width - 1 :])[0]
+            return rolled(self.literal, width)[start], start, np.zeros(len(start), np.int64)
         slots = np.zeros((len(self.slot), len(self.literal) + 1), np.int64)
         np.cumsum(self.slot > 0, axis=1, out=slots[:, 1:])
         inside = slots[:, width:] - slots[:, :n]
-        typed = (inside > 0) & (width - inside >= min(LITERAL, width))
+        typed = (inside > 0) & (width - inside >= min(HASHED_LITERAL, width))
         typed[1:] &= inside[1:] > inside[0]
         all_hashes = rolled(self.views, width)
         view, start = np.nonzero(typed)
@@ -163,9 +181,13 @@ def benchmark_windows(items: DataFrame, width: int = WIDTH, least: int = LEAST)
             for item_id, text in zip(batch["item_id"].tolist(), batch["text"]):
                 own = Windows(text or "", words)
                 size = min(width, len(own.literal))
-                if size < least:
+                if not size:
                     continue
-                for h, at, view in zip(*(x.tolist() for x in (lambda a, b, c: (a.view(np.int64), b, c))(*own.hashes(size)))):
+                # a short item is one window as it stands
+                h, start, view = own.hashes(size)
+                for h, at, view in zip(h.view(np.int64).tolist(), start.tolist(), view.tolist()):
+                    if size < least and view:
+                        continue
                     rows.append((h, size, view > 0, item_id, at, view == 2, own.slots(at, size, view)))
             yield pd.DataFrame(rows, columns=["h", "size", "typed", "item_id", "item_at", "item_wide", "item_slots"])
 
@@ -173,7 +195,7 @@ def benchmark_windows(items: DataFrame, width: int = WIDTH, least: int = LEAST)
     return source.mapInPandas(cut, "h long, size int, typed boolean, item_id long, item_at int, item_wide boolean, item_slots array<string>")
 
 
-def text_windows(docs: DataFrame, sizes: list[int], wanted: np.ndarray | None) -> DataFrame:
+def text_windows(docs: DataFrame, sizes: list[int], wanted: np.ndarray | None, least: int = LEAST) -> DataFrame:
     """(h, size, typed, doc_id, doc_at, doc_wide, doc_slots): windows of all texts whose hash is in ``wanted`` (None: all)."""
     if wanted is not None:
         wanted = np.unique(wanted.view(np.uint64))
@@ -195,7 +217,7 @@ def text_windows(docs: DataFrame, sizes: list[int], wanted: np.ndarray | None) -
             for doc_id, text in zip(batch["doc_id"].tolist(), batch["text"]):
                 own = Windows(text or "", words)
                 for size in sizes:
-                    h, at, view = own.hashes(size)
+                    h, at, view = own.hashes(size, least)
                     if context is not None:
                         near = np.nonzero(seen[(h >> np.uint64(42)).astype(np.int64)])[0]
                         place = np.minimum(np.searchsorted(known, h[near]), len(known) - 1)
@@ -213,8 +235,8 @@ def text_windows(docs: DataFrame, sizes: list[int], wanted: np.ndarray | None) -
 def find_leaks(docs: DataFrame, items: DataFrame, width: int = WIDTH, least: int = LEAST, filter_limit: int = FILTER_LIMIT) -> DataFrame:
     """doc_id, item_id, n_windows, n_slots, n_changed, kind for every document and item that it holds.
 
-    ``kind`` is ``exact`` if a literal window matched, else ``reparameterised``. Null ids and null or
-    short texts match nothing; rows that repeat count as one document; extra columns are ignored; empty tables give
+    ``kind`` is ``exact`` if a literal window matched, else ``reparameterised``. Null ids and null or wordless
+    texts match nothing; rows that repeat count as one document; extra columns are ignored; empty tables give
     an empty result.
     """
     small_batches(docs.sparkSession, 1000)
@@ -225,9 +247,12 @@ def find_leaks(docs: DataFrame, items: DataFrame, width: int = WIDTH, least: int
         wanted = np.array([r["h"] for r in own.select("h").distinct().collect()], np.int64)
         if not len(wanted):
             wanted = np.zeros(1, np.int64)
-    found = text_windows(docs, list(facts["sizes"]), wanted)
+    found = text_windows(docs, list(facts["sizes"]), wanted, least)
     small = own if wanted is None else F.broadcast(own)
-    pairs = materialise(found.join(small, ["h", "size", "typed"]).drop("h"))
+    # slots carry place, kind and value, so those that both windows list are unchanged
+    same = F.col("size") - F.size("item_slots") + F.size(F.array_intersect("item_slots", "doc_slots"))
+    enough = ~F.col("typed") | (same >= F.least(F.lit(LITERAL), "size"))
+    pairs = materialise(found.join(small, ["h", "size", "typed"]).where(enough).drop("h"))
     # of the template windows, those aligned with the same shift are one copy and are judged together
     shift = (F.col("doc_at") - F.col("item_at")).alias("shift")
     # each copy with the slots of the template view alone, and with those of the wide view as well
