@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Callable
+from functools import reduce
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -12,7 +13,7 @@ from pyspark.sql import functions as F
 from residual_marginals import experiments, fixtures as fx, measures
 from residual_marginals.answer import answer_count
 from residual_marginals.domain import encode
-from residual_marginals.lattice import Workload, subsets
+from residual_marginals.lattice import Workload, subsets, touched
 from residual_marginals.mechanisms import baselines, graphical
 from residual_marginals.mechanisms.adaptive import adaptive_release, adaptive_release_cluster, candidate_weights
 from residual_marginals.operators import axisops, lazy, measure, noise, reconstruct, residuals, tabulate, tiles
@@ -355,6 +356,40 @@ def _(spark, sf_dir):
     return rounded(kron_cells(residual, AXES, dict(zip(AXES, blocks.factors((3, 5, 7), (0, 1), inverse=True)))))
 
 
+@query("axis_sub_mapped", f"WITH {DENSE}, {RES2} SELECT CAST(ostat * 4 + prio AS BIGINT) AS cell, value FROM res")
+def _(spark, sf_dir):
+    """Differences vector by vector, which whole slices replace."""
+    def mapped(block: np.ndarray) -> np.ndarray:
+        for axis in range(block.ndim):
+            block = blocks.axis_sub_mapped(block, axis)
+        return block
+
+    packed = residuals.pack(dense_orders(spark, sf_dir, [3]))
+    return residuals.unpack(residuals.map_blocks(packed, fx.ORDERS, mapped, "residual")).select("cell", "value")
+
+
+@query("axis_order_free", f"WITH {DENSE}, {RES2} SELECT * FROM res")
+def _(spark, sf_dir):
+    """Steps on different axes in any order; the simplified program sums first."""
+    steps = [axisops.Step("sub", "prio"), axisops.Step("sub", "ostat"), axisops.Step("sum", "oyear")]
+    program = axisops.AxisProgram(steps, AXES, (3, 5, 7))
+    a, b = (p.compile_cells(orders_cells(spark, sf_dir)) for p in (program, program.simplify()))
+    return a.intersect(b)
+
+
+@query("residual_special_cases", f"WITH {DENSE} SELECT 'total' AS what, CAST(count(*) AS BIGINT) AS n, max(v) AS value FROM (SELECT sum(v) AS v FROM cells) UNION ALL SELECT 'length one', 0, NULL UNION ALL SELECT 'total alone', 3, max(v) / 3 FROM (SELECT sum(v) AS v FROM cells)")
+def _(spark, sf_dir):
+    """The empty residual is the total, an axis of length 1 has no residual, the total alone gives a flat marginal."""
+    from residual_marginals.domain import Attribute, Domain
+
+    table = axisops.axis_sum(axisops.axis_sum(orders_cells(spark, sf_dir), AXES, "prio"), ["ostat", "oyear"], "oyear")
+    total = residuals.decompose(table, fx.ORDERS, 1, 0)
+    one = axisops.AxisProgram.decompose(["x"], (Domain([Attribute("x", 1, "0")]).size(1),), ["x"]).compile_cells(spark.range(1).select(F.lit(0).alias("x"), F.lit(5.0).alias("value")))
+    flat = residuals.reconstruct(total, fx.ORDERS, 0, 1)
+    parts = {"total": total, "length one": one, "total alone": flat}
+    return reduce(DataFrame.unionByName, [f.agg(F.lit(n).alias("what"), F.count(F.lit(1)).alias("n"), F.max("value").alias("value")) for n, f in parts.items()])
+
+
 # --- noise and measurement --------------------------------------------------------------------------------------
 
 def normal_sql(*columns: str, key: str = KEY) -> str:
@@ -428,6 +463,36 @@ def _(spark, sf_dir):
     return rounded(reconstruct.reconstruct_from(fx.ORDERS, [3, 6], marginals=measured_pairs(spark, sf_dir)))
 
 
+@query("reconstruct_mixture", SQL["reconstruct_mle"])
+def _(spark, sf_dir):
+    """One input as a noisy marginal, the other as noisy residuals."""
+    pairs = measured_pairs(spark, sf_dir)
+    residual_part = measure.marginal_to_residuals(pairs.where("gamma = 6"), fx.ORDERS)
+    return rounded(reconstruct.reconstruct_from(fx.ORDERS, [3, 6], marginals=pairs.where("gamma = 3"), measured_residuals=residual_part))
+
+
+@query("estimate_update", SQL["consolidate"])
+def _(spark, sf_dir):
+    """Estimates from one marginal, averaged with what a second one tells."""
+    pairs = measured_pairs(spark, sf_dir)
+    first, second = (measure.marginal_to_residuals(pairs.where(F.col("gamma") == g), fx.ORDERS).where(F.col("tau").isin(0, 2)) for g in (3, 6))
+    return rounded(reconstruct.update_estimate(reconstruct.consolidate(first), second), "precision", "value")
+
+
+@query("touched_marginals", "SELECT CAST(t.range AS BIGINT) AS alpha, count(*) AS touched FROM range(64) t JOIN (SELECT range AS g FROM range(64) WHERE bit_count(range) = 3) ON g & t.range = t.range GROUP BY 1")
+def _(spark, sf_dir):
+    """How many 3-way marginals of six attributes a change of each residual reaches."""
+    reached = [(a, touched(a, K3)) for a in Workload(K3).closure()]
+    return spark.createDataFrame(reached, "alpha long, touched long")
+
+
+@query("junction_sizes", "SELECT * FROM (VALUES ('chain', 50 * 8 / 1048576::DOUBLE), ('cycle', 105 * 8 / 1048576::DOUBLE), ('loose', 15 * 8 / 1048576::DOUBLE)) x(model, mb)")
+def _(spark, sf_dir):
+    """Megabytes of graphical models: pairs in a chain, in a cycle (one clique), single attributes."""
+    models = {"chain": [3, 6], "cycle": [3, 6, 5], "loose": [1, 2, 4]}
+    return spark.createDataFrame([(n, graphical.junction_size_mb(m, fx.ORDERS)) for n, m in models.items()], "model string, mb double")
+
+
 def exact_estimates(spark: SparkSession, sf_dir: str, taus: list[int]) -> DataFrame:
     cells = residuals.decompose_all(dense_orders(spark, sf_dir, taus), fx.ORDERS).where(F.col("tau") == F.col("gamma"))
     return cut(cells.select("tau", F.lit(1.0).alias("precision"), "cell", "value"))

@@ -207,7 +207,7 @@ def adaptive_release(
 
     ``sequence`` fixes the marginals and their order (then ``split`` of the budget goes to 1-way marginals and the rest evenly
     to the sequence); otherwise each round selects one from the whole closure by the exponential mechanism on the
-    expected improvement. ``rounds_per_score`` selections may share scores. ``truth`` skips tabulation when runs share one; ``progress`` goes on
+    expected improvement. ``rounds_per_score`` different marginals may be selected, and paid for, on the same scores. ``truth`` skips tabulation when runs share one; ``progress`` goes on
     from an earlier release of the same data, whose rounds keep their numbers, so that no noise is drawn twice.
     """
     closed = workload.closure()
@@ -259,16 +259,20 @@ def adaptive_release(
     if not progress:
         init_one_way(state, truth, schedule.sigma**2, ledger, secret, key)
     cache = ScoreCache(state, truth, candidates)
-    scores: dict[int, float] = {}
     k = rounds[-1][0] + 1 if rounds else 0
+    picked: list[int] = []
     while ledger.left > rho * 1e-9 and (max_rounds is None or k < max_rounds):
-        schedule.fit(ledger.left)
-        if not scores or k % rounds_per_score == 0:
+        if not picked:
+            schedule.fit(ledger.left)
             noise = math.sqrt(2 / math.pi) * schedule.sigma
             scores = {g: weights[g] * (l1 - noise * domain.size(g)) for g, l1 in cache.refresh().items()}
-        ledger.spend("select", exp_rho(schedule.epsilon))
-        gamma = exp_select_local(scores, schedule.epsilon, sensitivity, secret, f"{key}:select:{k}")
-        moved = step(k, gamma, min(1 / (2 * schedule.sigma**2), ledger.left), schedule.epsilon)
+            many = max(1, min(rounds_per_score, len(scores), int(ledger.left / schedule.round_rho)))
+            for _ in range(many):
+                ledger.spend("select", exp_rho(schedule.epsilon))
+            picked = exp_select_local(scores, schedule.epsilon, sensitivity, secret, f"{key}:select:{k}", many)
+            selected_with = schedule.epsilon
+        gamma = picked.pop(0)
+        moved = step(k, gamma, min(1 / (2 * schedule.sigma**2), ledger.left), selected_with)
         schedule.anneal(moved, domain.size(gamma))
         k += 1
     return Release(domain, state, ledger, rounds)
@@ -313,7 +317,7 @@ def adaptive_release_cluster(df: DataFrame, domain: Domain, workload: Workload,
         schedule.fit(ledger.left)
         scores = {r["gamma"]: r["score"] for r in score_blocks(true_blocks.where("gamma <> 0"), blocks_now, domain, weights, schedule.sigma).collect()}
         ledger.spend("select", exp_rho(schedule.epsilon))
-        gamma = exp_select_local(scores, schedule.epsilon, max(weights.values()), secret, f"{key}:select:{k}")
+        (gamma,) = exp_select_local(scores, schedule.epsilon, max(weights.values()), secret, f"{key}:select:{k}")
         spend = min(1 / (2 * schedule.sigma**2), ledger.left)
         plan = planner.conditional_plan(gamma, domain, state.precision, spend, min_gain)
         ledger.spend("measure", spend, str(gamma))

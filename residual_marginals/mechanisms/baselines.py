@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from residual_marginals.domain import Domain, encode
 from residual_marginals.lattice import Workload
 from residual_marginals.mechanisms.adaptive import Release, State, measure_plan
-from residual_marginals.operators.noise import PublicNoise, secret_gumbel, secret_normal
+from residual_marginals.operators.noise import PublicNoise, discrete_gaussian, secret_gumbel, secret_normal
 from residual_marginals.operators.tabulate import collect_blocks, tabulate
 from residual_marginals.plans import planner
 from residual_marginals.plans.privacy import Ledger, exp_rho
@@ -33,8 +33,11 @@ def batch_release(df: DataFrame | None, domain: Domain, workload: Workload, rho:
     return Release(domain, state, ledger, [])
 
 
-def direct_release(df: DataFrame | None, domain: Domain, workload: Workload, rho: float, *, split: str = "even", secret: bytes | PublicNoise, key: str = "direct", truth=None) -> tuple[dict[int, np.ndarray], Ledger]:
-    """Noise on every wanted marginal by itself; the answers do not agree with each other. ``split``: even, or by_size (cube root of the cells)."""
+def direct_release(df: DataFrame | None, domain: Domain, workload: Workload, rho: float, *, split: str = "even", integer: bool = False, secret: bytes | PublicNoise, key: str = "direct", truth=None) -> tuple[dict[int, np.ndarray], Ledger]:
+    """Noise on every wanted marginal by itself; the answers do not agree with each other. ``split``: even, or by_size (cube root of the cells).
+
+    ``integer``: discrete Gaussian noise of the same cost, so counts stay whole.
+    """
     truth = truth_of(df, domain, workload) if truth is None else truth
     ledger = Ledger(rho)
     share = {g: 1.0 if split == "even" else domain.size(g) ** (1 / 3) for g in workload.sets}
@@ -42,7 +45,9 @@ def direct_release(df: DataFrame | None, domain: Domain, workload: Workload, rho
     for g in workload.sets:
         cost = rho * share[g] / total
         ledger.spend("direct", cost, str(g))
-        out[g] = truth[g] + secret_normal(secret, f"{key}:{g}", truth[g].size).reshape(truth[g].shape) / math.sqrt(2 * cost)
+        scale, n = 1 / math.sqrt(2 * cost), truth[g].size
+        noise = discrete_gaussian(secret, f"{key}:{g}", scale, n) if integer else scale * secret_normal(secret, f"{key}:{g}", n)
+        out[g] = truth[g] + noise.reshape(truth[g].shape)
     return out, ledger
 
 

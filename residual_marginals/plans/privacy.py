@@ -86,7 +86,8 @@ def exp_select(scores: DataFrame, eps: float, sensitivity: float, key: str) -> D
     return scores.withColumn("noisy", noisy).agg(best.alias("b")).select("b.gamma", "b.score", "b.noisy")
 
 
-def exp_select_local(scores: dict[int, float], eps: float, sensitivity: float, secret: bytes, key: str) -> int:
+def exp_select_local(scores: dict[int, float], eps: float, sensitivity: float, secret: bytes, key: str, k: int = 1) -> list[int]:
+    """k different sets by k exponential mechanisms in a row: the greatest sums of scaled score and one Gumbel draw each. Costs k times ``exp_rho(eps)``."""
     masks = sorted(scores)
-    noise = secret_gumbel(secret, key, len(masks))
-    return masks[int(np.argmax(np.array([scores[m] for m in masks]) * (eps / (2 * sensitivity)) + noise))]
+    noisy = np.array([scores[m] for m in masks]) * (eps / (2 * sensitivity)) + secret_gumbel(secret, key, len(masks))
+    return [masks[j] for j in np.argsort(-noisy, kind="stable")[:k].tolist()]

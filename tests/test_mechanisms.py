@@ -118,6 +118,28 @@ def test_graphical_rounds_go_on_until_the_budget_is_spent():
     assert sum(r[1] == "select" for r in ledger.rows) == 2 and np.isclose(ledger.total, 0.5)
 
 
+def test_selections_on_shared_scores():
+    from residual_marginals.plans.privacy import exp_rho
+
+    out = adaptive_release(None, DOMAIN, PAIRS, 0.5, secret=SECRET, truth=TRUTH, rounds_per_score=3)
+    picks = [r[1] for r in out.rounds]
+    assert len(set(picks[:3])) == 3 and math.isclose(out.ledger.total, 0.5, rel_tol=1e-6)
+    charged = [r[2] for r in out.ledger.rows if r[1] == "select"]
+    # each selection is paid for, at the epsilon that it was drawn with
+    assert len(charged) >= len(picks) and np.allclose(charged[: len(picks)], [exp_rho(r[3]) for r in out.rounds])
+    from residual_marginals.plans.privacy import exp_select_local
+
+    drawn = [exp_select_local({1: 0.0, 2: 1.0, 4: 3.0}, 2.0, 1.0, SECRET, str(k), 2) for k in range(4000)]
+    first = np.mean([d[0] == 4 for d in drawn])
+    then = np.mean([d[1] == 2 for d in drawn if d[0] == 4])
+    assert abs(first - np.exp(3) / (1 + np.e + np.exp(3))) < 0.03 and abs(then - np.e / (1 + np.e)) < 0.03
+
+
+def test_direct_release_of_whole_counts():
+    out, ledger = baselines.direct_release(None, DOMAIN, PAIRS, 0.5, integer=True, secret=SECRET, truth=TRUTH)
+    assert all(np.array_equal(a, np.round(a)) for a in out.values()) and math.isclose(ledger.total, 0.5)
+
+
 def test_multiplicative_weights_improves_on_uniform():
     skewed = FULL * np.linspace(0.2, 3, 24).reshape(3, 4, 2)
     truth = {g: skewed.sum(axis=tuple(i for i in range(3) if not g >> i & 1)) for g in PAIRS.sets}
