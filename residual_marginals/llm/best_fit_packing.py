@@ -27,50 +27,30 @@ from pyspark.sql import functions as F
 
 from residual_marginals.llm.common import empty, local_threads, materialise, small_batches, table, unused, vocabulary
 
-#: Entries of a worker's cache of encoded chunks.
-CACHE_LIMIT = 800_000
 #: A round takes lengths down to this share of the longest piece left; all at once when that is at most SMALL.
 WINDOW, SMALL = 0.8, 16
 #: Pieces and gaps that one task sweeps.
 SWEEP_ROWS = 1 << 16
 
 
-class Chunks(dict):
-    """Encoded chunks by word, filled as words come; None for words that cannot stand alone."""
+class TextEncoder:
+    """Encodes whole texts with the ids of the given tokenizer file.
 
-    def __init__(self, encode, lead: str, special: list[str]):
-        super().__init__()
-        self.encode, self.lead, self.special = encode, lead, special
-
-    def __missing__(self, word: str) -> bytes | None:
-        alone = word and not word[0].isspace() and not ("<" in word and any(s in word for s in self.special))
-        self[word] = found = array("I", self.encode(self.lead + word)).tobytes() if alone else None
-        return found
-
-
-class ChunkEncoder:
-    """Encodes texts by way of their space-led chunks, with the ids of the given tokenizer file.
-
-    The byte-level pre-tokenizer always starts a new piece at a space that stands before a
-    non-space character, so chunks cut there encode alone as they do in the text. A text with a
-    word that is empty or starts with other white space, or that spells a special token, is encoded whole by
-    ``tokenizers``. Chunks go through the faster ``tiktoken`` with the merges of the same file, if it gives the
-    same ids on a fixed trial, and through ``tokenizers`` otherwise.
+    Texts go through the faster ``tiktoken`` with the merges and the pattern of the same file, if it gives the
+    same ids on a fixed trial, and through ``tokenizers`` otherwise. Texts that spell a special token always go through
+    ``tokenizers``, which knows those. Tests compare both on every code point.
     """
 
-    TRIAL = " The quick-brown föx's 1234 été;\n\tx=3.14!! 日本語 we'll aaaaaaa"
+    TRIAL = " The quick-brown föx's 1234 été;\n\tx=3.14!! 日本語 we'll aaaaaaa  \n\n <b>\u3000\x85\x1c"
 
     def __init__(self, path: str):
         local_threads()
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
-        encode = self._whole
-        fast = self._fast(path, special)
-        if fast and fast(self.TRIAL) == self._whole(self.TRIAL):
-            encode = fast
-        self.first, self.rest = Chunks(encode, "", special), Chunks(encode, " ", special)
+        self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
+        fast = self._fast(path, self.special)
+        self.fast = fast if fast and fast(self.TRIAL) == self._whole(self.TRIAL) else self._whole
 
     def _whole(self, text: str) -> list[int]:
         return self.tokenizer.encode(text, add_special_tokens=False).ids
@@ -91,22 +71,13 @@ class ChunkEncoder:
         with open(path, encoding="utf-8") as file:
             words = json.load(file)["model"]["vocab"]
         ranks = {bytes(byte_of[c] for c in word): k for word, k in words.items() if word not in special}
-        return tiktoken.Encoding("chunks", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
-
-    def encode(self, texts: list[str]) -> list[bytes]:
-        """Little-endian unsigned 32-bit ids of each text."""
-        if len(self.rest) > CACHE_LIMIT:
-            self.rest.clear()
-        if len(self.first) > CACHE_LIMIT // 4:
-            self.first.clear()
-        out = []
+        return tiktoken.Encoding("texts", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
+
+    def encode(self, texts: list[str]) -> Iterator[bytes]:
+        """Little-endian unsigned 32-bit ids of each text (executors are little-endian machines)."""
         for text in texts:
-            words = text.split(" ")
-            try:
-                out.append(b"".join([self.first[words[0]], *map(self.rest.__getitem__, words[1:])]) if text else b"")
-            except TypeError:  # a word that cannot stand alone
-                out.append(np.array(self._whole(text), "<u4").tobytes())
-        return out
+            known = any(s in text for s in self.special)
+            yield array("I", self._whole(text) if known else self.fast(text)).tobytes() if text else b""
 
 
 def pieces(docs: DataFrame, capacity: int = 2048, tokenizer: str | None = None, end_id: int = 0, keep_ids: bool = False) -> DataFrame:
@@ -121,7 +92,7 @@ def pieces(docs: DataFrame, capacity: int = 2048, tokenizer: str | None = None,
     tail = np.array([end_id], "<u4").tobytes()
 
     def cut(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        encoder = ChunkEncoder(path)
+        encoder = TextEncoder(path)
         for batch in batches:
             rows = []
             ids_of = encoder.encode([t or "" for t in batch["text"]])
