@@ -15,6 +15,7 @@ from __future__ import annotations
 import re
 import string
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pandas as pd
@@ -30,6 +31,8 @@ LITERAL, HASHED_LITERAL = 5, 3
 #: Benchmark windows up to this many are given to the scan of the texts as a filter (24 bytes each); beyond, every window is joined.
 FILTER_LIMIT = 500_000
 CACHE_LIMIT = 800_000
+#: Characters of texts that are hashed together.
+TOGETHER = 1 << 18
 
 NUMBER = re.compile(r"\d[\d.,:/]*(?:st|nd|rd|th|%|[a-z]{1,3})?")
 #: Number words and units in English, German, French and Spanish.
@@ -125,45 +128,63 @@ def rolled(tokens: np.ndarray, width: int) -> np.ndarray:
 
 
 class Windows:
-    """Window hashes of one text in all views."""
+    """Window hashes of some texts in all views; positions count words over all of them."""
 
-    def __init__(self, text: str, words: Words):
-        self.words = text.split()
-        ids = np.array([words[w] for w in self.words], np.int64)
+    def __init__(self, texts: list[str], words: Words):
+        parts = [t.split() for t in texts]
+        self.words = list(chain.from_iterable(parts))
+        ids = np.fromiter(map(words.__getitem__, self.words), np.int64, len(self.words))
+        owner = np.repeat(np.arange(len(parts)), [len(p) for p in parts])
         hashes, kinds, ends = words.arrays()
-        kind = kinds[ids] if len(ids) else np.zeros(0, np.int8)
-        self.at = np.nonzero(kind != SKIP)[0]
-        ids, kind = ids[self.at], kind[self.at]
-        # a word that is only punctuation may end the sentence before it
-        first = np.ones(len(ids), bool)
-        if len(ids) > 1:
-            first[1:] = ends[ids[:-1]]
-        before = np.r_[False, kind[:-1] == NUM] if len(ids) else np.zeros(0, bool)
-        slot = np.where(kind == NUM, NUM, np.where((kind == TITLE) & ~first, TITLE, np.where((kind == UNIT) & before, UNIT, PLAIN)))
-        opens = (kind == TITLE) & first
-        #: Where sentences begin, and behind which word they end.
-        self.first, self.last = first, np.r_[first[1:], True] if len(ids) else first
-        self.literal = hashes[ids] if len(ids) else np.zeros(0, np.uint64)
+        self.at = np.nonzero(kinds[ids] != SKIP)[0]
+        # a sentence ends with the word before, or with punctuation alone behind it
+        stops = np.cumsum(ends[ids])
+        ids, self.owner = ids[self.at], owner[self.at]
+        kind = kinds[ids]
+        begins = np.ones(len(ids), bool)
+        begins[1:] = self.owner[1:] != self.owner[:-1]
+        self.first = begins.copy()
+        if len(ids):
+            here = self.at[1:] - 1
+            self.first[1:] |= stops[here] > stops[self.at[:-1]] - ends[ids[:-1]]
+        #: Behind which word a sentence ends.
+        self.last = np.ones(len(ids), bool)
+        self.last[:-1] = self.first[1:]
+        before = np.zeros(len(ids), bool)
+        before[1:] = (kind[:-1] == NUM) & ~begins[1:]
+        title = kind == TITLE
+        slot = np.where(kind == NUM, NUM, np.where(title & ~self.first, TITLE, np.where((kind == UNIT) & before, UNIT, PLAIN)))
+        opens = title & self.first
+        self.literal = hashes[ids]
         #: Slots of the template view, and of the wide one if it differs.
-        self.slot = np.stack([slot, np.where(opens, TITLE, slot)] if opens.any() else [slot]).astype(np.int64)
-        self.views = np.stack([self.literal, *np.where(self.slot > 0, _PLACEHOLDERS[self.slot], self.literal)])
+        self.slot = np.stack([slot, np.where(opens, TITLE, slot)] if opens.any() else [slot])
+        self.views = np.empty((1 + len(self.slot), len(ids)), np.uint64)
+        self.views[0] = self.literal
+        for view, own in zip(self.views[1:], self.slot):
+            np.copyto(view, self.literal)
+            typed = np.nonzero(own)[0]
+            view[typed] = _PLACEHOLDERS[own[typed]]
+        #: Where each text begins among the words that count.
+        self.starts = np.searchsorted(self.owner, np.arange(len(parts)))
 
     def hashes(self, width: int, least: int = 0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(hash, start, view) of the windows: all literal ones (view 0), and template (1) and other wide (2) ones with a slot and enough literal words; below ``least`` words only literal ones that are whole sentences."""
         n = len(self.literal) - width + 1
         if n <= 0 or width <= 0:
             return np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        whole = self.owner[:n] == self.owner[width - 1 :]
         if width < least:
-            start = np.nonzero(self.first[:n] & self.last[width - 1 :])[0]
+            start = np.nonzero(whole & self.first[:n] & self.last[width - 1 :])[0]
             return rolled(self.literal, width)[start], start, np.zeros(len(start), np.int64)
         slots = np.zeros((len(self.slot), len(self.literal) + 1), np.int64)
         np.cumsum(self.slot > 0, axis=1, out=slots[:, 1:])
         inside = slots[:, width:] - slots[:, :n]
-        typed = (inside > 0) & (width - inside >= min(HASHED_LITERAL, width))
+        typed = (inside > 0) & (width - inside >= min(HASHED_LITERAL, width)) & whole
         typed[1:] &= inside[1:] > inside[0]
         all_hashes = rolled(self.views, width)
         view, start = np.nonzero(typed)
-        return np.r_[all_hashes[0], all_hashes[1:][typed]], np.r_[np.arange(n), start], np.r_[np.zeros(n, np.int64), view + 1]
+        plain = np.nonzero(whole)[0]
+        return np.concatenate([all_hashes[0][plain], all_hashes[1:][typed]]), np.concatenate([plain, start]), np.concatenate([np.zeros(len(plain), np.int64), view + 1])
 
     def slots(self, start: int, width: int, view: int) -> list[str]:
         """Place, kind and value of the slots in a window of a template view, counted from its start; none for a literal window."""
@@ -179,7 +200,7 @@ def benchmark_windows(items: DataFrame, width: int = WIDTH, least: int = LEAST)
         for batch in batches:
             rows = []
             for item_id, text in zip(batch["item_id"].tolist(), batch["text"]):
-                own = Windows(text or "", words)
+                own = Windows([text or ""], words)
                 size = min(width, len(own.literal))
                 if not size:
                     continue
@@ -211,11 +232,16 @@ def text_windows(docs: DataFrame, sizes: list[int], wanted: np.ndarray | None, l
         if context is not None:
             known, seen = context[0], np.unpackbits(context[1]).astype(bool)
         for batch in batches:
+            if not len(batch):
+                continue
             rows = []
             if len(words) > CACHE_LIMIT:
                 words = Words()
-            for doc_id, text in zip(batch["doc_id"].tolist(), batch["text"]):
-                own = Windows(text or "", words)
+            ids, texts = batch["doc_id"].to_numpy(), [t or "" for t in batch["text"]]
+            # texts go through the arrays together, as many as their length allows
+            ends = np.cumsum([len(t) for t in texts]) // TOGETHER
+            for group in np.split(np.arange(len(texts)), np.nonzero(np.diff(ends))[0] + 1):
+                own = Windows([texts[k] for k in group], words)
                 for size in sizes:
                     h, at, view = own.hashes(size, least)
                     if context is not None:
@@ -223,10 +249,10 @@ def text_windows(docs: DataFrame, sizes: list[int], wanted: np.ndarray | None, l
                         place = np.minimum(np.searchsorted(known, h[near]), len(known) - 1)
                         near = near[known[place] == h[near]]
                         h, at, view = h[near], at[near], view[near]
-                    for x, a, v in zip(h.view(np.int64).tolist(), at.tolist(), view.tolist()):
-                        rows.append((x, size, v > 0, doc_id, a, v == 2, own.slots(a, size, v)))
-            out = pd.DataFrame(rows, columns=["h", "size", "typed", "doc_id", "doc_at", "doc_wide", "doc_slots"])
-            yield out
+                    owner = own.owner[at]
+                    found = zip(h.view(np.int64).tolist(), ids[group[owner]].tolist(), at.tolist(), (at - own.starts[owner]).tolist(), view.tolist())
+                    rows += [(x, size, v > 0, doc_id, place_, v == 2, own.slots(a, size, v)) for x, doc_id, a, place_, v in found]
+            yield pd.DataFrame(rows, columns=["h", "size", "typed", "doc_id", "doc_at", "doc_wide", "doc_slots"])
 
     source = docs.where("doc_id is not null").select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
     return source.mapInPandas(scan, "h long, size int, typed boolean, doc_id long, doc_at int, doc_wide boolean, doc_slots array<string>")
