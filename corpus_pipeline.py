@@ -81,7 +81,7 @@ STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] =
     ("packing", packing),
 ]
 
-#: Scores, fingerprints and token ids are beyond SQL; the stages are tested against brute force.
+#: Scores, fingerprints and token ids are beyond SQL; a test holds every stage against plain Python on the given documents.
 ORACLE_SQL = None
 
 

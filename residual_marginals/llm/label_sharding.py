@@ -62,7 +62,7 @@ def cut_links(placed: DataFrame, room: int | None = None) -> DataFrame:
 
 
 def assign(rows: DataFrame, shards: int = 24, rounds: int | None = None, spread: int | None = None) -> DataFrame:
-    """Adds ``shard`` (0 to shards - 1, counts at most one apart) to rows (doc_id, grp, ...).
+    """Adds ``shard`` (0 to shards - 1, counts at most one apart) to rows (doc_id, grp, and others not named shard, linked, want, or from t_ or s_ on).
 
     A null ``grp`` links to nothing. Rows that repeat are placed one by one. ``rounds``: at most so many (by default until it has settled).
     """

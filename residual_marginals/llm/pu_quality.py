@@ -4,7 +4,7 @@ A linear model over word shapes and text statistics is fitted by minimising the
 unbiased risk: with prior p, the loss of trusted positives counted as positive, plus the loss of
 unlabelled text counted as negative less p times the positives' share of it, where that
 difference is never allowed below zero (a batch that would take it below is stepped the other
-way). The prior is estimated from a bounded sample of labels of the training fold. Only trusted positives and unlabelled text
+way). The prior is the mean of all labels of the training fold. Only trusted positives and unlabelled text
 enter the risk. Labels of the held-out fold, lang, source and ids are never inputs.
 """
 
@@ -185,7 +185,7 @@ def _shapes() -> Shapes:
 
 
 def op1_pu_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Quality of all documents."""
+    """Quality of all documents: one row per row, also for rows that repeat; null and wordless texts score 0, a null id is in no fold."""
     docs = table(spark, sf_dir, "documents")
     weights = train(docs, table(spark, sf_dir, "labels"))
     scored = score(docs.select("doc_id", "text"), weights)

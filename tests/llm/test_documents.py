@@ -369,10 +369,17 @@ def test_op8_against_sequential_best_fit(spark, sweep_rows):
     assert used == want if sweep_rows > 1000 else used <= want * 1.03
 
 
-def test_chunks_encode_as_whole_texts():
-    encoder = best_fit_packing.ChunkEncoder(vocabulary("byte_bpe_50k.json"))
-    texts = ["a  b", " a", "a \n b", "a\n b", "\n", "  ", "", "a  b", "x \t", "　 y z", " ", "a b ", "<|endoftext|> k", "é  \r\n q", "we'll  're x", "1234 5678 ٣٤", "a\x1c b", "x\n\n y", "漢字 テスト 🙂 🙂"]
-    assert [np.frombuffer(b, "<u4").tolist() for b in encoder.encode(texts)] == [e.ids for e in encoder.tokenizer.encode_batch(texts, add_special_tokens=False)]
+def test_both_encoders_agree():
+    encoder = best_fit_packing.TextEncoder(vocabulary("byte_bpe_50k.json"))
+    assert encoder.fast != encoder._whole
+    rng = np.random.default_rng(0)
+    signs = list(" \n\t\r  abcXYZ019'sdlvtre.,!?<>|_-é漢🙂\u00a0\u200b\u3000\x1c\x85")
+    points = [c for c in range(0, 0x110000, 13) if not 0xD800 <= c < 0xE000]
+    texts = ["a  b", " a", "a \n b", "\n", "  ", "", "<|endoftext|> k", "é  \r\n q", "we'll  're x", "1234 5678 ٣٤", "a" * 20_000, " " * 20_000, "\n \n" * 5000]
+    texts += ["".join(rng.choice(signs, rng.integers(0, 40))) for _ in range(3000)]
+    texts += [f"a{chr(c)}b 1{chr(c)}2 {chr(c)}{chr(c)} .{chr(c)}!" for c in points]
+    want = [e.ids for e in encoder.tokenizer.encode_batch(texts, add_special_tokens=False)]
+    assert all(np.frombuffer(b, "<u4").tolist() == w for b, w in zip(encoder.encode(texts), want))
 
 
 def test_op8_odd_input(spark):
@@ -725,25 +732,36 @@ def plain_leaks(docs, items, width=10):
         wide = ["name" if k == "title" else k for _, k, f, _ in words]
         return narrow, wide
 
+    def windows(words, size):
+        """Windows by what they look like: literal, narrow and wide."""
+        shapes = [[""] * len(words), *views(words)]
+        for v, kinds in enumerate(shapes):
+            seen = [f"<{k}>" if k else w[0] for k, w in zip(kinds, words)]
+            for at in range(len(words) - size + 1):
+                if not v or (any(kinds[at : at + size]) and sum(not k for k in kinds[at : at + size]) >= 3):
+                    yield v, at, tuple(kinds[at : at + size]), tuple(seen[at : at + size])
+
     found = set()
     for i, a in items:
         item = read(a)
         size = min(width, len(item))
+        wanted = defaultdict(list)
+        for v, at, kinds, look in windows(item, size):
+            wanted[v > 0, kinds, look].append((v, at))
         for d, b in docs:
             doc, hits, exact = read(b or ""), defaultdict(lambda: defaultdict(set)), False
-            for p in range(len(item) - size + 1):
-                for q in range(len(doc) - size + 1):
+            for v, q, kinds, look in windows(doc, size):
+                for u, p in wanted.get((v > 0, kinds, look), ()):
                     x, y = item[p : p + size], doc[q : q + size]
-                    exact = exact or [w[0] for w in x] == [w[0] for w in y]
-                    for k, (u, v) in enumerate((s, t) for s in views(item) for t in views(doc)):
-                        u, v = u[p : p + size], v[q : q + size]
-                        same = sum(m[0] == n[0] for m, n in zip(x, y))
-                        if u != v or not any(u) or sum(not s for s in u) < 3 or same < 5 or any(not s and m[0] != n[0] for s, m, n in zip(u, x, y)):
-                            continue
-                        for s, m, n in zip(u, x, y):
+                    if not v:
+                        exact = True
+                    elif sum(m[0] == n[0] for m, n in zip(x, y)) >= min(5, size):
+                        for s, m, n in zip(kinds, x, y):
                             if s:
-                                hits[q - p, k in (1, 2, 3)][s, m[0]].add(n[0])
-                                hits[q - p, True][s, m[0]].add(n[0])
+                                # one view with the slots of both, one with those of the narrow view alone
+                                hits[q - p, "wide"][s, m[0]].add(n[0])
+                                if u == v == 1:
+                                    hits[q - p, "narrow"][s, m[0]].add(n[0])
             if exact or any(h and all(len(v) == 1 for v in h.values()) for h in hits.values()):
                 found.add((d, i))
     return found

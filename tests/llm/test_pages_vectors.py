@@ -183,6 +183,61 @@ def test_pipeline_stages(spark, sf_dir):
     assert p.run(spark, sf_dir).count() == sizes[4]
 
 
+def test_pipeline_against_plain_python(spark, sf_dir, tmp_path):
+    """Each stage on the given documents, from the written output of the one before, against one plain loop."""
+    import corpus_pipeline as p
+    from residual_marginals.llm import best_fit_packing, pii_semicrf, pu_quality, simhash_gray
+    from tests.llm.test_documents import TEMPLATES, check_packing, plain_leaks, roots, sequential_best_fit
+
+    item = TEMPLATES["en"].format(n=12, m=300, p="Anna", q="Ivan")
+    given = [(r["doc_id"], r["text"]) for r in table(spark, sf_dir, "documents").orderBy("doc_id").limit(90).collect()]
+    top = max(i for i, _ in given)
+    long = next(t for _, t in given if len(t) > 1500)
+    given += [(top + 1, long), (top + 2, long + " and more"), (top + 3, long + "\nThen. " + item.replace("12", "17").replace("Ivan", "Olaf")), (top + 4, None), (top + 5, "mail me at jane.roe@host.example.com"), (top + 5, "mail me at jane.roe@host.example.com")]
+    items = [(r["item_id"], r["text"]) for r in table(spark, sf_dir, "benchmark").collect()] + [(10**6, item)]
+    folder = str(tmp_path / "tables")
+    spark.createDataFrame([(i, t, "en", "s", len(t or "")) for i, t in given], "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"{folder}/documents.parquet")
+    spark.createDataFrame(items, "item_id long, text string").write.parquet(f"{folder}/benchmark.parquet")
+    table(spark, sf_dir, "labels").write.parquet(f"{folder}/labels.parquet")
+
+    docs, rows = table(spark, folder, "documents"), given
+    key = lambda r: (r[0], r[1] or "")
+    for name, stage in p.STAGES:
+        out = p.materialise(stage(spark, docs, folder))
+        got = out.collect()
+        if name == "quality":
+            weights, shapes = pu_quality.train(docs, table(spark, folder, "labels")), pu_quality.Shapes()
+            scores = [x @ weights if (x := pu_quality.features(t or "", shapes)).any() else -1.0 for _, t in rows]
+            rows = [r for r, s in zip(rows, scores) if s >= 0]
+            assert any(i > top for i, _ in rows) and len(rows) < len(given)
+        elif name == "near_dedup":
+            codes = np.frombuffer(b"".join(simhash_gray.wide_fingerprint(t, 5, 8) for _, t in rows), np.uint64).reshape(-1, 8)
+            bits = np.unpackbits(codes.view(np.uint8), axis=1)[:, :504].reshape(-1, 36, 14)
+            meet = (bits[:, None] == bits[None]).all(axis=3).any(axis=2)
+            near = meet & (simhash_gray.differing(codes[:, None], codes[None]) <= simhash_gray.allowed_bits(512, 0.8))
+            own = roots([(a, b) for a, b in np.argwhere(near) if a < b], len(rows))
+            best = {}
+            for r, root in zip(rows, own):
+                best[root] = min(best.get(root, r), r, key=lambda x: x[0])
+            rows = list(best.values())
+        elif name == "decontamination":
+            gone = {d for d, _ in plain_leaks(rows, items)}
+            assert gone
+            rows = [r for r in rows if r[0] not in gone]
+        elif name == "personal_data":
+            field = pii_semicrf.SemiMarkov(pii_semicrf.train(docs).weights)
+            rows = [(i, None if t is None else pii_semicrf.mask(t, field)) for i, t in rows]
+        else:
+            encoder = best_fit_packing.TextEncoder(best_fit_packing.vocabulary("byte_bpe_50k.json"))
+            sizes = [len(encoder._whole(t)) + 1 if t else 1 for _, t in rows]
+            pieces = [n for x in sizes for n in [x % 2048 or 2048] + [2048] * ((x - 1) // 2048)]
+            assert sorted(r["length"] for r in got) == sorted(pieces) and {r["doc_id"] for r in got} == {i for i, _ in rows}
+            assert check_packing(got, 2048) == len(sequential_best_fit(pieces, 2048))
+            break
+        assert sorted(((r["doc_id"], r["text"]) for r in got), key=key) == sorted(rows, key=key), name
+        docs = out
+
+
 def test_pipeline_odd_input(spark, sf_dir):
     import corpus_pipeline as p
 
