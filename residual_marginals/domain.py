@@ -33,6 +33,12 @@ class Domain:
         self.index = {a.name: i for i, a in enumerate(self.attributes)}
         if len(self.index) < len(self.attributes):
             raise ValueError("duplicate attribute names")
+        self._axes: dict[int, tuple[int, ...]] = {}
+        self._shapes: dict[int, tuple[int, ...]] = {}
+
+    def __getstate__(self) -> dict:
+        # what was looked up does not travel to the tasks
+        return {**self.__dict__, "_axes": {}, "_shapes": {}}
 
     def __len__(self) -> int:
         return len(self.attributes)
@@ -40,14 +46,18 @@ class Domain:
     def mask(self, names: Iterable[str]) -> int:
         return sum(1 << self.index[n] for n in set(names))
 
-    def axes(self, mask: int) -> list[int]:
-        return [i for i in range(len(self.attributes)) if mask >> i & 1]
+    def axes(self, mask: int) -> tuple[int, ...]:
+        if mask not in self._axes:
+            self._axes[mask] = tuple(i for i in range(len(self.attributes)) if mask >> i & 1)
+        return self._axes[mask]
 
     def names(self, mask: int) -> list[str]:
         return [self.attributes[i].name for i in self.axes(mask)]
 
     def shape(self, mask: int) -> tuple[int, ...]:
-        return tuple(self.attributes[i].n for i in self.axes(mask))
+        if mask not in self._shapes:
+            self._shapes[mask] = tuple(self.attributes[i].n for i in self.axes(mask))
+        return self._shapes[mask]
 
     def size(self, mask: int) -> int:
         return math.prod(self.shape(mask))

@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from residual_marginals.domain import Domain, decode, encode
 from residual_marginals.lattice import Workload, subsets
-from residual_marginals.operators import lazy, residuals
+from residual_marginals.operators import blocks, lazy, residuals
 from residual_marginals.operators.measure import noisy_residual
 from residual_marginals.operators.noise import PublicNoise, secret_normal
 from residual_marginals.operators.tabulate import collect_blocks, tabulate
@@ -79,18 +79,13 @@ class State:
         self.marginals = {g: residuals.assemble(self.estimates, self.domain, g) for g in self.sets}
 
     def update(self, changes: dict[int, np.ndarray]) -> None:
-        """Only marginals that contain a changed residual, each once per round."""
-        reached: dict[int, dict[int, np.ndarray]] = {}
+        """Only marginals that contain a changed residual."""
         for t, d in changes.items():
+            # a change is centred once, and then added to each marginal along the axes that it has
+            centred = blocks.center_all(d)
             for g in self.holding(t):
-                reached.setdefault(g, {})[t] = d
-        for g, own in reached.items():
-            if len(own) > 2:
-                self.marginals[g] = self.marginals[g] + residuals.assemble(own, self.domain, g)
-            else:
-                for t, d in own.items():
-                    self.marginals[g] = self.marginals[g] + residuals.narrow_component(d, self.domain, t, g)
-            self.block_updates += len(own)
+                self.marginals[g] = self.marginals[g] + residuals.widened(centred, self.domain, t, g)
+                self.block_updates += 1
 
     def answer(self, mask: int) -> np.ndarray:
         """Marginal of any set: from residuals known for its subsets."""

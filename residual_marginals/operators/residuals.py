@@ -45,11 +45,13 @@ def component_of(residual: np.ndarray, domain: Domain, tau: int, gamma: int) ->
 
 def narrow_component(residual: np.ndarray, domain: Domain, tau: int, gamma: int) -> np.ndarray:
     """The component with length 1 on the axes outside tau: smearing is left to broadcasting."""
-    keep, shape = positions(domain, gamma, tau), domain.shape(gamma)
-    wide = residual.reshape([n - 1 if k in keep else 1 for k, n in enumerate(shape)])
-    for axis in keep:
-        wide = blocks.axis_center(wide, axis)
-    return wide / domain.size(gamma & ~tau)
+    return widened(blocks.center_all(residual), domain, tau, gamma)
+
+
+def widened(centred: np.ndarray, domain: Domain, tau: int, gamma: int) -> np.ndarray:
+    """The same from a residual that is centred already, which is one for all marginals."""
+    shape = [domain.attributes[i].n if tau >> i & 1 else 1 for i in domain.axes(gamma)]
+    return centred.reshape(shape) / domain.size(gamma & ~tau)
 
 
 def assemble(residuals: dict[int, np.ndarray], domain: Domain, gamma: int) -> np.ndarray:

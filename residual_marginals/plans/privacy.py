@@ -22,10 +22,24 @@ class Ledger:
 
     budget: float
     rows: list[tuple[int, str, float, str]] = field(default_factory=list)
+    _parts: list[float] = field(default_factory=list, repr=False)
+    _summed: int = field(default=0, repr=False)
 
     @property
     def total(self) -> float:
-        return math.fsum(r[2] for r in self.rows)
+        """Exact sum of the charges, rounded once; only rows that came since the last call are added."""
+        for _, _, x, _ in self.rows[self._summed :]:
+            parts = []
+            for y in self._parts:
+                if abs(x) < abs(y):
+                    x, y = y, x
+                high = x + y
+                if low := y - (high - x):
+                    parts.append(low)
+                x = high
+            self._parts = [*parts, x]
+        self._summed = len(self.rows)
+        return math.fsum(self._parts)
 
     @property
     def left(self) -> float:
