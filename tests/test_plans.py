@@ -128,7 +128,7 @@ def test_ledger_refuses():
 
 def test_exponential_mechanism_frequencies():
     scores, eps = {k: float(k) for k in range(6)}, 1.0
-    picks = np.bincount([exp_select_local(scores, eps, 1.0, b"s", str(k)[0]) for k in range(6000)], minlength=6) / 6000
+    picks = np.bincount([exp_select_local(scores, eps, 1.0, b"s", str(k))[0] for k in range(6000)], minlength=6) / 6000
     want = np.exp(np.arange(6) * eps / 2)
     assert np.abs(picks - want / want.sum()).max() < 0.025
 
