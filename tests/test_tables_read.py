@@ -5,6 +5,7 @@ import pytest
 from residual_marginals import catalog
 
 READ = {
+    "coefficients_pv": "orders",
     "closure_by_sql": "lineitem",
     "closed_form_plan": "orders",
     "batch_plan_sum": "orders",
