@@ -5,6 +5,7 @@ import pytest
 from residual_marginals import catalog
 
 READ = {
+    "expected_mse": "orders",
     "coefficients_pv": "orders",
     "closure_by_sql": "lineitem",
     "closed_form_plan": "orders",
