@@ -5,6 +5,7 @@ import pytest
 from residual_marginals import catalog
 
 READ = {
+    "iid_plan": "orders",
     "expected_mse": "orders",
     "coefficients_pv": "orders",
     "closure_by_sql": "lineitem",
