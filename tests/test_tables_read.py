@@ -5,6 +5,7 @@ import pytest
 from residual_marginals import catalog
 
 READ = {
+    "keyed_noise": "orders",
     "junction_sizes": "orders",
     "iid_plan": "orders",
     "expected_mse": "orders",
