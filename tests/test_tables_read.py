@@ -5,6 +5,7 @@ import pytest
 from residual_marginals import catalog
 
 READ = {
+    "noise_plan_check": "orders",
     "keyed_noise": "orders",
     "junction_sizes": "orders",
     "iid_plan": "orders",
