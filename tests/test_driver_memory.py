@@ -5,6 +5,7 @@ import tracemalloc
 import numpy as np
 from pyspark.sql import functions as F
 
+from residual_marginals import experiments
 from residual_marginals.domain import Attribute, Domain
 from residual_marginals.operators import tabulate
 
@@ -21,3 +22,18 @@ def test_gathered_tables_take_little_more_than_their_arrays(spark):
     assert out[3].shape == (64, 64) and not out[3].any()
     # 2.1 MB of cells; as rows of numbers they take over ten times that
     assert most < 4 * out[7].nbytes
+
+
+def test_tradeoff_takes_little_more_than_a_few_copies_of_its_tables(spark):
+    domain = Domain([Attribute(n, 64, n) for n in "abc"])
+    rows = spark.range(64**3, numPartitions=8).selectExpr("id div 4096 AS a", "id div 64 % 64 AS b", "id % 64 AS c")
+    data = {"cube": (rows, domain)}
+    run = lambda: experiments.run_tradeoff(spark, data, [1.0], ["direct", "batch"], secret=b"test", trials=1).collect()
+    run()
+    tracemalloc.start()
+    out = run()
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert sorted(r["method"] for r in out) == ["batch", "direct"] and all(r["l1"] > 0 for r in out)
+    # a table is 2.1 MB
+    assert most < 20 * 64**3 * 8
